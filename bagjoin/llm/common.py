@@ -90,3 +90,61 @@ def spread(df: DataFrame, *keys: str, parts: int | None = None) -> DataFrame:
     """Hash-distribute by ``keys`` and sort within partitions, for ``grouped``."""
     cols = [F.col(k) for k in keys]
     return df.repartition(parts or n_parts(df.sparkSession), *cols).sortWithinPartitions(*cols)
+
+
+def runs(batches: Iterator[pa.RecordBatch], keys: list[str], arrays: dict[str, int] | None = None) -> Iterator[tuple[dict[str, np.ndarray], list[tuple[int, int]]]]:
+    """Columns and the (lo, hi) of every whole run of equal ``keys`` with at least two rows.
+
+    Input must be sorted by ``keys``; only the open run is carried from batch to batch. Columns come
+    as numpy arrays; those named in ``arrays`` hold lists and come as lists of Python lists.
+    """
+    carry: dict[str, np.ndarray] | None = None
+
+    def split(cols: dict[str, np.ndarray], end: bool):
+        n = len(cols[keys[0]])
+        cut = np.zeros(n, dtype=bool)
+        for k in keys:
+            cut[1:] |= cols[k][1:] != cols[k][:-1]
+        starts = np.concatenate([[0], np.flatnonzero(cut)])
+        stop = n if end else int(starts[-1])
+        ends = np.append(starts[1:], n)
+        keep = (ends - starts > 1) & (ends <= stop)
+        return stop, list(zip(starts[keep].tolist(), ends[keep].tolist()))
+
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        cols = {}
+        for name, col in zip(batch.schema.names, batch.columns):
+            if pa.types.is_integer(col.type) or pa.types.is_floating(col.type):
+                cols[name] = col.to_numpy(zero_copy_only=False)
+            else:
+                x = np.empty(len(col), dtype=object)
+                x[:] = col.to_pylist()
+                cols[name] = x
+        if carry is not None:
+            cols = {k: np.concatenate([carry[k], v]) for k, v in cols.items()}
+        stop, found = split(cols, False)
+        if found:
+            yield cols, found
+        carry = {k: v[stop:] for k, v in cols.items()}
+    if carry is not None:
+        _, found = split(carry, True)
+        if found:
+            yield carry, found
+
+
+def into_cells(df: DataFrame, keys: list[str], by: str, cap: int) -> DataFrame:
+    """Deal the rows of every key with two rows or more into cells of at most about 2 x ``cap`` rows.
+
+    Adds cell_a, cell_b and side. A key of up to ``cap`` rows is one cell (0, 0), side 0. A larger
+    key is cut into chunks by a hash of ``by``; every two chunks meet in one cell, as sides 1 and 2,
+    and each chunk meets itself as side 0: no pair of rows is lost and no task gets a whole hot key.
+    """
+    sizes = df.groupBy(*keys).agg(F.count("*").alias("__n")).filter("__n > 1")
+    chunks = F.ceil(F.col("__n") / cap).cast("int")
+    out = df.join(sizes, keys).withColumn("__m", chunks)
+    out = out.withColumn("__c", F.when(F.col("__m") == 1, 0).otherwise(F.pmod(F.xxhash64(F.col(by), F.lit(7)), F.col("__m")).cast("int")))
+    out = out.withColumn("__j", F.explode(F.sequence(F.lit(0), F.col("__m") - 1)))
+    side = F.when(F.col("__c") == F.col("__j"), 0).when(F.col("__c") < F.col("__j"), 1).otherwise(2)
+    return out.withColumns({"cell_a": F.least("__c", "__j"), "cell_b": F.greatest("__c", "__j"), "side": side}).drop("__n", "__m", "__c", "__j")

@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from . import bpe, sst
+from . import bpe, embeddings, simhash, sst
 
 QUERIES = {
     "op2_bpe_automaton": bpe.op2_bpe_automaton,
+    "op3_simhash_bktree": simhash.op3_simhash_bktree,
     "op4_token_shards": sst.op4_token_shards,
+    "op10_cap_filters": embeddings.op10_cap_filters,
 }
 
 ORACLE_SQL: dict[str, str] = {}
