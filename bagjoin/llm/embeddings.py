@@ -27,7 +27,7 @@ from .simhash import Forest
 #: Rows of a chunk of a filter's vectors.
 CHUNK = 800
 #: Filters that a vector belongs to on average, and vectors a filter should hold.
-FILTERS, HELD = 14, 48
+FILTERS, HELD = 24, 48
 
 
 class CapCode:
@@ -65,7 +65,7 @@ class CapCode:
 
 def code_for(n: int, dim: int, filters: float = FILTERS, held: float = HELD, seed: int = 17) -> CapCode:
     """A code whose filters hold about ``held`` of ``n`` vectors, with ``filters`` per vector on average."""
-    p = min(0.02, max(1e-9, held / max(n, 1)))
+    p = min(0.004, max(1e-9, held / max(n, 1)))
     lo, hi = 0.0, 8.0
     for _ in range(60):
         mid = (lo + hi) / 2
