@@ -92,11 +92,11 @@ def spread(df: DataFrame, *keys: str, parts: int | None = None) -> DataFrame:
     return df.repartition(parts or n_parts(df.sparkSession), *cols).sortWithinPartitions(*cols)
 
 
-def runs(batches: Iterator[pa.RecordBatch], keys: list[str], arrays: dict[str, int] | None = None) -> Iterator[tuple[dict[str, np.ndarray], list[tuple[int, int]]]]:
-    """Columns and the (lo, hi) of every whole run of equal ``keys`` with at least two rows.
+def runs(batches: Iterator[pa.RecordBatch], keys: list[str], least: int = 2) -> Iterator[tuple[dict[str, np.ndarray], list[tuple[int, int]]]]:
+    """Columns and the (lo, hi) of every whole run of equal ``keys`` with at least ``least`` rows.
 
     Input must be sorted by ``keys``; only the open run is carried from batch to batch. Columns come
-    as numpy arrays; those named in ``arrays`` hold lists and come as lists of Python lists.
+    as numpy arrays, those that are not numbers as arrays of objects.
     """
     carry: dict[str, np.ndarray] | None = None
 
@@ -108,7 +108,7 @@ def runs(batches: Iterator[pa.RecordBatch], keys: list[str], arrays: dict[str, i
         starts = np.concatenate([[0], np.flatnonzero(cut)])
         stop = n if end else int(starts[-1])
         ends = np.append(starts[1:], n)
-        keep = (ends - starts > 1) & (ends <= stop)
+        keep = (ends - starts >= least) & (ends <= stop)
         return stop, list(zip(starts[keep].tolist(), ends[keep].tolist()))
 
     for batch in batches:

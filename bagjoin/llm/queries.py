@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import bpe, embeddings, html, simhash, sst
+from . import bpe, embeddings, html, simhash, sst, substrings
 
 QUERIES = {
     "op2_bpe_automaton": bpe.op2_bpe_automaton,
     "op3_simhash_bktree": simhash.op3_simhash_bktree,
     "op4_token_shards": sst.op4_token_shards,
+    "op5_suffix_automata": substrings.op5_suffix_automata,
     "op8_host_suffix_array": html.op8_host_suffix_array,
     "op10_cap_filters": embeddings.op10_cap_filters,
 }
