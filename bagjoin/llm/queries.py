@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import bpe, embeddings, html, simhash, sst, substrings
+from . import bpe, embeddings, html, lines, simhash, sst, substrings
 
 QUERIES = {
     "op2_bpe_automaton": bpe.op2_bpe_automaton,
@@ -10,6 +10,7 @@ QUERIES = {
     "op4_token_shards": sst.op4_token_shards,
     "op5_suffix_automata": substrings.op5_suffix_automata,
     "op8_host_suffix_array": html.op8_host_suffix_array,
+    "op9_edit_join": lines.op9_edit_join,
     "op10_cap_filters": embeddings.op10_cap_filters,
 }
 
