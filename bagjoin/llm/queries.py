@@ -2,16 +2,19 @@
 
 from __future__ import annotations
 
-from . import bpe, embeddings, html, lines, simhash, sst, substrings
+from . import bpe, decontaminate, embeddings, html, lines, simhash, sst, substrings
 
 QUERIES = {
     "op2_bpe_automaton": bpe.op2_bpe_automaton,
     "op3_simhash_bktree": simhash.op3_simhash_bktree,
     "op4_token_shards": sst.op4_token_shards,
     "op5_suffix_automata": substrings.op5_suffix_automata,
+    "op7_simhash_windows": decontaminate.op7_simhash_windows,
     "op8_host_suffix_array": html.op8_host_suffix_array,
     "op9_edit_join": lines.op9_edit_join,
     "op10_cap_filters": embeddings.op10_cap_filters,
 }
 
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = {
+    "op7_simhash_windows": decontaminate.OP7_SQL,
+}
