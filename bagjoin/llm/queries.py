@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from . import bpe, decontaminate, embeddings, html, lines, simhash, sst, substrings
+from . import bpe, decontaminate, embeddings, html, lines, simhash, sst, substrings, toxicity
 
 QUERIES = {
+    "op1_nearest_examples": toxicity.op1_nearest_examples,
     "op2_bpe_automaton": bpe.op2_bpe_automaton,
     "op3_simhash_bktree": simhash.op3_simhash_bktree,
     "op4_token_shards": sst.op4_token_shards,
