@@ -32,15 +32,15 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import table, text_column
+from .common import WordTable, table, text_column
 
 #: Fixed values of the vocabulary file: its split pattern and end-of-word mark.
 SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 WORD_END = "</w>"
 #: Control characters that str.split() takes for white space and the pattern does not.
-_NOT_SPACE = regex.compile(r"[\x1c-\x1f]")
+_NOT_SPACE = ("\x1c", "\x1d", "\x1e", "\x1f")
 _SPACES = regex.compile(r"[\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]+")
-#: Entries of a worker's word table before it starts anew (about 100 MB).
+#: Words in a generation of a worker's table (about 100 MB).
 WORD_TABLE = 250_000
 
 
@@ -55,6 +55,13 @@ def byte_symbols() -> list[str]:
     return out
 
 
+def chunks_of(text: str) -> list[str]:
+    """The parts of a text between the pattern's white space."""
+    if any(c in text for c in _NOT_SPACE):
+        return [x for x in _SPACES.split(text) if x]
+    return text.split()
+
+
 class TokenAutomaton:
     """Deterministic automaton over tokens; see the module's text."""
 
@@ -230,7 +237,7 @@ class WordBpe:
         return self._split.findall(unicodedata.normalize("NFC", chunk).replace("Σ", "σ").lower())
 
     def chunks(self, text: str) -> list[str]:
-        return text.split() if not _NOT_SPACE.search(text) else [x for x in _SPACES.split(text) if x]
+        return chunks_of(text)
 
     def encode_chunks(self, chunks: list[str]) -> list[list[int]]:
         parts = [self.pieces(c) for c in chunks]
@@ -256,37 +263,46 @@ def compiled(path: str) -> WordBpe:
     return _COMPILED[path]
 
 
+#: The word table of this process and the automaton that it is for.
+_TABLE: list = [None, None]
+
+
+def _word_table(m: WordBpe) -> WordTable:
+    """(ids, decoded, number) per word, kept over the tasks of a worker."""
+    if _TABLE[0] is not m:
+
+        def learn(words: list[str]) -> list[tuple[str, str, int]]:
+            out = []
+            for lo in range(0, len(words), 50_000):
+                out += [(" ".join(map(str, ids)), m.decode(ids), len(ids)) for ids in m.encode_chunks(words[lo : lo + 50_000])]
+            return out
+
+        _TABLE[:] = [m, WordTable(learn, WORD_TABLE)]
+    return _TABLE[1]
+
+
 def encode_documents(docs: DataFrame, path: str, text: str = "text", keep_ids: bool = False) -> DataFrame:
     """Encode and decode every whole ``text``.
 
-    Adds n_tokens, ids_sha256, decoded_sha256 and, with ``keep_ids``, ids (array of int) and
-    decoded (string); columns of those names are replaced, others stay. Null or empty text: no
+    Adds n_tokens, ids_sha256, decoded_sha256 and, with ``keep_ids``, ids (array of int);
+    columns of those names are replaced, others stay. Null or empty text: no
     tokens, digests of the empty string. The compiled automaton is broadcast; its size is bounded
     by the vocabulary, not by the data.
     """
     model = docs.sparkSession.sparkContext.broadcast(compiled(path))
-    extra = "n_tokens long, ids_sha256 string, decoded_sha256 string" + (", ids array<int>, decoded string" if keep_ids else "")
-    kept = [c for c in docs.columns if c not in ("n_tokens", "ids_sha256", "decoded_sha256", *(("ids", "decoded") if keep_ids else ()))]
+    extra = "n_tokens long, ids_sha256 string, decoded_sha256 string" + (", ids array<int>" if keep_ids else "")
+    kept = [c for c in docs.columns if c not in ("n_tokens", "ids_sha256", "decoded_sha256", *(("ids",) if keep_ids else ()))]
     src = docs.select(*[f"`{c}`" for c in kept], docs[text].alias("__text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = model.value
-        known: dict[str, tuple[str, str, int]] = {}
+        known = _word_table(m)
         for batch in batches:
             for lo in range(0, batch.num_rows, 512):
                 part = batch.slice(lo, 512)
                 split = [m.chunks(x) for x in text_column(part, "__text")]
-                new = [*set().union(*split).difference(known)] if known else [*set().union(*split)]
-                if len(known) + len(new) > WORD_TABLE:
-                    known = {}
-                    new = [*set().union(*split)]
-                for lo2 in range(0, len(new), 50_000):
-                    some = new[lo2 : lo2 + 50_000]
-                    for c, ids in zip(some, m.encode_chunks(some)):
-                        known[c] = (" ".join(map(str, ids)), m.decode(ids), len(ids))
-                n, a, b, ids_out, dec_out = [], [], [], [], []
-                for words in split:
-                    got = [known[w] for w in words]
+                n, a, b, ids_out = [], [], [], []
+                for got in known.lookup(split):
                     ids = " ".join([g[0] for g in got])
                     dec = " ".join([g[1] for g in got])
                     n.append(sum([g[2] for g in got]))
@@ -294,12 +310,11 @@ def encode_documents(docs: DataFrame, path: str, text: str = "text", keep_ids: b
                     b.append(hashlib.sha256(dec.encode()).hexdigest())
                     if keep_ids:
                         ids_out.append(list(map(int, ids.split())))
-                        dec_out.append(dec)
                 cols = [part.column(c) for c in kept] + [pa.array(n, pa.int64()), pa.array(a, pa.string()), pa.array(b, pa.string())]
                 names = [*kept, "n_tokens", "ids_sha256", "decoded_sha256"]
                 if keep_ids:
-                    cols += [pa.array(ids_out, pa.list_(pa.int32())), pa.array(dec_out, pa.string())]
-                    names += ["ids", "decoded"]
+                    cols += [pa.array(ids_out, pa.list_(pa.int32()))]
+                    names += ["ids"]
                 yield pa.RecordBatch.from_arrays(cols, names=names)
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in src.schema if f.name != "__text")

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -42,7 +43,9 @@ def stage(df: DataFrame, kind: str = "stage") -> DataFrame:
     """Write ``df`` once to the shared folder and read it back: cuts lineage and survives lost executors."""
     spark = df.sparkSession
     path = new_folder(spark, kind)
-    df.write.parquet(path)
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()  # lets Spark delete the shuffle files of stages that are done
+    df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -116,7 +119,7 @@ def runs(batches: Iterator[pa.RecordBatch], keys: list[str], least: int = 2) ->
             continue
         cols = {}
         for name, col in zip(batch.schema.names, batch.columns):
-            if pa.types.is_integer(col.type) or pa.types.is_floating(col.type):
+            if pa.types.is_integer(col.type) or pa.types.is_floating(col.type) or pa.types.is_boolean(col.type):
                 cols[name] = col.to_numpy(zero_copy_only=False)
             else:
                 x = np.empty(len(col), dtype=object)
@@ -148,3 +151,54 @@ def into_cells(df: DataFrame, keys: list[str], by: str, cap: int) -> DataFrame:
     out = out.withColumn("__j", F.explode(F.sequence(F.lit(0), F.col("__m") - 1)))
     side = F.when(F.col("__c") == F.col("__j"), 0).when(F.col("__c") < F.col("__j"), 1).otherwise(2)
     return out.withColumns({"cell_a": F.least("__c", "__j"), "cell_b": F.greatest("__c", "__j"), "side": side}).drop("__n", "__m", "__c", "__j")
+
+
+class _Young(dict):
+    """Known words; an unknown one is noted, in order, and read as None."""
+
+    __slots__ = ("old", "noted")
+
+    def __missing__(self, word):
+        v = self.old.get(word)
+        if v is None:
+            self.noted.append(word)
+            return None
+        self[word] = v
+        return v
+
+
+class WordTable:
+    """What has been worked out per word, kept in two generations of bounded size.
+
+    When the young generation is full it becomes the old one; words met again move back, so
+    frequent words stay. The table saves work and never changes a result.
+    """
+
+    def __init__(self, learn, limit: int = 400_000):
+        self.learn, self.limit = learn, limit
+        self._renew({})
+
+    def _renew(self, old: dict) -> None:
+        self.young = _Young()
+        self.young.old, self.young.noted = old, []
+
+    def lookup(self, lists: list[list[str]]) -> list[list]:
+        """Values of all words of each list; ``learn`` gets the unknown ones as a list."""
+        if len(self.young) > self.limit:
+            self._renew(dict(self.young))
+        young = self.young
+        get, noted = young.__getitem__, young.noted
+        out, upto = [], []
+        for words in lists:
+            out.append(list(map(get, words)))
+            upto.append(len(noted))
+        if noted:
+            unknown = list(dict.fromkeys(noted))
+            young.update(zip(unknown, self.learn(unknown)))
+            later, done = map(get, noted), 0
+            for k, end in enumerate(upto):
+                if end > done:
+                    out[k] = [next(later) if v is None else v for v in out[k]]
+                    done = end
+            noted.clear()
+        return out

@@ -33,16 +33,14 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .bpe import _NOT_SPACE, _SPACES
-from .common import n_parts, new_folder, table, text_column
+from .bpe import chunks_of
+from .common import WordTable, n_parts, new_folder, table, text_column
 
 MAGIC = b"BJSST001"
 FOOTER = struct.Struct("<QQQQQQII8s")  # index at, index bytes, bloom at, bloom bytes, docs, tokens, id width, hashes
 BLOCK = 64 << 10
 RESTART = 16
 BLOOM_BITS, BLOOM_HASHES = 10, 7
-#: Entries of a worker's word table before it starts anew.
-WORD_TABLE = 250_000
 
 
 def key_of(doc_id: int | None) -> bytes:
@@ -208,40 +206,41 @@ class LibraryEncoder:
     """The tokenizers library behind a bounded table of words.
 
     The file's pre-splitting never joins text across white space, so a document's ids are those of
-    its white-space-free chunks in order. Chunks that are not in the table go through the library
-    together, and its offsets tell which ids belong to which.
+    its white-space-free chunks in order. Chunks that are not in the table go through the library,
+    many to a call, and its offsets tell which ids belong to which.
     """
 
     def __init__(self, path: str, dtype: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
-        self.lib, self.dtype, self.known = Tokenizer.from_file(path), dtype, {}
+        self.lib, self.dtype, self.words = Tokenizer.from_file(path), dtype, WordTable(self._learn)
         self.lib.no_truncation()
         self.lib.no_padding()
 
-    def _learn(self, chunks: list[str]) -> None:
-        for lo in range(0, len(chunks), 2000):
-            some = chunks[lo : lo + 2000]
-            got = self.lib.encode(" ".join(some), add_special_tokens=False)
+    def _learn(self, chunks: list[str]) -> list[bytes]:
+        parts = [chunks[lo : lo + 200] for lo in range(0, len(chunks), 200)]
+        out = []
+        for some, got in zip(parts, self.lib.encode_batch([" ".join(p) for p in parts], add_special_tokens=False)):
             ids = np.array(got.ids, self.dtype)
             at = np.array(got.offsets, np.int64).reshape(-1, 2)[:, 0]
-            ends = np.cumsum([len(c) + 1 for c in some])
-            cut = np.searchsorted(at, ends).tolist()
-            raw, w, p = ids.tobytes(), ids.itemsize, 0
-            for c, q in zip(some, cut):
-                self.known[c] = raw[p * w : q * w]
-                p = q
+            cut = (np.searchsorted(at, np.cumsum([len(c) + 1 for c in some])) * ids.itemsize).tolist()
+            raw = ids.tobytes()
+            out += [raw[p:q] for p, q in zip([0, *cut], cut)]
+        return out
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        split = [x.split() if not _NOT_SPACE.search(x) else [y for y in _SPACES.split(x) if y] for x in texts]
-        new = [*set().union(*split).difference(self.known)]
-        if len(self.known) + len(new) > WORD_TABLE:
-            self.known = {}
-            new = [*set().union(*split)]
-        self._learn(new)
-        get = self.known.__getitem__
-        return [b"".join(map(get, words)) for words in split]
+        return list(map(b"".join, self.words.lookup(list(map(chunks_of, texts)))))
+
+
+#: One encoder per file and id width in a worker process, so that its table serves many tasks.
+_ENCODERS: dict[tuple[str, str], LibraryEncoder] = {}
+
+
+def library_encoder(path: str, dtype: str) -> LibraryEncoder:
+    if (path, dtype) not in _ENCODERS:
+        _ENCODERS[path, dtype] = LibraryEncoder(path, dtype)
+    return _ENCODERS[path, dtype]
 
 
 def write_shards(docs: DataFrame, folder: str, tokenizer: str, key: str = "doc_id", text: str = "text", end_id: int = 2, parts: int | None = None, width: int = 2) -> list[dict]:
@@ -257,7 +256,7 @@ def write_shards(docs: DataFrame, folder: str, tokenizer: str, key: str = "doc_i
     src = src.repartitionByRange(parts or n_parts(docs.sparkSession), "k").sortWithinPartitions(F.col("k").asc_nulls_first(), "t")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc, end = LibraryEncoder(tokenizer, dtype), np.array([end_id], dtype).tobytes()
+        enc, end = library_encoder(tokenizer, dtype), np.array([end_id], dtype).tobytes()
         store, base = pafs.FileSystem.from_uri(folder)
         store.create_dir(base, recursive=True)
         name = f"{TaskContext.get().partitionId():06d}-{uuid.uuid4().hex}.sst"
