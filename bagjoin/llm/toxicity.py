@@ -1,9 +1,9 @@
 """Toxicity scores from the nearest labelled examples.
 
 Labelled examples are TF-IDF vectors in a block-max inverted index: postings are in example order,
-cut into blocks, and each block keeps the largest weight of each term. For a document the blocks
-are taken in falling order of their score bound; blocks that cannot reach the k-th best similarity
-so far are never opened, so the k nearest are exact. Their labels vote with weights that fall with
+cut into blocks, and each block keeps the largest weight of each term. The blocks with the highest
+score bounds are opened first; then all whose bound can still reach the k-th best similarity found,
+and no others, so the k nearest are exact. Their labels vote with weights that fall with
 distance, and isotonic regression over leave-one-out votes turns a vote into a probability.
 
 Terms are words and word beginnings that tell the labels apart in the examples; their document
@@ -45,8 +45,8 @@ def terms_of(word: str) -> list[str]:
 class BlockMaxIndex:
     """Exact top-k cosine over sparse unit vectors."""
 
-    def __init__(self, vectors: list[dict[int, float]], n_terms: int, block: int = BLOCK):
-        self.n, self.block = len(vectors), block
+    def __init__(self, vectors: list[dict[int, float]], n_terms: int, block: int = BLOCK, probe: int = 2):
+        self.n, self.block, self.probe = len(vectors), block, probe
         self.blocks = -(-self.n // block)
         post: list[list[tuple[int, float]]] = [[] for _ in range(n_terms)]
         self.bound = np.zeros((n_terms, self.blocks))
@@ -67,23 +67,43 @@ class BlockMaxIndex:
         t = np.fromiter(query, np.int64, len(query))
         q = np.fromiter(query.values(), float, len(query))
         bound = q @ self.bound[t]
-        best: list[tuple[float, int]] = []
-        least = 0.0
-        for b in np.argsort(-bound, kind="stable").tolist():
-            if bound[b] <= 0 or len(best) == k and bound[b] < least - 1e-12:
-                break
-            self.opened += 1
-            acc = np.zeros(self.block)
-            for x, w in zip(t.tolist(), q.tolist()):
+        order = np.argsort(-bound, kind="stable")
+        terms = list(zip(t.tolist(), q.tolist()))
+        acc = np.zeros(self.blocks * self.block)
+        first = order[: self.probe].tolist()  # the most promising blocks give the score to beat
+        for b in first:
+            for x, w in terms:
                 lo, hi = self.cuts[x, b], self.cuts[x, b + 1]
                 if lo < hi:
-                    acc[self.ids[x][lo:hi] - b * self.block] += w * self.weights[x][lo:hi]
-            hit = np.flatnonzero(acc > 0 if len(best) < k else acc >= least - 1e-12)
-            best += [(-acc[i], b * self.block + i) for i in hit.tolist() if b * self.block + i != leave_out]
-            if len(best) >= k:
-                best = sorted((round(s, 12), i) for s, i in best)[:k]
-                least = -best[-1][0]
-        return [(i, -s) for s, i in sorted((round(s, 12), i) for s, i in best)[:k]]
+                    acc[self.ids[x][lo:hi]] += w * self.weights[x][lo:hi]
+        if leave_out >= 0:
+            acc[leave_out] = 0.0
+        found = np.sort(acc[acc > 0])
+        least = found[-k] if len(found) >= k else 0.0
+        rest = order[self.probe :]
+        rest = rest[(bound[rest] > 0) & (bound[rest] >= least - 1e-12)]
+        self.opened += len(first) + len(rest)
+        if len(rest):
+            more = np.zeros_like(acc)
+            if len(rest) * 4 < self.blocks:
+                for b in rest.tolist():
+                    for x, w in terms:
+                        lo, hi = self.cuts[x, b], self.cuts[x, b + 1]
+                        if lo < hi:
+                            more[self.ids[x][lo:hi]] += w * self.weights[x][lo:hi]
+            else:  # most blocks can matter: whole postings are cheaper than many short runs
+                for x, w in terms:
+                    more[self.ids[x]] += w * self.weights[x]
+            view, new = acc.reshape(-1, self.block), more.reshape(-1, self.block)
+            view[rest] = new[rest]
+            if leave_out >= 0:
+                acc[leave_out] = 0.0
+        score = np.round(acc, 12)
+        hit = np.flatnonzero(score > 0)
+        if len(hit) > k:
+            hit = hit[score[hit] >= np.partition(score[hit], -k)[-k]]
+        hit = hit[np.lexsort((hit, -score[hit]))][:k]
+        return list(zip(hit.tolist(), score[hit].tolist()))
 
 
 def isotonic(x: np.ndarray, y: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
