@@ -23,7 +23,7 @@ import regex
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import WordTable, table, text_column
+from .common import WordTable, stage, table, text_column
 
 SAMPLE, TERMS, NEIGHBOURS, BLOCK = 4000, 3000, 15, 64
 #: Lengths of the word beginnings that serve as terms beside whole words.
@@ -173,26 +173,6 @@ def held_out(key: Column) -> Column:
     return F.crc32(key.cast("string").cast("binary")) % 5 == 0
 
 
-def choose_terms(tf: list[dict[str, int]], labels: list[int], most: int = TERMS) -> list[str]:
-    """Terms whose presence goes with label 1, by the 2 x 2 likelihood-ratio statistic, strongest first."""
-    n1, n0 = sum(labels), len(labels) - sum(labels)
-    pos, neg = Counter(), Counter()
-    for t, c in zip(tf, labels):
-        (pos if c else neg).update(t.keys())
-    out = []
-    for t, a in pos.items():
-        b = neg.get(t, 0)
-        if a < 2 or a * n0 <= b * n1:
-            continue
-        g = 0.0
-        for o, e in ((a, n1 * (a + b)), (n1 - a, n1 * (n1 + n0 - a - b)), (b, n0 * (a + b)), (n0 - b, n0 * (n1 + n0 - a - b))):
-            if o:
-                g += 2 * o * math.log(o * (n1 + n0) / e)
-        if g > EVIDENCE:
-            out.append((-g, t))
-    return [t for _, t in sorted(out)[:most]]
-
-
 def _counts(split: list[list[str]], known: WordTable) -> list[dict[int, int]]:
     out = []
     for got in known.lookup(split):
@@ -212,31 +192,67 @@ def fit(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "te
     totals = {r.y: r.n for r in marked.groupBy("y").agg(F.count("*").alias("n")).collect()}
     picked = [marked.filter(F.col("y") == y).orderBy(F.xxhash64("k"), "k").limit(sample) for y in (0, 1)]
     chosen = [(r.k, r.y) for p in picked for r in p.collect()]  # at most 2 x sample ids
-    tf, y, names = [], [], []
+    vocabulary: list[str] = []
+    rows = None
     if chosen:
         few = spark.createDataFrame(chosen, "k long, y int")
-
-        def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                rows = []
-                for s in text_column(batch, "t"):
-                    c = Counter(x for w in s.split() for x in terms_of(w))
-                    rows.append(c)
-                yield pa.RecordBatch.from_arrays([batch.column("k"), batch.column("y"), pa.array([list(c) for c in rows], pa.list_(pa.string())), pa.array([list(c.values()) for c in rows], pa.list_(pa.int32()))], names=["k", "y", "w", "n"])
-
-        got = docs.select(F.col(key).cast("long").alias("k"), F.col(text).alias("t")).join(F.broadcast(few), "k").select("k", "y", "t").mapInArrow(read, "k long, y int, w array<string>, n array<int>")
-        met = set()
-        for r in sorted(got.toLocalIterator(), key=lambda r: (r.k, r.w)):
-            if r.k not in met:
-                met.add(r.k)
-                names.append(r.k)
-                y.append(r.y)
-                tf.append(dict(zip(r.w, r.n)))
-    vocabulary = choose_terms(tf, y, terms)
+        rows = docs.select(F.col(key).cast("long").alias("k"), F.col(text).alias("t")).join(F.broadcast(few), "k")
+        rows = stage(rows.groupBy("k").agg(F.max("y").alias("y"), F.min("t").alias("t")), "examples")
+        vocabulary = choose_terms(rows, terms)
     at = {t: i for i, t in enumerate(vocabulary)}
     n_docs, df = document_frequencies(docs, text, at)
     idf = np.log((n_docs + 1.0) / (df + 1.0)) + 1.0
-    return NeighbourModel(vocabulary, idf, names, [{at[t]: n for t, n in d.items() if t in at} for d in tf], y, totals, neighbours)
+    names, y, tf = [], [], []
+    if rows is not None:
+        for r in sorted(_example_terms(rows, at).collect()):  # known terms of at most 2 x sample examples
+            names.append(r.k)
+            y.append(r.y)
+            tf.append(dict(zip(r.ids, r.n)))
+    return NeighbourModel(vocabulary, idf, names, tf, y, totals, neighbours)
+
+
+def _example_terms(rows: DataFrame, at: dict[str, int]) -> DataFrame:
+    """(k, y, ids, n): the known terms of each example and how often it has them."""
+    tag = hash((tuple(sorted(at)), 2))
+    known = rows.sparkSession.sparkContext.broadcast((tag, at))
+
+    def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        words = _term_table(known.value[1], known.value[0])
+        for batch in batches:
+            tf = _counts([s.split() for s in text_column(batch, "t")], words)
+            yield pa.RecordBatch.from_arrays([batch.column("k"), batch.column("y"), pa.array([list(c) for c in tf], pa.list_(pa.int32())), pa.array([list(c.values()) for c in tf], pa.list_(pa.int32()))], names=["k", "y", "ids", "n"])
+
+    return rows.select("k", "y", "t").mapInArrow(read, "k long, y int, ids array<int>, n array<int>")
+
+
+def choose_terms(rows: DataFrame, most: int = TERMS) -> list[str]:
+    """Terms whose presence in the examples (y, t) goes with label 1, strongest first.
+
+    Counted where the examples are: the 2 x 2 likelihood-ratio statistic must exceed EVIDENCE.
+    """
+    totals = {r.y: r.n for r in rows.groupBy("y").agg(F.count("*").alias("n")).collect()}
+    n1, n0 = float(totals.get(1, 0)), float(totals.get(0, 0))
+    if not n1 or not n0:
+        return []
+
+    def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for lo in range(0, batch.num_rows, 200):
+                part = batch.slice(lo, 200)
+                sets = [sorted({x for w in s.split() for x in terms_of(w)}) for s in text_column(part, "t")]
+                y = np.repeat(part.column("y").to_numpy(), [len(s) for s in sets])
+                yield pa.RecordBatch.from_arrays([pa.array([x for s in sets for x in s], pa.string()), pa.array(y, pa.int32())], names=["term", "y"])
+
+    seen = rows.select("y", "t").mapInArrow(split, "term string, y int").groupBy("term").agg(F.sum("y").cast("double").alias("a"), (F.count("*") - F.sum("y")).cast("double").alias("b"))
+    seen = seen.filter((F.col("a") >= 2) & (F.col("a") * n0 > F.col("b") * n1))
+    a, b, n = F.col("a"), F.col("b"), n1 + n0
+
+    def part(o, e):
+        return F.when(o > 0, 2 * o * F.log(o * n / e)).otherwise(0.0)
+
+    g = part(a, n1 * (a + b)) + part(n1 - a, n1 * (n - a - b)) + part(b, n0 * (a + b)) + part(n0 - b, n0 * (n - a - b))
+    best = seen.withColumn("g", F.round(g, 6)).filter(F.col("g") > EVIDENCE).orderBy(F.desc("g"), "term").limit(most)
+    return [r.term for r in best.select("term").collect()]
 
 
 _TABLES: dict = {}
