@@ -14,10 +14,12 @@ Of each connected class the first line, by (key, line number), stays.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+import xxhash
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import n_parts, runs, stage, table
@@ -74,27 +76,31 @@ def within_edits(a: str, b: str, k: int) -> bool:
     return bool(levels[k] >> (len(b) - len(a) + k) & 1)
 
 
-def _segment(length: Column, i: int, parts: int) -> tuple[Column, Column]:
-    """(start from 1, length) of segment ``i`` of a line of the given length; the last ones are longer."""
-    q, r = F.floor(length / parts).cast("int"), length % parts
-    size = q + F.when(r >= parts - i, 1).otherwise(0)
-    before = sum((F.when(r >= parts - j, 1).otherwise(0) for j in range(i)), F.lit(0))
-    return F.lit(1) + q * i + before, size
+def segments(n: int, parts: int) -> list[tuple[int, int]]:
+    """(start, length) of the segments of a line of ``n`` characters; the last ones are longer."""
+    q, r = divmod(n, parts)
+    out, at = [], 0
+    for i in range(parts):
+        size = q + (r >= parts - i)
+        out.append((at, size))
+        at += size
+    return out
 
 
-def signatures(line: Column, n: Column, k: int) -> Column:
-    """Array of (sig, probe): the index entries of a line and the substrings that it looks up."""
-    parts, out = k + 1, []
-    for i in range(parts):
-        p, size = _segment(n, i, parts)
-        out.append(F.struct(F.xxhash64(n, F.lit(i), F.substring(line, p, size)).alias("sig"), F.lit(False).alias("probe")))
-        for gap in range(k + 1):
-            p, size = _segment(n - gap, i, parts)
+@lru_cache(maxsize=100_000)
+def places(n: int, k: int) -> list[tuple[bytes, bool, int, int]]:
+    """(prefix, own, from, to) of the signatures of a line of ``n`` characters.
+
+    The own segments serve as index entries and as look-ups; the rest are the substrings at which a
+    segment of a line up to ``k`` characters shorter can lie.
+    """
+    out = []
+    for gap in range(min(k, n - 1) + 1):
+        for i, (p, size) in enumerate(segments(n - gap, k + 1)):
             for o in range(max(-i, gap - (k - i)), min(i, gap + (k - i)) + 1):
-                fits = (p + o >= 1) & (p + o + size - 1 <= n)
-                sig = F.when(fits, F.xxhash64(n - gap, F.lit(i), F.substring(line, p + o, size)))
-                out.append(F.struct(sig.alias("sig"), F.lit(True).alias("probe")))
-    return F.array(*out)
+                if p + o >= 0 and p + o + size <= n:
+                    out.append((b"%d:%d:" % (n - gap, i), gap == 0 and o == 0, p + o, p + o + size))
+    return out
 
 
 def _chars(lines: list[str]) -> np.ndarray:
@@ -108,22 +114,36 @@ def line_links(lines: DataFrame, threshold: int = THRESHOLD, cell: int = CELL) -
     """(a, b): links between the distinct ``lines`` (lid, line, n) that keep every class connected."""
     spark = lines.sparkSession
     parts = n_parts(spark)
-    sigs = lines.select("lid", F.inline(signatures(F.col("line"), F.col("n"), threshold))).filter("sig is not null")
-    sigs = sigs.repartition(parts, "sig").sortWithinPartitions("sig")
+
+    def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        digest = xxhash.xxh3_64_intdigest
+        for batch in batches:
+            for lo in range(0, batch.num_rows, 5000):
+                part = batch.slice(lo, 5000)
+                sig, own, per = [], [], []
+                for s in part.column("line").to_pylist():
+                    at = places(len(s), threshold)
+                    sig += [digest(x + s[a:b].encode()) for x, _, a, b in at]
+                    own += [o for _, o, _, _ in at]
+                    per.append(len(at))
+                lid = np.repeat(part.column("lid").to_numpy(), per)
+                yield pa.RecordBatch.from_arrays([pa.array(np.array(sig, np.uint64).view(np.int64)), pa.array(lid), pa.array(own, pa.bool_())], names=["sig", "lid", "own"])
+
+    sigs = lines.select("lid", "line").mapInArrow(sign, "sig long, lid long, own boolean").repartition(parts, "sig").sortWithinPartitions("sig")
 
     def shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for cols, found in runs(batches, ["sig"]):
             out: list[list] = [[], [], [], [], []]
-            lid, probe = cols["lid"], cols["probe"].astype(bool)
+            lid, mine = cols["lid"], cols["own"].astype(bool)
             for lo, hi in found:
-                own, ask = np.unique(lid[lo:hi][~probe[lo:hi]]), np.unique(lid[lo:hi][probe[lo:hi]])
-                if not len(own) or len(ask) < 2 and own.tolist() == ask.tolist():
+                own, ask = np.unique(lid[lo:hi][mine[lo:hi]]), np.unique(lid[lo:hi])
+                if not len(own) or len(ask) < 2:
                     continue
                 a, b = -(-len(own) // cell), -(-len(ask) // cell)
-                for side, ids, mine, other in ((False, own, a, b), (True, ask, b, a)):
+                for side, ids, n, other in ((False, own, a, b), (True, ask, b, a)):
                     for i, x in enumerate(ids.tolist()):
                         for j in range(other):
-                            u, v = (i % mine, j) if not side else (j, i % mine)
+                            u, v = (i % n, j) if not side else (j, i % n)
                             for o, y in zip(out, (int(cols["sig"][lo]), u, v, side, x)):
                                 o.append(y)
             types = (pa.int64(), pa.int32(), pa.int32(), pa.bool_(), pa.int64())

@@ -33,7 +33,7 @@ from .common import n_parts, runs, stage, table, text_column
 
 WINDOW, GRAM = 50, 8
 #: Occurrences of an anchor in one reference shard.
-SHARD = 300
+SHARD = 1500
 LAST = (1 << 63) - 1
 _WORDS = 200_000
 
@@ -170,6 +170,7 @@ def repeated_windows(docs: DataFrame, key: str = "doc_id", text: str = "text", w
 
     marks = stage(src.mapInArrow(find, "d long, uid long, h long, lo int, hi int"), "anchors")
     often = marks.groupBy("h").agg(F.min("d").alias("d0"), F.max("d").alias("d1"), F.count("*").alias("n")).filter("d0 != d1").select("h", F.ceil(F.col("n") / shard).cast("int").alias("m"))
+    often = stage(often, "shared")  # read back, so that the join deals both sides anew and hot anchors can be split
     shared = marks.join(often, "h").groupBy("d", "uid").agg(F.collect_list(F.struct("h", "lo", "hi", "m")).alias("spans"))
     with_text = shared.join(src, (F.col("d") == F.col("__d")) & (F.col("uid") == F.col("__uid"))).select("d", "uid", "spans", "__text")
 
@@ -240,6 +241,7 @@ def repeated_windows(docs: DataFrame, key: str = "doc_id", text: str = "text", w
     seen = stage(cells.mapInArrow(match, "h long, d long, uid long, a int, b int, h1 long, h2 long"), "matches")
     first = seen.filter("h1 is not null")
     least = first.groupBy("h1", "h2").agg(F.min("d").alias("d0"), F.max("d").alias("d1")).filter("d0 != d1").select("h1", "h2", "d0")
+    least = stage(least, "first-seen")
     later = first.join(least, ["h1", "h2"]).filter("d > d0").select("d", "uid", "a", "b")
     return keyed, seen.filter("h1 is null").select("d", "uid", "a", "b").union(later)
 
