@@ -33,7 +33,7 @@ from .common import n_parts, runs, stage, table, text_column
 
 WINDOW, GRAM = 50, 8
 #: Occurrences of an anchor in one reference shard.
-SHARD = 1500
+SHARD = 1000
 LAST = (1 << 63) - 1
 _WORDS = 200_000
 
@@ -193,36 +193,50 @@ def repeated_windows(docs: DataFrame, key: str = "doc_id", text: str = "text", w
     cells = cells.repartition(parts, "h", "c").sortWithinPartitions("h", "c", "d")
 
     def match(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for cols, found in runs(batches, ["h", "c"], least=1):
-            out: list[list] = [[], [], [], [], [], [], []]
+        types = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int64())
+        names = ["h", "d", "uid", "a", "b", "h1", "h2"]
+        out: list[list] = [[] for _ in types]
 
-            def put(h, d, u, a, b, h1, h2):
-                for o, x in zip(out, (h, d, u, a, b, h1, h2)):
-                    o.append(x)
+        def put(*row):
+            for o, x in zip(out, row):
+                o.append(x)
+
+        def flush() -> pa.RecordBatch:
+            batch = pa.RecordBatch.from_arrays([pa.array(o, t) for o, t in zip(out, types)], names=names)
+            for o in out:
+                o.clear()
+            return batch
 
+        for cols, found in runs(batches, ["h", "c"], least=1):
             for lo, hi in found:
                 h, many = int(cols["h"][lo]), cols["m"][lo] > 1
                 if hi - lo == 1 and not many:
                     continue
                 auto = SuffixAutomaton()
                 seen: set[bytes] = set()
+                fresh: list[bytes] = []  # seen, but not yet in the automaton: copies alone never need one
                 waiting: list[bytes] = []
                 at_d = None
-                d_, u_, s_, w_ = (cols[c][lo:hi].tolist() for c in ("d", "uid", "lo", "words"))
-                for d, u, s, raw in zip(d_, u_, s_, w_):
+                for r in range(lo, hi):
+                    d, u, s, raw = int(cols["d"][r]), int(cols["uid"][r]), int(cols["lo"][r]), cols["words"][r]
                     if d != at_d:
                         for x in waiting:
                             if x not in seen:
                                 seen.add(x)
-                                auto.add(x.split())
+                                fresh.append(x)
                         waiting, at_d = [], d
-                    words = raw.split()
-                    n = len(words) - window + 1
                     if raw in seen:
-                        put(h, d, u, s, s + n - 1, None, None)
+                        put(h, d, u, s, s + raw.count(b" ") + 1 - window, None, None)
                         continue
+                    words = raw.split()
+                    n = len(words) - window + 1
                     waiting.append(raw)
-                    hit = [x >= window for x in auto.statistics(words)[window - 1 :]] if seen else [False] * n
+                    hit = [False] * n
+                    if seen:
+                        for x in fresh:
+                            auto.add(x.split())
+                        fresh = []
+                        hit = [x >= window for x in auto.statistics(words)[window - 1 :]]
                     i = 0
                     while i < n:
                         if hit[i]:
@@ -235,8 +249,9 @@ def repeated_windows(docs: DataFrame, key: str = "doc_id", text: str = "text", w
                             x = xxhash.xxh128_intdigest(b" ".join(words[i : i + window]))
                             put(h, d, u, s + i, s + i, (x >> 64) - (1 << 63), (x & (1 << 64) - 1) - (1 << 63))
                         i += 1
-            types = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int64())
-            yield pa.RecordBatch.from_arrays([pa.array(o, t) for o, t in zip(out, types)], names=["h", "d", "uid", "a", "b", "h1", "h2"])
+                    if len(out[0]) > 20_000:
+                        yield flush()
+            yield flush()
 
     seen = stage(cells.mapInArrow(match, "h long, d long, uid long, a int, b int, h1 long, h2 long"), "matches")
     first = seen.filter("h1 is not null")
@@ -262,7 +277,7 @@ def remove_repeats(docs: DataFrame, key: str = "doc_id", text: str = "text", win
     names = docs.columns
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in (b.slice(lo, 500) for b in batches for lo in range(0, b.num_rows, 500)):
             kept, total, removed, spans = [], [], [], []
             for t, g in zip(text_column(batch, text), batch.column("__gone").to_pylist()):
                 words = t.encode().split()

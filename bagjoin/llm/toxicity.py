@@ -16,6 +16,7 @@ from __future__ import annotations
 import math
 from collections import Counter
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -174,14 +175,12 @@ def held_out(key: Column) -> Column:
 
 
 def _counts(split: list[list[str]], known: WordTable) -> list[dict[int, int]]:
-    out = []
-    for got in known.lookup(split):
-        tf: dict[int, int] = {}
-        for ids in got:
-            for t in ids:
-                tf[t] = tf.get(t, 0) + 1
-        out.append(tf)
-    return out
+    return [Counter(chain.from_iterable(got)) for got in known.lookup(split)]
+
+
+def _tag(at: dict[str, int]) -> int:
+    """Names the vocabulary, so that workers keep one table over all passes."""
+    return hash(tuple(at))
 
 
 def fit(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "text", label: str = "toxic", sample: int = SAMPLE, terms: int = TERMS, neighbours: int = NEIGHBOURS) -> NeighbourModel:
@@ -213,7 +212,7 @@ def fit(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "te
 
 def _example_terms(rows: DataFrame, at: dict[str, int]) -> DataFrame:
     """(k, y, ids, n): the known terms of each example and how often it has them."""
-    tag = hash((tuple(sorted(at)), 2))
+    tag = _tag(at)
     known = rows.sparkSession.sparkContext.broadcast((tag, at))
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -268,7 +267,7 @@ def _term_table(at: dict[str, int], tag: int) -> WordTable:
 
 def document_frequencies(docs: DataFrame, text: str, at: dict[str, int]) -> tuple[int, np.ndarray]:
     """Rows of ``docs`` and, per term, how many contain it: one pass, one partial count per task."""
-    tag = hash(tuple(sorted(at)))
+    tag = _tag(at)
     known = docs.sparkSession.sparkContext.broadcast((tag, at))
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -300,7 +299,7 @@ def score(docs: DataFrame, model: NeighbourModel, key: str = "doc_id", text: str
     """
     docs = docs.drop(*[c for c in ("score", "predicted", "evidence") if c in docs.columns and c not in (key, text)])
     names = docs.columns
-    tag = hash((tuple(sorted(model.terms)), 1))
+    tag = _tag(model.terms)
     shared = docs.sparkSession.sparkContext.broadcast((tag, model))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
