@@ -32,7 +32,7 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import WordTable, table, text_column
+from .common import WordTable, process_table, table, text_column
 
 #: Fixed values of the vocabulary file: its split pattern and end-of-word mark.
 SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
@@ -40,8 +40,8 @@ WORD_END = "</w>"
 #: Control characters that str.split() takes for white space and the pattern does not.
 _NOT_SPACE = ("\x1c", "\x1d", "\x1e", "\x1f")
 _SPACES = regex.compile(r"[\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]+")
-#: Words in a generation of a worker's table (about 100 MB).
-WORD_TABLE = 250_000
+#: Words in a generation of a worker's table (about 60 MB).
+WORD_TABLE = 150_000
 
 
 def byte_symbols() -> list[str]:
@@ -263,22 +263,16 @@ def compiled(path: str) -> WordBpe:
     return _COMPILED[path]
 
 
-#: The word table of this process and the automaton that it is for.
-_TABLE: list = [None, None]
-
-
 def _word_table(m: WordBpe) -> WordTable:
     """(ids, decoded, number) per word, kept over the tasks of a worker."""
-    if _TABLE[0] is not m:
 
-        def learn(words: list[str]) -> list[tuple[str, str, int]]:
-            out = []
-            for lo in range(0, len(words), 50_000):
-                out += [(" ".join(map(str, ids)), m.decode(ids), len(ids)) for ids in m.encode_chunks(words[lo : lo + 50_000])]
-            return out
+    def learn(words: list[str]) -> list[tuple[str, str, int]]:
+        out = []
+        for lo in range(0, len(words), 20_000):
+            out += [(" ".join(map(str, ids)), m.decode(ids), len(ids)) for ids in m.encode_chunks(words[lo : lo + 20_000])]
+        return out
 
-        _TABLE[:] = [m, WordTable(learn, WORD_TABLE)]
-    return _TABLE[1]
+    return process_table(("bpe", id(m)), lambda: WordTable(learn, WORD_TABLE))
 
 
 def encode_documents(docs: DataFrame, path: str, text: str = "text", keep_ids: bool = False) -> DataFrame:

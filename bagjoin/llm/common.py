@@ -210,3 +210,19 @@ class WordTable:
                     done = end
             noted.clear()
         return out
+
+
+_TABLE: dict = {}
+
+
+def process_table(key, make) -> WordTable:
+    """The word table of this worker process for ``key``; a worker keeps one at a time, over its tasks."""
+    if key not in _TABLE:
+        _TABLE.clear()
+        _TABLE[key] = make()
+    return _TABLE[key]
+
+
+def forget_tables() -> None:
+    """Let go of the word table of an operator that ran in this worker before."""
+    _TABLE.clear()

@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import n_parts, runs, stage, table
+from .common import forget_tables, n_parts, runs, stage, table
 from .components import components
 from .simhash import Forest
 
@@ -116,6 +116,7 @@ def line_links(lines: DataFrame, threshold: int = THRESHOLD, cell: int = CELL) -
     parts = n_parts(spark)
 
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget_tables()
         digest = xxhash.xxh3_64_intdigest
         for batch in batches:
             for lo in range(0, batch.num_rows, 5000):

@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import into_cells, n_parts, runs, stage, table, text_column
+from .common import forget_tables, into_cells, n_parts, runs, stage, table, text_column
 from .components import components
 
 #: Rows of a shard chunk; a task holds one tree of this size at a time.
@@ -58,6 +58,7 @@ def fingerprints(docs: DataFrame, key: str = "doc_id", text: str = "text", shing
     src = docs.select(*[docs[c] for c in cols], docs[text].alias("__text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget_tables()
         for batch in batches:
             fps = np.array([fingerprint(t, shingle, seed) for t in text_column(batch, "__text")], dtype=np.uint64).view(np.int64)
             yield pa.RecordBatch.from_arrays([batch.column(c) for c in cols] + [pa.array(fps)], names=[*cols, "fp"])

@@ -34,7 +34,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .bpe import chunks_of
-from .common import WordTable, n_parts, new_folder, table, text_column
+from .common import WordTable, n_parts, new_folder, process_table, table, text_column
 
 MAGIC = b"BJSST001"
 FOOTER = struct.Struct("<QQQQQQII8s")  # index at, index bytes, bloom at, bloom bytes, docs, tokens, id width, hashes
@@ -233,14 +233,9 @@ class LibraryEncoder:
         return list(map(b"".join, self.words.lookup(list(map(chunks_of, texts)))))
 
 
-#: One encoder per file and id width in a worker process, so that its table serves many tasks.
-_ENCODERS: dict[tuple[str, str], LibraryEncoder] = {}
-
-
 def library_encoder(path: str, dtype: str) -> LibraryEncoder:
-    if (path, dtype) not in _ENCODERS:
-        _ENCODERS[path, dtype] = LibraryEncoder(path, dtype)
-    return _ENCODERS[path, dtype]
+    """One encoder in a worker process, so that its table serves many tasks."""
+    return process_table(("sst", path, dtype), lambda: LibraryEncoder(path, dtype))
 
 
 def write_shards(docs: DataFrame, folder: str, tokenizer: str, key: str = "doc_id", text: str = "text", end_id: int = 2, parts: int | None = None, width: int = 2) -> list[dict]:

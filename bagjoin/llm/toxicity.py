@@ -24,13 +24,15 @@ import regex
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import WordTable, stage, table, text_column
+from .common import WordTable, process_table, stage, table, text_column
 
 SAMPLE, TERMS, NEIGHBOURS, BLOCK = 4000, 3000, 15, 64
 #: Lengths of the word beginnings that serve as terms beside whole words.
 STEMS = (4, 5, 6)
 #: A term is kept if its 2 x 2 statistic exceeds this (about one in 50,000 by chance).
 EVIDENCE = 18.0
+#: ... and if it is so many times as frequent in examples of label 1.
+LIFT = 2.0
 _WORD = regex.compile(r"\w+")
 
 
@@ -243,7 +245,7 @@ def choose_terms(rows: DataFrame, most: int = TERMS) -> list[str]:
                 yield pa.RecordBatch.from_arrays([pa.array([x for s in sets for x in s], pa.string()), pa.array(y, pa.int32())], names=["term", "y"])
 
     seen = rows.select("y", "t").mapInArrow(split, "term string, y int").groupBy("term").agg(F.sum("y").cast("double").alias("a"), (F.count("*") - F.sum("y")).cast("double").alias("b"))
-    seen = seen.filter((F.col("a") >= 2) & (F.col("a") * n0 > F.col("b") * n1))
+    seen = seen.filter((F.col("a") >= 2) & (F.col("a") * n0 > LIFT * F.col("b") * n1))
     a, b, n = F.col("a"), F.col("b"), n1 + n0
 
     def part(o, e):
@@ -254,15 +256,8 @@ def choose_terms(rows: DataFrame, most: int = TERMS) -> list[str]:
     return [r.term for r in best.select("term").collect()]
 
 
-_TABLES: dict = {}
-
-
 def _term_table(at: dict[str, int], tag: int) -> WordTable:
-    """The table of this process for one vocabulary; earlier ones are let go."""
-    if tag not in _TABLES:
-        _TABLES.clear()
-        _TABLES[tag] = WordTable(lambda words: [tuple(at[t] for t in terms_of(w) if t in at) for w in words])
-    return _TABLES[tag]
+    return process_table(("terms", tag), lambda: WordTable(lambda words: [tuple(at[t] for t in terms_of(w) if t in at) for w in words], 200_000))
 
 
 def document_frequencies(docs: DataFrame, text: str, at: dict[str, int]) -> tuple[int, np.ndarray]:
