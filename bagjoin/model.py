@@ -234,10 +234,10 @@ class Network:
     factors: tuple[Factor, ...]
     domains: dict[str, int]
     sizes: dict[str, int]
-    scale: float = 1.0  # weight of factors that evidence has bound completely
+    scale: float = 1  # weight of factors that evidence has bound completely
 
     @staticmethod
-    def of(factors: Iterable[Factor], domains: dict[str, int] | None = None, sizes: dict[str, int] | None = None, uncovered: dict[str, DataFrame] | None = None, scale: float = 1.0) -> Network:
+    def of(factors: Iterable[Factor], domains: dict[str, int] | None = None, sizes: dict[str, int] | None = None, uncovered: dict[str, DataFrame] | None = None, scale: float = 1) -> Network:
         """Count rows and values in one job unless they are given; names must differ.
 
         ``uncovered`` has the domain of variables in no factor: each gets a uniform factor.

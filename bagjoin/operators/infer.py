@@ -48,7 +48,7 @@ class Calibrated:
     choices: dict[int, st.Choice]
     config: InferConfig
     log_scale: float = 0.0
-    constants: float = 1.0
+    constants: float = 1
     raw: dict[int, Factor] = field(default_factory=dict)
 
     def partition_function(self) -> DataFrame:
@@ -57,7 +57,7 @@ class Calibrated:
         for r in self.dec.roots:
             z = self.products[r].df.agg(self.config.semiring.plus(F.col(W)).alias("z"))
             out = z if out is None else out.crossJoin(z.withColumnRenamed("z", "__z")).select((F.col("z") * F.col("__z")).alias("z"))
-        if self.constants != 1.0:
+        if self.constants != 1:
             out = out.select((F.col("z") * F.lit(self.constants)).alias("z"))
         return out
 
@@ -83,7 +83,7 @@ class Calibrated:
             if r != self._tree_of(b):
                 z = self.products[r].df.agg(self.config.semiring.plus(F.col(W)).alias("__z"))
                 out = out.crossJoin(z).withColumn("mass", F.col("mass") * F.col("__z")).drop("__z")
-        return out
+        return out.withColumn("mass", F.col("mass") * F.lit(self.constants)) if self.constants != 1 else out
 
     def variable_marginals(self, vars: Iterable[str] | None = None, probs: bool = True) -> DataFrame:
         """(variable, value, mass, prob) of all variables (M5a): grouping sets per bag, one pass each."""
@@ -108,6 +108,8 @@ class Calibrated:
                     z = self.products[r].df.agg(self.config.semiring.plus(F.col(W)).alias("__z"))
                     part = part.crossJoin(z).withColumn("mass", F.col("mass") * F.col("__z")).drop("__z")
             parts = part if parts is None else parts.unionByName(part)
+        if self.constants != 1:
+            parts = parts.withColumn("mass", F.col("mass") * F.lit(self.constants))
         if not probs:
             return parts
         z = parts.groupBy("variable").agg(F.sum("mass").alias("__z"))
