@@ -214,7 +214,7 @@ class LibraryEncoder:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
-        self.lib, self.dtype, self.words = Tokenizer.from_file(path), dtype, WordTable(self._learn)
+        self.lib, self.dtype, self.words = Tokenizer.from_file(path), dtype, WordTable(self._learn, 600_000)
         self.lib.no_truncation()
         self.lib.no_padding()
 
