@@ -1,10 +1,14 @@
 """Embedding near-duplicates by spherical-cap filters with random product codes.
 
-A filter is a direction; a vector belongs to every filter whose inner product with it exceeds a
+A filter is a direction; a vector belongs to the filters whose inner product with it exceeds a
 threshold. Directions are the sums of one code word per block of coordinates, so the filters of a
 vector are listed without trying them all: the inner products with each block's code words are
-sorted, and only combinations that can still exceed the threshold are opened. Vectors that share a
-filter and a label are compared exactly, in double precision.
+sorted, and only combinations that can still exceed the threshold are opened. The threshold is each
+vector's own, namely its k-th best inner product, so no vector is without filters. There are
+several codes under independent rotations, and k is raised until pairs at the bound, run through
+these very codes, miss each other at most at the target rate, whatever the number of vectors. Up to
+``CHUNK`` vectors of a label, and where no k reaches the target, all pairs are compared. Vectors that
+share a filter and a label are compared exactly, in double precision.
 
 Equal vectors are one node with a multiplicity, so copies are counted without being paired. A pair
 that shares several filters is counted in the least of them.
@@ -26,8 +30,10 @@ from .simhash import Forest
 
 #: Rows of a chunk of a filter's vectors.
 CHUNK = 800
-#: Filters that a vector belongs to on average, and vectors a filter should hold.
+#: Filters that a vector belongs to at least, and vectors a filter should hold.
 FILTERS, HELD = 24, 48
+#: Independent codes, target rate of missed pairs at the bound, pairs it is measured on, most filters of a vector.
+CODES, MISS, TRIALS, MOST = 2, 0.0005, 4000, 512
 
 
 class CapCode:
@@ -62,17 +68,75 @@ class CapCode:
             ids, sums = ids[row] * self.size + o[col], sums[row] + s[col]
         return np.sort(ids).tolist()
 
+    def best(self, units: np.ndarray, k: int) -> np.ndarray:
+        """The ``k`` filters of largest inner product of every row, in no order."""
+        x = units @ self.rotation.T
+        words, sums = [], []
+        for (a, b), w in zip(zip(self.cuts, self.cuts[1:]), self.words):
+            s = x[:, a:b] @ w.T
+            n = min(k, self.size)
+            o = np.argpartition(-s, n - 1, axis=1)[:, :n]
+            o = np.take_along_axis(o, np.argsort(-np.take_along_axis(s, o, 1), axis=1, kind="stable"), 1)
+            words.append(o)
+            sums.append(np.take_along_axis(s, o, 1))
+        # the words ranked (i, j) are beaten by (i + 1)(j + 1) - 1 other choices
+        ranks = np.zeros((1, 0), np.int64)
+        for o in words:
+            room = k // np.prod(ranks + 1, axis=1)
+            n = np.minimum(room, o.shape[1])
+            row = np.repeat(np.arange(len(ranks)), n)
+            col = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
+            ranks = np.column_stack([ranks[row], col])
+        total = sum(s[:, r] for s, r in zip(sums, ranks.T))
+        ids = np.zeros((len(x), len(ranks)), np.int64)
+        for o, r in zip(words, ranks.T):
+            ids = ids * self.size + o[:, r]
+        if ids.shape[1] <= k:
+            return ids
+        return np.take_along_axis(ids, np.argpartition(-total, k - 1, axis=1)[:, :k], 1)
+
+
+class Filters:
+    """Several product codes; lists ``k`` filters of each for a vector, or one for all if ``k`` is 0."""
+
+    def __init__(self, n: int, dim: int, k: int, held: float = HELD, codes: int = CODES, seed: int = 17):
+        blocks = 2 if dim < 24 or n * k / held < 1e8 else 3
+        size = max(2, math.ceil((n * k / held) ** (1 / blocks)))
+        self.k, self.count = k, size**blocks
+        self.codes = [CapCode(dim, size, -1.0, blocks, seed + i) for i in range(codes)] if k else []
+
+    def of(self, units: np.ndarray) -> np.ndarray:
+        if not self.codes:
+            return np.zeros((len(units), 1), np.int64)
+        out = []
+        for lo in range(0, len(units), 256):
+            out.append(np.hstack([c.best(units[lo : lo + 256], self.k) + i * self.count for i, c in enumerate(self.codes)]))
+        return np.sort(np.vstack(out), axis=1)
+
+    def missed(self, cosine: float, trials: int = TRIALS, seed: int = 1) -> float:
+        """Share of random pairs at ``cosine`` that have no filter in common."""
+        rng = np.random.default_rng(seed)
+        u, v = rng.normal(size=(2, trials, self.codes[0].rotation.shape[0]))
+        u /= np.linalg.norm(u, axis=1, keepdims=True)
+        v -= (v * u).sum(axis=1, keepdims=True) * u
+        v /= np.linalg.norm(v, axis=1, keepdims=True)
+        a, b = self.of(u), self.of(cosine * u + math.sqrt(1 - cosine * cosine) * v)
+        return 1 - np.mean([not set(x).isdisjoint(y) for x, y in zip(a.tolist(), b.tolist())])
 
-def code_for(n: int, dim: int, filters: float = FILTERS, held: float = HELD, seed: int = 17) -> CapCode:
-    """A code whose filters hold about ``held`` of ``n`` vectors, with ``filters`` per vector on average."""
-    p = min(0.004, max(1e-9, held / max(n, 1)))
-    lo, hi = 0.0, 8.0
-    for _ in range(60):
-        mid = (lo + hi) / 2
-        lo, hi = (mid, hi) if 0.5 * math.erfc(mid / math.sqrt(2)) > p else (lo, mid)
-    blocks = 2 if dim < 24 or filters / p < 4e6 else 3
-    size = max(2, math.ceil((filters / p) ** (1 / blocks)))
-    return CapCode(dim, size, lo / math.sqrt(dim), blocks, seed)
+
+def filters_for(n: int, dim: int, cosine: float, filters: float = FILTERS, held: float = HELD, seed: int = 17) -> Filters:
+    """Filters for ``n`` vectors that lose at most ``MISS`` of the pairs at ``cosine``, at least ``filters`` per vector.
+
+    The rate is measured on the codes themselves. One filter for all (nothing lost) for up to
+    ``CHUNK`` vectors, in few dimensions, and if ``MOST`` filters per vector do not reach the rate.
+    """
+    k = max(1, math.ceil(filters / CODES))
+    while n > CHUNK and dim >= 8 and 0 < cosine < 1 and k * CODES <= MOST:
+        out = Filters(n, dim, k, held, seed=seed)
+        if out.missed(cosine) <= MISS:
+            return out
+        k = math.ceil(k * 1.3)
+    return Filters(n, dim, 0)
 
 
 def _usable(c):
@@ -86,7 +150,8 @@ def near_vectors(vectors: DataFrame, key: str = "vec_id", vector: str = "embeddi
     Vectors that are null, empty, zero or hold null or non-finite components link with nothing, and
     neither do vectors of different length. Equal vectors of a label are linked with each other.
     Rows that repeat a key are one vertex per row with that key; a null key never links.
-    Recall is that of the filters (tests measure it); a reported link is exact.
+    At most about ``MISS`` of the links at the bound are lost (tests measure it), fewer above it; a
+    reported link is exact.
     """
     spark = vectors.sparkSession
     src = vectors.select(vectors[key].alias("id"), vectors[vector].cast("array<double>").alias("x"), vectors[label].alias("label"))
@@ -95,19 +160,22 @@ def near_vectors(vectors: DataFrame, key: str = "vec_id", vector: str = "embeddi
     good = good.withColumn("x", F.transform("x", lambda v: v + 0.0))
     nodes = stage(good.groupBy("label", "x").agg(F.min("id").alias("rep"), F.count("*").alias("copies"), F.first(scale).alias("s")).withColumn("s", F.col("s")), "vectors")
     most = nodes.groupBy("label", F.size("x").alias("d")).agg(F.count("*").alias("n")).groupBy("d").agg(F.max("n").alias("n")).collect()
-    codes = {r.d: code_for(r.n, r.d, filters, held, seed) for r in most}
+    codes = {r.d: filters_for(r.n, r.d, cosine, filters, held, seed) for r in most}
 
     def decode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out = {"rep": [], "x": [], "fs": []}
-            for rep, x, s in zip(batch.column("rep").to_pylist(), batch.column("x").to_pylist(), batch.column("s").to_pylist()):
+            units, lists = [], [None] * batch.num_rows
+            for x, s in zip(batch.column("x").to_pylist(), batch.column("s").to_pylist()):
                 v = np.array(x) / s
-                v /= math.sqrt(v @ v)
-                out["rep"].append(rep)
-                out["x"].append(v.astype("<f8").tobytes())
-                out["fs"].append(codes[len(v)].decode(v))
-            fs = pa.array(out["fs"], pa.list_(pa.int64()))
-            yield pa.RecordBatch.from_arrays([pa.array(out["rep"], pa.int64()), batch.column("label"), batch.column("copies"), pa.array([len(b) // 8 for b in out["x"]], pa.int32()), pa.array(out["x"], pa.binary()), fs], names=["rep", "label", "copies", "d", "x", "fs"])
+                units.append(v / math.sqrt(v @ v))
+            dims = np.array([len(v) for v in units])
+            for d in np.unique(dims).tolist():
+                at = np.flatnonzero(dims == d)
+                for i, fs in zip(at.tolist(), codes[d].of(np.array([units[i] for i in at])).tolist()):
+                    lists[i] = fs
+            fs = pa.array(lists, pa.list_(pa.int64()))
+            xs = pa.array([v.astype("<f8").tobytes() for v in units], pa.binary())
+            yield pa.RecordBatch.from_arrays([batch.column("rep"), batch.column("label"), batch.column("copies"), pa.array(dims, pa.int32()), xs, fs], names=["rep", "label", "copies", "d", "x", "fs"])
 
     kind = dict(src.dtypes)["label"]
     coded = stage(nodes.select("rep", "label", "copies", "x", "s").mapInArrow(decode, f"rep long, label {kind}, copies long, d int, x binary, fs array<long>"), "filters")

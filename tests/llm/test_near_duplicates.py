@@ -138,3 +138,42 @@ def test_cap_code_lists_every_filter():
         y = code.rotation @ x
         all_ = (code.words[0] @ y[:8])[:, None] + (code.words[1] @ y[8:])[None, :]
         assert code.decode(x) == np.flatnonzero(all_.reshape(-1) >= 0.45).tolist()
+
+
+def test_best_filters_are_those_of_a_cap():
+    rng = np.random.default_rng(4)
+    xs = rng.normal(size=(30, 24))
+    xs /= np.linalg.norm(xs, axis=1, keepdims=True)
+    for blocks in (2, 3):
+        code = embeddings.CapCode(24, 9, 0.0, blocks, seed=3)
+        for x, got in zip(xs, code.best(xs, 12)):
+            y = code.rotation @ x
+            all_ = np.zeros(1)
+            for (a, b), w in zip(zip(code.cuts, code.cuts[1:]), code.words):
+                all_ = (all_[:, None] + (w @ y[a:b])[None, :]).reshape(-1)
+            assert sorted(got.tolist()) == np.sort(np.argsort(-all_)[:12]).tolist()
+
+
+def test_filters_keep_their_recall_as_labels_grow():
+    for n in (500, 10_000, 300_000, 3_000_000):
+        f = embeddings.filters_for(n, 64, 0.93)
+        rng = np.random.default_rng(n)
+        u, v = rng.normal(size=(2, 2000, 64))
+        u /= np.linalg.norm(u, axis=1, keepdims=True)
+        v -= (v * u).sum(axis=1, keepdims=True) * u
+        v /= np.linalg.norm(v, axis=1, keepdims=True)
+        a, b = f.of(u), f.of(0.93 * u + np.sqrt(1 - 0.93**2) * v)
+        assert a.shape[1] > 0
+        assert sum(not set(x) & set(y) for x, y in zip(a.tolist(), b.tolist())) <= 10, n
+
+
+def test_vectors_of_large_labels_are_linked(spark):
+    rng = np.random.default_rng(9)
+    x = rng.normal(size=(1500, 64))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    y = rng.normal(size=x.shape)
+    y -= (y * x).sum(axis=1, keepdims=True) * x
+    y /= np.linalg.norm(y, axis=1, keepdims=True)
+    z = 0.9301 * x + np.sqrt(1 - 0.9301**2) * y
+    df = spark.createDataFrame([(i, v, 0) for i, v in enumerate(np.vstack([x, z]).tolist())], "vec_id long, embedding array<double>, label int")
+    assert embeddings.near_vectors(df).filter("n_links = 0").count() <= 8
