@@ -1,6 +1,7 @@
 """op6, and the pipeline against a brute-force version of its decisions."""
 
 import os
+import random
 import re
 
 import pytest
@@ -90,3 +91,25 @@ def test_modules_name_no_python_in_native_operator():
     with open(decontaminate.__file__) as f:
         assert not re.search(r"udf|mapIn|applyIn|pandas|pyarrow|\.rdd", f.read())
     assert simhash.MASK == (1 << 64) - 1
+
+
+def brute_shingles(t):
+    w = [x.lower() for x in (t or "").split()]
+    return {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
+
+
+def test_near_dedup_equals_brute_jaccard(spark):
+    pipeline = pytest.importorskip("corpus_pipeline")
+    r = random.Random(6)
+    rows = []
+    for _ in range(40):
+        base = [f"w{r.randrange(5000)}" for _ in range(r.choice([4, 12, 60, 200]))]
+        rows.append(base)
+        for rate in (0.0, 0.01, 0.02, 0.03):
+            rows.append([x if r.random() >= rate else f"n{r.randrange(5000)}" for x in base])
+    rows = [(i, " ".join(w), "en", "x", 0) for i, w in enumerate(rows)] + [(900, "", "en", "x", 0), (901, None, "en", "x", 0)]
+    sets = [brute_shingles(x[1]) for x in rows]
+    g = groups(len(rows), lambda a, b: sets[a] == sets[b] or len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]))
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    got = sorted(x.doc_id for x in pipeline.near_dedup(spark, docs, "").select("doc_id").collect())
+    assert got == [rows[i][0] for i in range(len(rows)) if g[i] == i]
