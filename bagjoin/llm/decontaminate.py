@@ -1,9 +1,9 @@
 """Benchmark decontamination with SimHash windows, built from DataFrame functions only.
 
 1. Words are maximal runs of letters and digits, lower-cased; shingles are five words.
-2. Every position of every document whose shingle occurs in some benchmark item proposes, for each
-   such occurrence, the item-sized window that lines the two up. A window without a common shingle
-   has similarity zero, so no window is lost.
+2. Positions of a document whose shingle occurs in an item are counted for every item-sized window,
+   wherever in the item the shingles stand. A window is looked at if it holds so many of them that
+   the similarity can be reached; all others are below it, so no window is lost.
 3. Windows and items get 64-bit SimHash fingerprints (each shingle counts as often as it occurs).
    The fingerprints are cut into ``radius + 1`` blocks: two within the radius agree on a block, so
    an equi-join on (item size, block, value) finds all of them, and the bit count removes the rest.
@@ -66,16 +66,26 @@ def leaks(docs: DataFrame, items: DataFrame, key: str = "doc_id", text: str = "t
     it = items.select(F.col(item_key).alias("item"), words_of(F.col(item_text)).alias("w")).filter(F.size("w") >= shingle)
     it = it.dropDuplicates(["item", "w"]).select("item", F.size("w").alias("size"), _shingles(F.col("w"), shingle).alias("of"))
     it = stage(it.withColumn("item_fp", simhash(F.col("of"))), "items")
-    grams = it.select("item", "size", F.posexplode("of").alias("at", "gram")).select("item", "size", "at", F.xxhash64("gram").alias("sig"))
+    grams = it.select("item", "size", F.explode(F.array_distinct("of")).alias("gram")).select("item", "size", F.xxhash64("gram").alias("sig")).distinct()
     few = grams.count() <= BROADCAST_ROWS
     maybe = F.broadcast if few else (lambda x: x)
 
     d = docs.select(F.col(key).alias("key"), F.xxhash64(key, text).alias("uid"), words_of(F.col(text)).alias("w")).filter(F.size("w") >= shingle)
-    d = d.withColumn("i", F.explode(F.sequence(F.lit(0), F.size("w") - shingle)))
-    d = d.withColumn("sig", F.xxhash64(F.concat_ws(" ", *[F.col("w")[F.col("i") + j] for j in range(shingle)])))
-    hits = d.join(maybe(grams), "sig")
-    start = F.greatest(F.lit(0), F.least(F.col("i") - F.col("at"), F.size("w") - F.col("size")))
-    hits = hits.withColumn("start", start).groupBy("key", "uid", "size", "start").agg(F.first(F.slice("w", F.col("start") + 1, F.col("size"))).alias("win"))
+    at = d.withColumn("i", F.explode(F.sequence(F.lit(0), F.size("w") - shingle)))
+    at = at.withColumn("sig", F.xxhash64(F.concat_ws(" ", *[F.col("w")[F.col("i") + j] for j in range(shingle)])))
+    hits = at.join(maybe(grams), "sig").select("key", "uid", "item", "size", F.size("w").alias("n"), "i")
+    hits = hits.groupBy("key", "uid", "item", "size", "n").agg(F.array_sort(F.collect_set("i")).alias("p"))
+    # a window of ``have`` shingles needs this many that occur in the item, for c / (of + have - c) >= similarity
+    hits = hits.withColumn("have", F.least("size", "n") - (shingle - 1))
+    hits = hits.withColumn("need", F.greatest(F.lit(1), F.ceil((F.col("size") - (shingle - 1) + F.col("have")) * (similarity / (1 + similarity)) - 1e-9).cast("int")))
+    hits = hits.filter(F.size("p") >= F.col("need"))
+    close = F.filter(F.sequence(F.lit(0), F.size("p") - F.col("need")), lambda k: F.get("p", k + F.col("need") - 1) - F.get("p", k) < F.col("have"))
+    last = F.greatest(F.lit(0), F.col("n") - F.col("size"))
+    starts = F.transform(close, lambda k: F.sequence(F.greatest(F.lit(0), F.get("p", k + F.col("need") - 1) - F.col("have") + 1), F.least(F.get("p", k), last)))
+    starts = stage(hits.select("key", "uid", "size", F.explode(F.array_distinct(F.flatten(starts))).alias("start")).distinct(), "starts")
+    starts = starts.select(F.col("key").alias("k2"), F.col("uid").alias("u2"), "size", "start")
+    hits = d.join(starts, (F.col("uid") == F.col("u2")) & F.col("key").eqNullSafe(F.col("k2")))
+    hits = hits.groupBy("key", "uid", "size", "start").agg(F.first(F.slice("w", F.col("start") + 1, F.col("size"))).alias("win"))
     wins = hits.withColumn("have", _shingles(F.col("win"), shingle)).drop("win")
     wins = stage(wins.withColumn("fp", simhash(F.col("have"))), "windows")
 

@@ -193,6 +193,21 @@ def test_decontamination(spark):
     assert decontaminate.decontaminate(df.limit(0), it).count() == 0
 
 
+def test_decontamination_finds_items_in_another_order(spark):
+    r = random.Random(3)
+    w = [f"w{i}" for i in range(2000)]
+    a, b = r.sample(w, 20), r.sample(w, 40)
+    noise = [r.choice(w) for _ in range(200)]
+    items = [(1, " ".join(a + b)), (2, " ".join(r.sample(w, 30)))]
+    docs = [(1, " ".join(noise[:90] + b + a + noise[90:])), (2, " ".join(b + a)), (3, " ".join(b + a + noise)), (4, " ".join(noise + b + a)), (5, " ".join(noise + a + noise[:60] + b)), (6, " ".join(noise))]
+    want = brute_leaks(docs, items)
+    assert set(want) == {1, 2, 3, 4}
+    got = decontaminate.decontaminate(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string"))
+    for x in got.collect():
+        assert x.contaminated == (x.doc_id in want)
+        assert math.isclose(x.best_similarity, max(want.get(x.doc_id, {0: 0.0}).values()))
+
+
 def test_decontamination_plan_has_no_python(spark, sf):
     plan = decontaminate.op7_simhash_windows(spark, sf)._jdf.queryExecution().toString()
     assert not re.search("Python|Pandas|Arrow|MapIn", plan)
