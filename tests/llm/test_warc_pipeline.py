@@ -113,3 +113,12 @@ def test_near_dedup_equals_brute_jaccard(spark):
     docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
     got = sorted(x.doc_id for x in pipeline.near_dedup(spark, docs, "").select("doc_id").collect())
     assert got == [rows[i][0] for i in range(len(rows)) if g[i] == i]
+
+
+def test_line_dedup_keeps_documents_of_short_lines(spark):
+    pipeline = pytest.importorskip("corpus_pipeline")
+    head = "a header line that many documents share"
+    rows = [(1, head + "\nfirst text of some length here"), (2, head + "\nshort\nown lines"), (3, head), (4, head + "\n \t\n"), (5, "x"), (6, None), (7, "")]
+    docs = spark.createDataFrame([(i, t, "en", "x", 0) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    got = {r.doc_id: r.text for r in pipeline.line_dedup(spark, docs, "").collect()}
+    assert got == {1: rows[0][1], 2: "short\nown lines", 5: "x", 6: None, 7: ""}
