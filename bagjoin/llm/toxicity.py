@@ -6,107 +6,134 @@ score bounds are opened first; then all whose bound can still reach the k-th bes
 and no others, so the k nearest are exact. Their labels vote with weights that fall with
 distance, and isotonic regression over leave-one-out votes turns a vote into a probability.
 
-Terms are words and word beginnings that tell the labels apart in the examples; their document
-frequencies are counted over the whole corpus. The fit uses at most ``sample`` examples of each
-label (those with the least hashes of their id), which bounds the index that is broadcast.
+Terms are all words that two examples have. Document frequencies are counted over the whole corpus.
+A term's idf is stretched by 1 + G / ``UNIT``, G being the likelihood-ratio statistic of the term
+and the label in the examples, whichever label it speaks for: texts are mostly alike in words that
+say nothing on toxicity, and without the stretch neighbours are found by those (README has figures
+of both). ``UNIT`` 0 switches it off. The fit uses at most ``sample`` examples of each label (those
+with the least hashes of their id) and ``terms`` terms, which bounds the index that is broadcast.
 """
 
 from __future__ import annotations
 
-import math
-from collections import Counter
+import re
 from collections.abc import Iterator
 from itertools import chain
 
 import numpy as np
 import pyarrow as pa
-import regex
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import WordTable, process_table, stage, table, text_column
+from .common import forget_tables, stage, table, text_column
 
-SAMPLE, TERMS, NEIGHBOURS, BLOCK = 4000, 3000, 15, 64
-#: Lengths of the word beginnings that serve as terms beside whole words.
-STEMS = (4, 5, 6)
-#: A term is kept if its 2 x 2 statistic exceeds this (about one in 50,000 by chance).
-EVIDENCE = 18.0
-#: ... and if it is so many times as frequent in examples of label 1.
-LIFT = 2.0
-_WORD = regex.compile(r"\w+")
+SAMPLE, TERMS, NEIGHBOURS, BLOCK = 3000, 200_000, 15, 128
+#: The statistic that doubles a term's weight (about one in 50,000 terms exceeds it by chance).
+UNIT = 18.0
+#: Terms with the longest postings are kept as rows over all examples.
+WIDE = 1024
+#: Texts scored together, by number and by characters.
+ROWS, CHARS = 128, 4_000_000
+_WORD = re.compile(r"\w+")
 
 
-def terms_of(word: str) -> list[str]:
-    """Terms of a white-space-free piece of text."""
-    out = []
-    for w in _WORD.findall(word.lower()):
-        out.append(w)
-        out += [f"{w[:n]}*" for n in STEMS if len(w) > n]
-    return out
+def terms_of(text: str) -> list[str]:
+    """Terms of a text, in order."""
+    return _WORD.findall(text.lower())
+
+
+def _spans(ptr: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Positions ptr[i]..ptr[i + 1] of every i of ``at``, and which of ``at`` each belongs to."""
+    n = ptr[at + 1] - ptr[at]
+    own = np.repeat(np.arange(len(at)), n)
+    return np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n - ptr[at], n), own
 
 
 class BlockMaxIndex:
-    """Exact top-k cosine over sparse unit vectors."""
-
-    def __init__(self, vectors: list[dict[int, float]], n_terms: int, block: int = BLOCK, probe: int = 2):
-        self.n, self.block, self.probe = len(vectors), block, probe
-        self.blocks = -(-self.n // block)
-        post: list[list[tuple[int, float]]] = [[] for _ in range(n_terms)]
-        self.bound = np.zeros((n_terms, self.blocks))
-        for i, v in enumerate(vectors):
-            for t, w in v.items():
-                post[t].append((i, w))
-                self.bound[t, i // block] = max(self.bound[t, i // block], w)
-        self.ids = [np.array([i for i, _ in p], np.int64) for p in post]
-        self.weights = [np.array([w for _, w in p]) for p in post]
-        edges = np.arange(self.blocks + 1) * block
-        self.cuts = np.array([np.searchsorted(i, edges) for i in self.ids]).reshape(n_terms, self.blocks + 1)
-        self.opened = 0
-
-    def top(self, query: dict[int, float], k: int, leave_out: int = -1) -> list[tuple[int, float]]:
-        """Up to ``k`` (example, cosine) with cosine above 0, best first; ties go to the smaller number."""
-        if not query or not self.blocks:
-            return []
-        t = np.fromiter(query, np.int64, len(query))
-        q = np.fromiter(query.values(), float, len(query))
-        bound = q @ self.bound[t]
-        order = np.argsort(-bound, kind="stable")
-        terms = list(zip(t.tolist(), q.tolist()))
-        acc = np.zeros(self.blocks * self.block)
-        first = order[: self.probe].tolist()  # the most promising blocks give the score to beat
-        for b in first:
-            for x, w in terms:
-                lo, hi = self.cuts[x, b], self.cuts[x, b + 1]
-                if lo < hi:
-                    acc[self.ids[x][lo:hi]] += w * self.weights[x][lo:hi]
-        if leave_out >= 0:
-            acc[leave_out] = 0.0
-        found = np.sort(acc[acc > 0])
-        least = found[-k] if len(found) >= k else 0.0
-        rest = order[self.probe :]
-        rest = rest[(bound[rest] > 0) & (bound[rest] >= least - 1e-12)]
-        self.opened += len(first) + len(rest)
-        if len(rest):
-            more = np.zeros_like(acc)
-            if len(rest) * 4 < self.blocks:
-                for b in rest.tolist():
-                    for x, w in terms:
-                        lo, hi = self.cuts[x, b], self.cuts[x, b + 1]
-                        if lo < hi:
-                            more[self.ids[x][lo:hi]] += w * self.weights[x][lo:hi]
-            else:  # most blocks can matter: whole postings are cheaper than many short runs
-                for x, w in terms:
-                    more[self.ids[x]] += w * self.weights[x]
-            view, new = acc.reshape(-1, self.block), more.reshape(-1, self.block)
-            view[rest] = new[rest]
-            if leave_out >= 0:
-                acc[leave_out] = 0.0
-        score = np.round(acc, 12)
-        hit = np.flatnonzero(score > 0)
-        if len(hit) > k:
-            hit = hit[score[hit] >= np.partition(score[hit], -k)[-k]]
-        hit = hit[np.lexsort((hit, -score[hit]))][:k]
-        return list(zip(hit.tolist(), score[hit].tolist()))
+    """Exact top-k cosine over sparse unit vectors, many queries at a time.
+
+    ``vectors`` is (row, term, weight) arrays with rows ascending.
+    """
+
+    def __init__(self, n: int, vectors: tuple[np.ndarray, np.ndarray, np.ndarray], n_terms: int, block: int = BLOCK, probe: int = 2, wide: int = WIDE):
+        self.n, self.block, self.probe, self.n_terms = n, block, probe, n_terms
+        self.blocks = -(-n // block)
+        rows, terms, weights = vectors
+        order = np.argsort(terms, kind="stable")
+        self.ids, self.weights, of = rows[order].astype(np.int32), weights[order], terms[order]
+        self.ptr = np.concatenate([[0], np.cumsum(np.bincount(of, minlength=n_terms))]).astype(np.int64)
+        key = of.astype(np.int64) * max(1, self.blocks) + self.ids // block
+        first = np.flatnonzero(np.diff(key, prepend=-1))
+        self.peak = np.maximum.reduceat(self.weights, first) if len(first) else np.zeros(0)
+        self.peak_block = (key[first] % max(1, self.blocks)).astype(np.int32)
+        self.peak_ptr = np.searchsorted(key[first] // max(1, self.blocks), np.arange(n_terms + 1))
+        size = np.diff(self.ptr)
+        self.wide = np.sort(np.argsort(-size, kind="stable")[:wide])
+        self.opened = self.asked = 0
+        self._rows = None
+
+    def __getstate__(self) -> dict:
+        return self.__dict__ | {"_rows": None}
+
+    def _dense(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Slot of each term among the wide ones or -1, their weights by block and example, their block maxima."""
+        if self._rows is None:
+            slot = np.full(self.n_terms, -1, np.int64)
+            slot[self.wide] = np.arange(len(self.wide))
+            full = np.zeros((len(self.wide), self.blocks * self.block))
+            at, own = _spans(self.ptr, self.wide)
+            full[own, self.ids[at]] = self.weights[at]
+            full = full.reshape(len(self.wide), self.blocks, self.block)
+            self._rows = slot, np.ascontiguousarray(full.transpose(1, 0, 2)), full.max(axis=2)
+        return self._rows
+
+    def top(self, queries: tuple[np.ndarray, np.ndarray, np.ndarray], size: int, k: int, leave_out: np.ndarray | None = None) -> list[list[tuple[int, float]]]:
+        """Up to ``k`` (example, cosine) with cosine above 0 per query, best first; ties go to the smaller number."""
+        if not self.blocks or not len(queries[0]):
+            return [[] for _ in range(size)]
+        rows, terms, weights = queries
+        slot, full, caps = self._dense()
+        wide = slot[terms] >= 0
+        q = np.zeros((size, len(self.wide)))
+        q[rows[wide], slot[terms[wide]]] = weights[wide]
+        r, t, w = rows[~wide], terms[~wide], weights[~wide]
+        at, own = _spans(self.peak_ptr, t)
+        bound = q @ caps
+        bound += np.bincount(r[own] * self.blocks + self.peak_block[at], self.peak[at] * w[own], size * self.blocks).reshape(size, -1)
+        at, own = _spans(self.ptr, t)
+        width = self.blocks * self.block
+        post, post_w = r[own] * width + self.ids[at], self.weights[at] * w[own]
+        post_cell = post // self.block
+        score = np.zeros((size, width))
+        view, flat = score.reshape(size, self.blocks, self.block), score.reshape(-1)
+
+        def read(mask: np.ndarray) -> None:
+            """Add the exact scores of the (query, block) that ``mask`` names."""
+            for b in np.flatnonzero(mask.any(axis=0)).tolist():
+                ask = np.flatnonzero(mask[:, b])
+                view[ask, b] += q[ask] @ full[b]
+            on = mask.ravel()[post_cell]
+            flat[:] += np.bincount(post[on], post_w[on], size * width)
+            if leave_out is not None:
+                score[np.arange(size), leave_out] = 0.0
+            self.opened += int(mask.sum())
+
+        probe = min(self.probe, self.blocks)
+        begun = np.zeros((size, self.blocks), bool)  # the most promising blocks give the score to beat
+        begun[np.arange(size)[:, None], np.argpartition(-bound, probe - 1, axis=1)[:, :probe]] = True
+        read(begun)
+        least = np.partition(score, width - min(k, width), axis=1)[:, width - min(k, width)]
+        rest = ~begun & (bound > 0) & (bound >= least[:, None] - 1e-9)
+        read(rest)
+        self.asked += size * self.blocks
+        np.round(score, 12, out=score)
+        least = np.maximum(np.partition(score, width - min(k, width), axis=1)[:, width - min(k, width)], 1e-12)
+        row, hit = np.nonzero(score >= least[:, None])
+        s = score[row, hit]
+        order = np.lexsort((hit, -s, row))
+        cut = np.searchsorted(row, np.arange(size + 1))
+        hit, s = hit[order].tolist(), s[order].tolist()
+        return [list(zip(hit[a : min(a + k, b)], s[a : min(a + k, b)])) for a, b in zip(cut, cut[1:])]
 
 
 def isotonic(x: np.ndarray, y: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -125,35 +152,47 @@ def isotonic(x: np.ndarray, y: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, n
 
 
 class NeighbourModel:
-    """Terms, idf, indexed examples, label weights and the calibration curve."""
-
-    def __init__(self, terms: list[str], idf: np.ndarray, names: list[int], texts_tf: list[dict[int, int]], labels: list[int], totals: dict[int, int], k: int = NEIGHBOURS):
-        self.terms, self.idf, self.k = {t: i for i, t in enumerate(terms)}, idf, k
-        vectors = [self.vector(tf) for tf in texts_tf]
-        order = sorted(range(len(vectors)), key=lambda i: (max(vectors[i], key=vectors[i].get, default=-1), names[i]))
-        order = [i for i in order if vectors[i]]
-        self.names = [names[i] for i in order]
-        self.labels = np.array([labels[i] for i in order], float)
-        seen = Counter(labels)
-        per = {c: totals.get(c, 0) / max(1, seen[c]) for c in (0, 1)}  # a sampled example stands for so many
-        self.weight = np.array([per[labels[i]] for i in order], float)
-        self.index = BlockMaxIndex([vectors[i] for i in order], len(terms))
-        n1, n = totals.get(1, 0), totals.get(0, 0) + totals.get(1, 0)
-        self.prior = (n1 + 0.5) / (n + 1.0)
-        bare = [labels[i] for i in range(len(vectors)) if not vectors[i]]
-        bare_w = [per[c] for c in bare]
-        self.bare = (sum(w for c, w in zip(bare, bare_w) if c) + self.prior) / (sum(bare_w) + 1.0)
-        votes = np.array([self.vote(self.index.top(vectors[i], self.k, leave_out=j)) for j, i in enumerate(order)])
-        ends = np.array([0.0, 1.0])
-        x = np.concatenate([votes, ends]) if len(votes) else ends
-        y = np.concatenate([self.labels, ends]) if len(votes) else ends
-        w = np.concatenate([self.weight, [1.0, 1.0]]) if len(votes) else np.ones(2)
-        self.knots, self.values = isotonic(x, y, w)
-
-    def vector(self, tf: dict[int, int]) -> dict[int, float]:
-        v = {t: (1 + math.log(n)) * self.idf[t] for t, n in sorted(tf.items())}
-        norm = math.sqrt(sum(x * x for x in v.values()))
-        return {t: x / norm for t, x in v.items()} if norm > 0 else {}
+    """Terms and their weights, indexed examples, labels and the calibration curve.
+
+    ``counts`` is (row, term, occurrences) of the examples, rows ascending.
+    """
+
+    def __init__(self, terms: list[str], stretch: np.ndarray, idf: np.ndarray, names: list[int], counts: tuple[np.ndarray, np.ndarray, np.ndarray], labels: list[int], totals: dict[int, int], k: int = NEIGHBOURS):
+        self.terms, self.idf, self.k = {t: i for i, t in enumerate(terms)}, idf * stretch, k
+        n = len(names)
+        rows, at, w = self.vectors(*counts, n)
+        # examples of alike content go into the same blocks: by their heaviest term, then by id
+        heaviest = np.full(n, -1, np.int64)
+        order = np.lexsort((at, -w, rows))
+        first = order[np.flatnonzero(np.diff(rows[order], prepend=-1))]
+        heaviest[rows[first]] = at[first]
+        order = np.array([i for i in np.lexsort((names, heaviest)).tolist() if heaviest[i] >= 0], np.int64)
+        place = np.full(n, -1, np.int64)
+        place[order] = np.arange(len(order))
+        moved = np.lexsort((at, place[rows]))
+        rows, at, w = place[rows][moved], at[moved], w[moved]
+        self.names = [names[i] for i in order.tolist()]
+        self.labels = np.array([labels[i] for i in order.tolist()], float)
+        seen = [sum(y == c for y in labels) for c in (0, 1)]
+        per = [totals.get(c, 0) / max(1, seen[c]) for c in (0, 1)]  # a sampled example stands for so many
+        self.weight = np.array([per[labels[i]] for i in order.tolist()], float)
+        self.index = BlockMaxIndex(len(order), (rows, at, w), len(terms))
+        prior = (totals.get(1, 0) + 0.5) / (totals.get(0, 0) + totals.get(1, 0) + 1.0)
+        bare = [labels[i] for i in np.flatnonzero(heaviest < 0).tolist()]
+        self.bare = (per[1] * sum(bare) + prior) / (sum(per[c] for c in bare) + 1.0)
+        votes = []
+        cut = np.searchsorted(rows, np.arange(len(order) + 1))
+        for lo in range(0, len(order), ROWS):
+            hi = min(lo + ROWS, len(order))
+            a, b = cut[lo], cut[hi]
+            votes += [self.vote(x) for x in self.index.top((rows[a:b] - lo, at[a:b], w[a:b]), hi - lo, k, np.arange(lo, hi))]
+        self.knots, self.values = isotonic(np.array([*votes, 0.0, 1.0]), np.array([*self.labels, 0.0, 1.0]), np.array([*self.weight, 1.0, 1.0]))
+
+    def vectors(self, rows: np.ndarray, at: np.ndarray, n: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Unit vectors of term counts."""
+        w = (1 + np.log(n)) * self.idf[at]
+        norm = np.sqrt(np.bincount(rows, w * w, size))
+        return rows, at, w / norm[rows]
 
     def vote(self, near: list[tuple[int, float]]) -> float:
         """Share of label 1 among the neighbours, weighted by 1 / distance and by what each stands for."""
@@ -164,125 +203,127 @@ class NeighbourModel:
             b += w
         return a / b if b else self.bare
 
-    def score(self, tf: dict[int, int]) -> tuple[float, list[tuple[int, float]]]:
-        v = self.vector(tf)
-        near = self.index.top(v, self.k) if v else []
-        if not near:
-            return self.bare, []
-        return float(np.clip(np.interp(self.vote(near), self.knots, self.values), 0, 1)), near
+    def score(self, counts: tuple[np.ndarray, np.ndarray, np.ndarray], size: int) -> list[tuple[float, list[tuple[int, float]]]]:
+        """Probability of label 1 and the neighbours of every text."""
+        found = self.index.top(self.vectors(*counts, size), size, self.k)
+        return [(float(np.clip(np.interp(self.vote(x), self.knots, self.values), 0, 1)) if x else self.bare, x) for x in found]
 
 
 def held_out(key: Column) -> Column:
     return F.crc32(key.cast("string").cast("binary")) % 5 == 0
 
 
-def _counts(split: list[list[str]], known: WordTable) -> list[dict[int, int]]:
-    return [Counter(chain.from_iterable(got)) for got in known.lookup(split)]
+def _slices(texts: list[str]) -> Iterator[tuple[int, int]]:
+    """(lo, hi) of runs of texts of bounded number and characters; a longer text is a run of its own."""
+    lo = chars = 0
+    for i, t in enumerate(texts):
+        if i > lo and (i - lo >= ROWS or chars + len(t) > CHARS):
+            yield lo, i
+            lo, chars = i, 0
+        chars += len(t)
+    if texts:
+        yield lo, len(texts)
+
 
+def _counts(texts: list[str], at: dict[str, int]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(row, term, occurrences) of the known terms of every text, rows ascending."""
+    got = [[i for i in map(at.get, terms_of(t)) if i is not None] for t in texts]
+    n, wide = [len(x) for x in got], max(1, len(at))
+    key = np.repeat(np.arange(len(texts)), n) * wide + np.fromiter(chain.from_iterable(got), np.int64, sum(n))
+    key.sort()
+    first = np.flatnonzero(np.diff(key, prepend=-1))
+    return key[first] // wide, key[first] % wide, np.diff(np.append(first, len(key)))
 
-def _tag(at: dict[str, int]) -> int:
-    """Names the vocabulary, so that workers keep one table over all passes."""
-    return hash(tuple(at))
 
+def fit(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "text", label: str = "toxic", sample: int = SAMPLE, terms: int = TERMS, neighbours: int = NEIGHBOURS, unit: float = UNIT) -> NeighbourModel:
+    """Fit on labelled rows that are not held out; document frequencies come from all ``docs``.
 
-def fit(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "text", label: str = "toxic", sample: int = SAMPLE, terms: int = TERMS, neighbours: int = NEIGHBOURS) -> NeighbourModel:
-    """Fit on labelled rows that are not held out; document frequencies come from all ``docs``."""
+    A key with several labels counts as label 1 if one of them is; of a key's texts the least is taken.
+    """
     spark = docs.sparkSession
     marked = labels.select(F.col(key).alias("k"), F.col(label).cast("int").alias("y")).filter(F.col("k").isNotNull() & F.col("y").isin(0, 1) & ~held_out(F.col("k")))
     marked = marked.groupBy("k").agg(F.max("y").alias("y"))
     totals = {r.y: r.n for r in marked.groupBy("y").agg(F.count("*").alias("n")).collect()}
     picked = [marked.filter(F.col("y") == y).orderBy(F.xxhash64("k"), "k").limit(sample) for y in (0, 1)]
     chosen = [(r.k, r.y) for p in picked for r in p.collect()]  # at most 2 x sample ids
-    vocabulary: list[str] = []
-    rows = None
+    vocabulary, stretch, names, y = [], np.ones(0), [], []
+    counts = (np.zeros(0, np.int64),) * 3
     if chosen:
         few = spark.createDataFrame(chosen, "k long, y int")
         rows = docs.select(F.col(key).cast("long").alias("k"), F.col(text).alias("t")).join(F.broadcast(few), "k")
         rows = stage(rows.groupBy("k").agg(F.max("y").alias("y"), F.min("t").alias("t")), "examples")
-        vocabulary = choose_terms(rows, terms)
-    at = {t: i for i, t in enumerate(vocabulary)}
-    n_docs, df = document_frequencies(docs, text, at)
-    idf = np.log((n_docs + 1.0) / (df + 1.0)) + 1.0
-    names, y, tf = [], [], []
-    if rows is not None:
-        for r in sorted(_example_terms(rows, at).collect()):  # known terms of at most 2 x sample examples
-            names.append(r.k)
-            y.append(r.y)
-            tf.append(dict(zip(r.ids, r.n)))
-    return NeighbourModel(vocabulary, idf, names, tf, y, totals, neighbours)
-
-
-def _example_terms(rows: DataFrame, at: dict[str, int]) -> DataFrame:
-    """(k, y, ids, n): the known terms of each example and how often it has them."""
-    tag = _tag(at)
-    known = rows.sparkSession.sparkContext.broadcast((tag, at))
+        vocabulary, stretch = choose_terms(rows, terms, unit)
+        names, y, counts = _examples(rows, {t: i for i, t in enumerate(vocabulary)})
+    n_docs, df = document_frequencies(docs, text, {t: i for i, t in enumerate(vocabulary)})
+    return NeighbourModel(vocabulary, stretch, np.log((n_docs + 1.0) / (df + 1.0)) + 1.0, names, counts, y, totals, neighbours)
+
+
+def _examples(rows: DataFrame, at: dict[str, int]) -> tuple[list[int], list[int], tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Ids, labels and term counts of the examples, by id; the examples are at most 2 x sample."""
+    known = rows.sparkSession.sparkContext.broadcast(at)
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = _term_table(known.value[1], known.value[0])
         for batch in batches:
-            tf = _counts([s.split() for s in text_column(batch, "t")], words)
-            yield pa.RecordBatch.from_arrays([batch.column("k"), batch.column("y"), pa.array([list(c) for c in tf], pa.list_(pa.int32())), pa.array([list(c.values()) for c in tf], pa.list_(pa.int32()))], names=["k", "y", "ids", "n"])
+            texts = text_column(batch, "t")
+            for lo, hi in _slices(texts):
+                row, term, n = _counts(texts[lo:hi], known.value)
+                cut = np.searchsorted(row, np.arange(hi - lo + 1)).astype(np.int32)
+                lists = [pa.ListArray.from_arrays(pa.array(cut), pa.array(x.astype(np.int32))) for x in (term, n)]
+                yield pa.RecordBatch.from_arrays([batch.column("k").slice(lo, hi - lo), batch.column("y").slice(lo, hi - lo), *lists], names=["k", "y", "ids", "n"])
 
-    return rows.select("k", "y", "t").mapInArrow(read, "k long, y int, ids array<int>, n array<int>")
+    t = rows.select("k", "y", "t").mapInArrow(read, "k long, y int, ids array<int>, n array<int>").toArrow().sort_by("k")
+    ids, n = (t.column(c).combine_chunks() for c in ("ids", "n"))
+    row = np.repeat(np.arange(t.num_rows), ids.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64))
+    return t.column("k").to_pylist(), t.column("y").to_pylist(), (row, ids.flatten().to_numpy().astype(np.int64), n.flatten().to_numpy().astype(np.int64))
 
 
-def choose_terms(rows: DataFrame, most: int = TERMS) -> list[str]:
-    """Terms whose presence in the examples (y, t) goes with label 1, strongest first.
+def choose_terms(rows: DataFrame, most: int = TERMS, unit: float = UNIT) -> tuple[list[str], np.ndarray]:
+    """Words of two or more of the examples (y, t), strongest first, and how far each is stretched.
 
-    Counted where the examples are: the 2 x 2 likelihood-ratio statistic must exceed EVIDENCE.
+    Counted where the examples are; beyond ``most`` words those that say least on the label go.
     """
     totals = {r.y: r.n for r in rows.groupBy("y").agg(F.count("*").alias("n")).collect()}
     n1, n0 = float(totals.get(1, 0)), float(totals.get(0, 0))
-    if not n1 or not n0:
-        return []
 
     def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for lo in range(0, batch.num_rows, 200):
                 part = batch.slice(lo, 200)
-                sets = [sorted({x for w in s.split() for x in terms_of(w)}) for s in text_column(part, "t")]
+                sets = [sorted(set(terms_of(s))) for s in text_column(part, "t")]
                 y = np.repeat(part.column("y").to_numpy(), [len(s) for s in sets])
                 yield pa.RecordBatch.from_arrays([pa.array([x for s in sets for x in s], pa.string()), pa.array(y, pa.int32())], names=["term", "y"])
 
     seen = rows.select("y", "t").mapInArrow(split, "term string, y int").groupBy("term").agg(F.sum("y").cast("double").alias("a"), (F.count("*") - F.sum("y")).cast("double").alias("b"))
-    seen = seen.filter((F.col("a") >= 2) & (F.col("a") * n0 > LIFT * F.col("b") * n1))
     a, b, n = F.col("a"), F.col("b"), n1 + n0
 
     def part(o, e):
         return F.when(o > 0, 2 * o * F.log(o * n / e)).otherwise(0.0)
 
-    g = part(a, n1 * (a + b)) + part(n1 - a, n1 * (n - a - b)) + part(b, n0 * (a + b)) + part(n0 - b, n0 * (n - a - b))
-    best = seen.withColumn("g", F.round(g, 6)).filter(F.col("g") > EVIDENCE).orderBy(F.desc("g"), "term").limit(most)
-    return [r.term for r in best.select("term").collect()]
-
-
-def _term_table(at: dict[str, int], tag: int) -> WordTable:
-    return process_table(("terms", tag), lambda: WordTable(lambda words: [tuple(at[t] for t in terms_of(w) if t in at) for w in words], 200_000))
+    g = part(a, n1 * (a + b)) + part(n1 - a, n1 * (n - a - b)) + part(b, n0 * (a + b)) + part(n0 - b, n0 * (n - a - b)) if n1 and n0 else F.lit(0.0)
+    best = seen.filter(a + b >= 2).withColumn("g", F.round(F.greatest(g, F.lit(0.0)), 6)).orderBy(F.desc("g"), "term").limit(most).select("term", "g").toArrow()
+    g = best.column("g").to_numpy()
+    return best.column("term").to_pylist(), 1.0 + g / unit if unit else np.ones(len(g))
 
 
 def document_frequencies(docs: DataFrame, text: str, at: dict[str, int]) -> tuple[int, np.ndarray]:
     """Rows of ``docs`` and, per term, how many contain it: one pass, one partial count per task."""
-    tag = _tag(at)
-    known = docs.sparkSession.sparkContext.broadcast((tag, at))
+    known = docs.sparkSession.sparkContext.broadcast(at)
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = _term_table(known.value[1], known.value[0])
-        n, df = 0, np.zeros(len(known.value[1]) + 1, np.int64)
+        forget_tables()
+        n_terms = len(known.value)
+        df = np.zeros(n_terms + 1, np.int64)
         for batch in batches:
-            for lo in range(0, batch.num_rows, 512):
-                part = batch.slice(lo, 512)
-                n += part.num_rows
-                for tf in _counts([s.split() for s in text_column(part, "t")], words):
-                    for t in tf:
-                        df[t] += 1
-        df[-1] = n
-        at_ = np.flatnonzero(df)
-        yield pa.RecordBatch.from_arrays([pa.array(at_), pa.array(df[at_])], names=["t", "n"])
-
-    rows = docs.select(F.col(text).alias("t")).mapInArrow(count, "t long, n long").groupBy("t").agg(F.sum("n").alias("n")).collect()
+            texts = text_column(batch, "t")
+            df[-1] += len(texts)
+            for lo, hi in _slices(texts):
+                df[:-1] += np.bincount(_counts(texts[lo:hi], known.value)[1], minlength=n_terms)[:n_terms]
+        some = np.flatnonzero(df)
+        yield pa.RecordBatch.from_arrays([pa.array(some), pa.array(df[some])], names=["t", "n"])
+
+    found = docs.select(F.col(text).alias("t")).mapInArrow(count, "t long, n long").groupBy("t").agg(F.sum("n").alias("n")).toArrow()
     df = np.zeros(len(at) + 1)
-    for r in rows:
-        df[r.t] = r.n
+    df[found.column("t").to_numpy()] = found.column("n").to_numpy()
     return int(df[-1]), df[:-1]
 
 
@@ -290,33 +331,25 @@ def score(docs: DataFrame, model: NeighbourModel, key: str = "doc_id", text: str
     """All columns of ``docs`` plus score, predicted and evidence (the nearest examples).
 
     Null and empty texts, and texts without a known term, get the rate of label 1 among such
-    examples. Clashing extra columns are replaced. An empty table gives an empty result.
+    examples. Equal texts get equal scores; of equally near examples that of the smaller number
+    counts. Clashing extra columns are replaced. An empty table gives an empty result.
     """
     docs = docs.drop(*[c for c in ("score", "predicted", "evidence") if c in docs.columns and c not in (key, text)])
     names = docs.columns
-    tag = _tag(model.terms)
-    shared = docs.sparkSession.sparkContext.broadcast((tag, model))
+    shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tag, m = shared.value
-        words = _term_table(m.terms, tag)
-        known: dict[tuple, tuple[float, list]] = {}
+        m = shared.value
+        kind = pa.list_(pa.struct([("example", pa.int64()), ("label", pa.int32()), ("cosine", pa.float64())]))
         for batch in batches:
-            for lo in range(0, batch.num_rows, 512):
-                part = batch.slice(lo, 512)
-                s, e = [], []
-                for tf in _counts([x.split() for x in text_column(part, text)], words):
-                    sig = tuple(sorted(tf.items()))
-                    if sig not in known:
-                        if len(known) > 20_000:
-                            known.clear()
-                        p, near = m.score(tf)
-                        known[sig] = (p, [{"example": m.names[i], "label": int(m.labels[i]), "cosine": c} for i, c in near[:3]])
-                    p, near = known[sig]
-                    s.append(p)
-                    e.append(near)
-                kind = pa.list_(pa.struct([("example", pa.int64()), ("label", pa.int32()), ("cosine", pa.float64())]))
-                yield pa.RecordBatch.from_arrays([*(part.column(c) for c in names), pa.array(s, pa.float64()), pa.array([int(p >= threshold) for p in s], pa.int32()), pa.array(e, kind)], names=[*names, "score", "predicted", "evidence"])
+            texts = text_column(batch, text)
+            for lo, hi in _slices(texts):
+                once = {t: i for i, t in enumerate(dict.fromkeys(texts[lo:hi]))}
+                found = m.score(_counts(list(once), m.terms), len(once))
+                found = [(p, [{"example": m.names[i], "label": int(m.labels[i]), "cosine": c} for i, c in near[:3]]) for p, near in found]
+                got = [found[once[t]] for t in texts[lo:hi]]
+                part = batch.slice(lo, hi - lo)
+                yield pa.RecordBatch.from_arrays([*(part.column(c) for c in names), pa.array([p for p, _ in got], pa.float64()), pa.array([int(p >= threshold) for p, _ in got], pa.int32()), pa.array([e for _, e in got], kind)], names=[*names, "score", "predicted", "evidence"])
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
     return docs.mapInArrow(run, f"{fields}, score double, predicted int, evidence array<struct<example:long,label:int,cosine:double>>")

@@ -5,7 +5,9 @@ import math
 import random
 import re
 import zlib
+from collections import Counter
 
+import numpy as np
 import pytest
 
 from bagjoin.llm import decontaminate, html, lines, substrings, toxicity
@@ -214,17 +216,90 @@ def test_decontamination_plan_has_no_python(spark, sf):
 
 
 # op1
-def test_block_max_index_is_exact():
+def flat(vs):
+    rows = [(i, t, w) for i, v in enumerate(vs) for t, w in sorted(v.items())]
+    return tuple(np.array([r[j] for r in rows], k) for j, k in enumerate((np.int64, np.int64, float)))
+
+
+@pytest.mark.parametrize("wide", [0, 3, 50])
+def test_block_max_index_is_exact(wide):
     r = random.Random(2)
     for _ in range(30):
         vs = [{t: r.random() for t in r.sample(range(12), r.randrange(1, 5))} for _ in range(300)]
-        vs = [{t: w / math.sqrt(sum(x * x for x in v.values())) for t, w in v.items()} for v in vs] + [{}]
-        index = toxicity.BlockMaxIndex(vs, 12, 8)
-        for q in (vs[3], vs[77]):
+        vs = [{t: w / math.sqrt(sum(x * x for x in v.values())) for t, w in v.items()} for v in vs]
+        index = toxicity.BlockMaxIndex(300, flat(vs), 12, 8, wide=wide)
+        asked = [vs[3], {}, vs[77], vs[77]]
+        got = index.top(flat(asked), 4, 7)
+        for q, g in zip(asked, got):
             want = sorted((-round(sum(q[t] * v.get(t, 0) for t in q), 12), i) for i, v in enumerate(vs))[:7]
-            got = index.top(q, 7)
-            assert [(i, round(s, 9)) for i, s in got] == [(i, round(-s, 9)) for s, i in want if s < 0]
-        assert index.top({}, 3) == []
+            assert [(i, round(s, 9)) for i, s in g] == [(i, round(-s, 9)) for s, i in want if s < 0]
+        alone = index.top(flat(asked), 4, 300, np.array([3, 0, 77, 0]))
+        assert 3 not in dict(alone[0]) and 77 not in dict(alone[2]) and 77 in dict(alone[3])
+    few = toxicity.BlockMaxIndex(300, flat([{0: 1.0}] * 8 + [{1: 1.0}] * 292), 2, 8)
+    assert [i for i, _ in few.top(flat([{0: 1.0}]), 1, 5)[0]] == [0, 1, 2, 3, 4] and few.opened < few.asked
+    assert toxicity.BlockMaxIndex(0, flat([]), 2).top(flat([{0: 1.0}]), 1, 5) == [[]]
+
+
+def brute_toxicity(docs, labels):
+    """Scores of {id: text} by plain cosine over all examples; every labelled document is an example."""
+    split = {d: Counter(re.findall(r"\w+", (t or "").lower())) for d, t in docs.items()}
+    y = {d: v for d, v in labels.items() if v is not None and d in docs and zlib.crc32(str(d).encode()) % 5}
+    count = {c: Counter(t for d in y if y[d] == c for t in split[d]) for c in (0, 1)}
+    n = [sum(v == c for v in y.values()) for c in (0, 1)]
+    df = Counter(t for x in split.values() for t in x)
+
+    def stretch(t):
+        g = 0.0
+        for c in (0, 1):
+            for seen, of in ((count[c][t], count[0][t] + count[1][t]), (n[c] - count[c][t], sum(n) - count[0][t] - count[1][t])):
+                g += 2 * seen * math.log(seen * sum(n) / (n[c] * of)) if seen else 0.0
+        return 1 + round(max(g, 0.0), 6) / toxicity.UNIT
+
+    weight = {t: (math.log((len(docs) + 1) / (df[t] + 1)) + 1) * stretch(t) for t in set(count[0]) | set(count[1]) if count[0][t] + count[1][t] >= 2}
+    unit = {}
+    for d, x in split.items():
+        v = {t: (1 + math.log(k)) * weight[t] for t, k in x.items() if t in weight}
+        norm = math.sqrt(sum(w * w for w in v.values()))
+        unit[d] = {t: w / norm for t, w in v.items()}
+    near = {}
+    for d, v in unit.items():
+        near[d] = sorted(((sum(w * unit[e].get(t, 0.0) for t, w in v.items()), e) for e in y if unit[e]), reverse=True)
+
+    bare = [y[d] for d in y if not unit[d]]
+    bare = (sum(bare) + (n[1] + 0.5) / (sum(n) + 1)) / (len(bare) + 1)
+
+    def vote(found):
+        if not found:
+            return bare
+        w = [1 / (1 - min(s, 1) + 0.05) for s, _ in found]
+        return sum(a * y[e] for a, (_, e) in zip(w, found)) / sum(w)
+
+    top = lambda found: [(s, e) for s, e in found if s > 0][: toxicity.NEIGHBOURS]
+    fit = sorted([(vote(top([x for x in near[d] if x[1] != d])), y[d]) for d in y if unit[d]] + [(0.0, 0), (1.0, 1)])
+    pools = []
+    for v, t in fit:
+        pools.append([t, 1, v, v])
+        while len(pools) > 1 and (pools[-2][0] >= pools[-1][0] or pools[-2][3] == pools[-1][2]):
+            (p, i, a, _), (q, j, _, b) = pools[-2:]
+            pools[-2:] = [[(p * i + q * j) / (i + j), i + j, a, b]]
+    xs, ys = [v for p in pools for v in p[2:]], [p[0] for p in pools for _ in "ab"]
+    return {d: float(np.interp(vote(top(near[d])), xs, ys)) if top(near[d]) else bare for d in docs}, {d: top(near[d])[:1] for d in docs}
+
+
+def test_query_equals_plain_cosine_votes(spark, sf):
+    docs = {r.doc_id: r.text for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
+    labels = {r.doc_id: r.toxic for r in spark.read.parquet(f"{sf}/labels.parquet").collect()}
+    want, best = brute_toxicity(docs, labels)
+    got = toxicity.op1_nearest_examples(spark, sf).collect()
+    assert len(got) == len(docs)
+    assert sum(bool(x.evidence) for x in got) >= 0.95 * sum(bool((t or "").strip()) for t in docs.values())
+    for x in got:
+        assert x.held_out == (zlib.crc32(str(x.doc_id).encode()) % 5 == 0) and x.predicted == (x.score >= 0.5)
+        assert bool(x.evidence) == bool(best[x.doc_id])
+        if x.evidence:
+            assert math.isclose(x.evidence[0].cosine, best[x.doc_id][0][0], abs_tol=1e-9)
+    # of equally near examples either may be taken, which the curve can turn into another score
+    assert sum(not math.isclose(x.score, want[x.doc_id], abs_tol=1e-6) for x in got) <= 0.01 * len(got)
 
 
 def test_toxicity_learns_and_leaves_out(spark):
