@@ -1,16 +1,22 @@
-"""Main text of web pages: structure first, then host suffix arrays.
+"""Main text of web pages: structure, and host suffix arrays over every page.
 
 A page is read once into blocks. Elements that never hold the article (menus, page headers and
 footers, sidebars, notices, adverts, forms, scripts, reader comments) are left out with all that
-they contain. If the page marks its article (``article``, ``main``, role or itemprop), the blocks
-inside are the text, untouched: an article that a host shows on several pages would otherwise be
-taken for boilerplate and lost.
-
-Pages without such a mark go through their host's suffix array: the token streams of the host's
-pages are concatenated, every substring of ``min_tokens`` or more that occurs on distinct pages is
-found from neighbouring suffixes, covered tokens are removed and the unique runs stay. A host of
-many pages is cut into shards; windows that a shard has not seen twice are counted once more across
-the host's shards, so the outcome is that of one array over the whole host.
+they contain. A class or id counts only if all of its parts say so (``comment-list``, ``site-footer``;
+not ``share-price``), and the ``header`` of an article belongs to it. If the page marks its article
+(``article``, ``main``, role or itemprop), the blocks inside are its text, else all blocks.
+
+The blocks of all pages go through their host's suffix array: the token streams of the host's
+distinct pages are concatenated, and substrings of ``min_tokens`` or more that stand on distinct
+pages are found from neighbouring suffixes. Those on a large enough share of the host's pages are
+boilerplate, whose tokens are removed; unique runs stay. The share is ``SHARE`` of the pages, and for
+text in a marked article ``SHARE_MARKED`` of at least ``LEAST_MARKED`` pages: a passage that some
+articles quote is text. Pages with equal blocks are one page, and a page of which hardly anything
+would be left (``COPY``) keeps its text, as near-copies of an article repeat all of it.
+
+The array is sorted to the depth of ``min_tokens``, as longer repeats are unions of such windows. A
+host of many pages is cut into shards; a window on the share of the host's pages is on that share
+of some shard's, so each shard names its candidates and these are counted over all shards.
 """
 
 from __future__ import annotations
@@ -25,15 +31,17 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import n_parts, stage, table, text_column
+from .common import grouped, n_parts, stage, table, text_column
 
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style textarea title xmp iframe noembed noframes".split())
-DROP = frozenset("head nav header footer aside form script style noscript template iframe svg math button select textarea dialog menu object canvas audio video noembed noframes title".split())
+DROP = frozenset("head nav footer aside form script style noscript template iframe svg math button select textarea dialog menu object canvas audio video noembed noframes title".split())
 INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark meter nobr output progress q rp rt ruby s samp small span strike strong sub sup time tt u var wbr img".split())
 CLOSES = {"li": ({"li"}, {"ul", "ol", "menu"}), "dt": ({"dt", "dd"}, {"dl"}), "dd": ({"dt", "dd"}, {"dl"}), "tr": ({"tr", "td", "th"}, {"table"}), "td": ({"td", "th"}, {"tr", "table"}), "th": ({"td", "th"}, {"tr", "table"}), "option": ({"option"}, {"select"})}
 #: Words of class, id and role values that mark what is not the article.
-ASIDE = frozenset("ad ads advert adverts advertisement advertising sponsor sponsored promo promotion sidebar side-bar comment comments comment-list commentlist reply replies respond discussion disqus cookie cookies consent gdpr notice notices notification alert banner menu nav navbar navigation breadcrumb breadcrumbs footer header masthead share sharing social related recommended recommendations newsletter subscribe subscription signup login popup modal overlay toolbar pagination pager widget skip-link complementary contentinfo search".split())
+ASIDE = frozenset("ad ads advert adverts advertisement advertising sponsor sponsored promo promotion sidebar comment comments commentlist replies respond disqus cookie cookies consent gdpr notice notices notification alert banner menu nav navbar navigation breadcrumb breadcrumbs footer header masthead sharing social related recommended recommendations newsletter subscribe subscription signup login popup modal overlay toolbar pagination pager widget complementary contentinfo search".split())
+#: Words that may stand beside them in a compound name.
+BESIDE = frozenset("site page main global top bottom left right primary secondary side list area section container wrapper wrap box block bar inner outer slot unit form link links button buttons item items posts panel skip share message policy thread reader user id text content".split())
 MAIN_ROLE = re.compile(r"\b(?:role\s*=\s*[\"']?main\b|itemprop\s*=\s*[\"']?articleBody\b)", re.I)
 NAMED = re.compile(r"\b(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 HIDDEN = re.compile(r"\bhidden(?=[\s=>]|$)|\baria-hidden\s*=\s*[\"']?true|display\s*:\s*none", re.I)
@@ -43,9 +51,12 @@ LOOSE = re.compile(r"<(/?)([a-zA-Z][^\s/>]*)([^>]*)(?:>|\Z)")
 
 
 def _is_aside(attrs: str) -> bool:
+    """Does a class, id or role name something beside the article? All parts of a name must say so."""
     for m in NAMED.finditer(attrs):
-        for word in re.split(r"[\s]+", (m[1] or m[2] or m[3] or "").lower()):
-            if word in ASIDE or any(p in ASIDE for p in re.split(r"[-_:]+", word)[:1]) or word.rsplit("-", 1)[-1] in ("ad", "ads", "sidebar", "comments", "cookie", "notice", "banner"):
+        for word in (m[1] or m[2] or m[3] or "").lower().split():
+            parts = [p.rstrip("0123456789") for p in re.split(r"[-_:]+", word)]
+            parts = [p for p in parts if p]
+            if any(p in ASIDE for p in parts) and all(p in ASIDE or p in BESIDE for p in parts):
                 return True
     return False
 
@@ -148,7 +159,7 @@ def blocks_of(html: str | None) -> tuple[list[str], bool]:
         stack.append(name)
         if drop_at < 0:
             is_main = name in ("article", "main") or bool(attrs) and MAIN_ROLE.search(attrs) is not None
-            if name in DROP or attrs and (HIDDEN.search(attrs) or name not in ("body", "html") and not (is_main and name != "article") and _is_aside(attrs)):
+            if name in DROP or name == "header" and main_at < 0 or attrs and (HIDDEN.search(attrs) or name not in ("body", "html") and not is_main and not (name == "header" and main_at >= 0) and _is_aside(attrs)):
                 drop_at = len(stack) - 1
             elif is_main and main_at < 0:
                 main_at = len(stack) - 1
@@ -158,8 +169,12 @@ def blocks_of(html: str | None) -> tuple[list[str], bool]:
     return (inner, True) if marked else (outer, False)
 
 
-def suffix_array(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Suffix array of integer tokens by prefix doubling, and the LCP of neighbours (Kasai in rounds of ranks)."""
+def suffix_array(x: np.ndarray, depth: int | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Suffix array of integer tokens by prefix doubling, and the LCP of neighbours from the rounds' ranks.
+
+    With ``depth`` suffixes are sorted by their first tokens only, a power of two that is at least
+    ``depth``, and longer common prefixes are cut to that.
+    """
     n = len(x)
     rank = np.unique(x, return_inverse=True)[1].astype(np.int64)
     ranks, k = [rank], 1
@@ -170,10 +185,11 @@ def suffix_array(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         new = np.zeros(n, np.int64)
         new[order[1:]] = np.cumsum((rank[order[1:]] != rank[order[:-1]]) | (nxt[order[1:]] != nxt[order[:-1]]))
         rank = new
-        if n == 0 or rank[order[-1]] == n - 1 or k >= n:
+        k *= 2
+        if n == 0 or rank[order[-1]] == n - 1 or k >= n or depth and k >= depth:
             break
         ranks.append(rank)
-        k *= 2
+    ranks.append(rank)
     lcp = np.zeros(n, np.int64)
     a, b = order[:-1].copy(), order[1:].copy()
     for level in range(len(ranks) - 1, -1, -1):  # equal ranks of width 2**level extend the common prefix
@@ -187,108 +203,170 @@ def suffix_array(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return order, lcp
 
 
-def repeated_starts(streams: list[list[int]], min_tokens: int) -> list[np.ndarray]:
-    """Per page, the starts of its ``min_tokens`` windows that also occur on another page."""
-    sizes = [len(s) for s in streams]
-    at = np.cumsum([0, *[n + 1 for n in sizes]])
-    x = np.empty(int(at[-1]), np.int64)
-    page = np.empty(int(at[-1]), np.int64)
-    for i, s in enumerate(streams):
-        x[at[i] : at[i] + len(s)] = s
-        x[at[i] + len(s)] = -1 - i  # separators differ, so no common prefix spans pages
-        page[at[i] : at[i + 1]] = i
-    if not len(x):
-        return [np.zeros(0, np.int64) for _ in streams]
-    order, lcp = suffix_array(x)
-    group = np.cumsum(lcp < min_tokens)
+def repeated_windows(streams: list[np.ndarray], width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(page, start, group, pages) of all ``width``-token windows that stand on two pages or more.
+
+    ``group`` numbers equal windows, ``pages`` counts the pages that a group is on.
+    """
+    sizes = np.array([len(s) for s in streams], np.int64)
+    none = (np.zeros(0, np.int64),) * 4
+    if not sizes.sum():
+        return none
+    x = np.concatenate([y for i, s in enumerate(streams) for y in (s, np.array([-1 - i]))])  # no common prefix spans pages
+    at = np.concatenate([[0], np.cumsum(sizes + 1)])
+    page = np.repeat(np.arange(len(streams)), sizes + 1)
+    order, lcp = suffix_array(x, width)
+    group = np.cumsum(lcp < width) - 1
     p = page[order]
-    lo, hi = np.full(int(group[-1]) + 1, len(streams)), np.full(int(group[-1]) + 1, -1)
-    np.minimum.at(lo, group, p)
-    np.maximum.at(hi, group, p)
-    hit = order[(lo != hi)[group]]
-    return [np.sort(hit[page[hit] == i]) - at[i] for i in range(len(streams))]
+    whole = order + width <= at[p + 1] - 1
+    group, p, order = group[whole], p[whole], order[whole]
+    seen = np.unique(group * len(streams) + p) // len(streams)
+    pages = np.bincount(seen, minlength=int(group.max()) + 1 if len(group) else 0)
+    many = pages[group] > 1
+    group, p, order = group[many], p[many], order[many]
+    return p, order - at[p], group, pages[group]
+
+
+#: Share of a host's distinct pages from which a repeated run is boilerplate, and least number of pages.
+SHARE, LEAST = 0.5, 2
+#: The same for runs inside a marked article.
+SHARE_MARKED, LEAST_MARKED = 0.8, 10
+#: A page that would lose this share of its tokens repeats a copy of its article and keeps all.
+COPY = 0.8
+
+
+def _enough(n: int, marked: bool) -> int:
+    """Pages that a run must stand on, of ``n``, to be boilerplate."""
+    share, least = (SHARE_MARKED, LEAST_MARKED) if marked else (SHARE, LEAST)
+    return max(least, int(np.ceil(share * n)))
+
+
+def _digests(words: list[str], starts: np.ndarray, width: int) -> list[bytes]:
+    return [xxhash.xxh128_digest(" ".join(words[i : i + width])) for i in starts.tolist()]
+
+
+def _cover(n: int, starts: np.ndarray, width: int) -> np.ndarray:
+    """Which of ``n`` tokens the windows at ``starts`` cover."""
+    edge = np.zeros(n + 1, np.int64)
+    np.add.at(edge, starts, 1)
+    np.add.at(edge, starts + width, -1)
+    return np.cumsum(edge[:-1]) > 0
+
+
+def _strip(blocks: list[str], starts: np.ndarray, width: int) -> tuple[str, int]:
+    """Text without the tokens of the windows at ``starts``, and how many went; a copy keeps all."""
+    if not len(starts):
+        return "\n".join(blocks), 0
+    split = [b.split(" ") for b in blocks]
+    gone = _cover(sum(map(len, split)), starts, width)
+    if gone.mean() >= COPY:
+        return "\n".join(blocks), 0
+    kept, at = [], 0
+    for ws in split:
+        kept.append(" ".join(w for w, g in zip(ws, gone[at : at + len(ws)].tolist()) if not g))
+        at += len(ws)
+    return "\n".join(t for t in kept if t), int(gone.sum())
 
 
 def extract_text(pages: DataFrame, key: str = "page_id", url: str = "url", html: str = "html", min_tokens: int = 8, shard_pages: int = 400) -> DataFrame:
-    """(key, url, text, n_chars) of every page; text is empty where nothing is left.
+    """(key, url, text, n_chars, n_repeated, n_boilerplate) of every page; text is empty where nothing is left.
 
-    Null html counts as empty; a null or odd url is a host of its own name. Rows with the same key,
-    url and html are one page and get the same text. An empty table gives an empty result.
+    n_repeated counts the tokens of the page's blocks in runs that other pages of its host share (of
+    its shard, for a host of more than ``shard_pages`` distinct pages), n_boilerplate those removed.
+    Null html counts as empty; a null or odd url is a host of its own name. Rows with the same url
+    host and blocks are one page and get the same text. An empty table gives an empty result.
     """
+    spark = pages.sparkSession
     src = pages.select(pages[key].alias("key"), pages[url].alias("url"), pages[html].alias("html"))
     host = F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), r"^[a-zA-Z][\w+.-]*://([^/?#:]*)", 1))
-    src = src.select("key", "url", "html", host.alias("host"), F.xxhash64("key", "url", "html").alias("uid"))
+    src = src.select("key", "url", "html", host.alias("host"))
     kind = dict(src.dtypes)["key"]
 
     def parse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for lo in range(0, batch.num_rows, 500):
                 part = batch.slice(lo, 500)
-                text, rest = [], []
+                blocks, marked, uid = [], [], []
                 for s in text_column(part, "html"):
-                    blocks, marked = blocks_of(s)
-                    text.append("\n".join(blocks) if marked or not blocks else None)
-                    rest.append(None if marked or not blocks else blocks)
-                yield pa.RecordBatch.from_arrays([part.column("key"), part.column("url"), part.column("host"), part.column("uid"), pa.array(text, pa.string()), pa.array(rest, pa.list_(pa.string()))], names=["key", "url", "host", "uid", "text", "blocks"])
-
-    parsed = stage(src.mapInArrow(parse, f"key {kind}, url string, host string, uid long, text string, blocks array<string>"), "parsed")
-    done = parsed.filter("text is not null").select("key", "url", "text")
-    open_ = parsed.filter("text is null")
-    pages_of = open_.groupBy("host").agg(F.count("*").alias("n")).withColumn("shards", F.ceil(F.col("n") / shard_pages).cast("int"))
-    dealt = open_.select("host", "uid", "blocks").dropDuplicates(["host", "uid"]).join(pages_of, "host").withColumn("shard", F.pmod("uid", "shards").cast("int"))
-
-    def arrays(key_, t):  # hints would have to name the key's type too
-        ids: dict[str, int] = {}
-        streams, many = [], t.column("shards")[0].as_py() > 1
-        for blocks in t.column("blocks").to_pylist():
-            streams.append([ids.setdefault(w, len(ids)) for b in blocks for w in b.split(" ")])
-        words = list(ids)
-        uid, at, a, b = [], [], [], []
-        for u, s, hit in zip(t.column("uid").to_pylist(), streams, repeated_starts(streams, min_tokens)):
-            uid += [u] * len(hit)
-            at += hit.tolist()
-            a += [None] * len(hit)
-            b += [None] * len(hit)
-            if many:
-                seen = set(hit.tolist())
-                for i in range(len(s) - min_tokens + 1):
-                    if i not in seen:
-                        h = xxhash.xxh128_intdigest(" ".join(words[w] for w in s[i : i + min_tokens]))
-                        uid.append(u)
-                        at.append(i)
-                        a.append((h >> 64) - (1 << 63))
-                        b.append((h & (1 << 64) - 1) - (1 << 63))
-        n = len(uid)
-        return pa.table({"host": pa.array([key_[0].as_py()] * n, pa.string()), "uid": pa.array(uid, pa.int64()), "at": pa.array(at, pa.int32()), "h1": pa.array(a, pa.int64()), "h2": pa.array(b, pa.int64())})
-
-    found = stage(dealt.groupBy("host", "shard").applyInArrow(arrays, "host string, uid long, at int, h1 long, h2 long"), "repeats")
-    single = found.filter("h1 is not null")
-    twice = single.groupBy("host", "h1", "h2").agg(F.min("uid").alias("lo"), F.max("uid").alias("hi")).filter("lo != hi")
-    starts = found.filter("h1 is null").select("uid", "at").union(single.join(twice, ["host", "h1", "h2"]).select("uid", "at"))
-    starts = starts.groupBy("uid").agg(F.collect_set("at").alias("starts"))
+                    b, m = blocks_of(s)
+                    blocks.append(b)
+                    marked.append(m)
+                    uid.append(xxhash.xxh128_digest("\n".join([str(m), *b])))
+                yield pa.RecordBatch.from_arrays([part.column("key"), part.column("url"), part.column("host"), pa.array(uid, pa.binary()), pa.array(marked, pa.bool_()), pa.array(blocks, pa.list_(pa.string()))], names=["key", "url", "host", "uid", "marked", "blocks"])
+
+    parsed = stage(src.mapInArrow(parse, f"key {kind}, url string, host string, uid binary, marked boolean, blocks array<string>"), "parsed")
+    once = parsed.select("host", "uid", "marked", "blocks").dropDuplicates(["host", "uid"])
+    large = once.groupBy("host").agg(F.count("*").alias("n")).filter(F.col("n") > shard_pages)
+    salt = F.coalesce(F.pmod(F.xxhash64("uid"), F.ceil(F.col("n") / shard_pages)).cast("int"), F.lit(-1))
+    dealt = once.join(large, "host", "left").withColumn("shard", salt).repartition(n_parts(spark), "host", "shard").sortWithinPartitions("host", "shard")
+
+    def arrays(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Texts of hosts of one shard; the candidates of the others."""
+        for t in grouped(batches, ["host", "shard"]):
+            pages_, n = t.num_rows, t.column("n")[0].as_py()
+            blocks, marked = t.column("blocks").to_pylist(), np.array(t.column("marked").to_pylist(), bool)
+            ids: dict[str, int] = {}
+            words = [[w for b in bs for w in b.split(" ")] for bs in blocks]
+            page, start, group, seen = repeated_windows([np.array([ids.setdefault(w, len(ids)) for w in ws], np.int64) for ws in words], min_tokens)
+            # a shard of a large host asks for the share alone; the least number of pages is that of the host
+            need = np.array([_enough(pages_, m) if n is None else max(1, int(np.ceil(s * pages_))) for m, s in ((False, SHARE), (True, SHARE_MARKED))])
+            hit = seen >= need[marked[page].astype(int)]
+            cut = np.argsort(page, kind="stable")
+            spans = np.searchsorted(page[cut], np.arange(pages_ + 1))
+            first = set(np.unique(group[hit], return_index=True)[1].tolist()) if n is not None else set()
+            first = set(np.flatnonzero(hit)[sorted(first)].tolist()) if first else first
+            repeated, texts, gone, found = [], [], [], []
+            for i in range(pages_):
+                own = cut[spans[i] : spans[i + 1]]
+                repeated.append(int(_cover(len(words[i]), start[own], min_tokens).sum()))
+                text, lost = (None, None) if n is not None else _strip(blocks[i], start[own[hit[own]]], min_tokens)
+                texts.append(text)
+                gone.append(lost)
+                found.append(_digests(words[i], start[[j for j in own.tolist() if j in first]], min_tokens) if first else [])
+            kept = [None] * pages_ if n is None else blocks
+            cols = [pa.array(found, pa.list_(pa.binary())), pa.array(kept, pa.list_(pa.string())), pa.array(texts, pa.string()), pa.array(repeated, pa.int32()), pa.array(gone, pa.int32())]
+            out = pa.table([*(t.column(c) for c in ("host", "uid", "marked", "n")), *cols], names=["host", "uid", "marked", "n", "found", "blocks", "text", "n_repeated", "n_boilerplate"])
+            yield from out.combine_chunks().to_batches()
+
+    first = dealt.select("host", "uid", "marked", "n", "shard", "blocks").mapInArrow(arrays, "host string, uid binary, marked boolean, n long, found array<binary>, blocks array<string>, text string, n_repeated int, n_boilerplate int")
+    first = stage(first, "repeats")
+    # a candidate stands on a share of its shard's pages, so a shard has at most a page's length / SHARE of them
+    maybe = first.select("host", F.explode("found").alias("h")).distinct().groupBy("host").agg(F.collect_list("h").alias("maybe"))
+    wide = first.filter("text is null").select("host", "uid", "marked", "n", "blocks", "n_repeated")
+
+    def present(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            names, ns, hs = [], [], []
+            for name, n, bs, ask in zip(*(batch.column(c).to_pylist() for c in ("host", "n", "blocks", "maybe"))):
+                words = [w for b in bs for w in b.split(" ")]
+                got = set(ask).intersection(_digests(words, np.arange(max(0, len(words) - min_tokens + 1)), min_tokens))
+                names += [name] * len(got)
+                ns += [n] * len(got)
+                hs += got
+            yield pa.RecordBatch.from_arrays([pa.array(names, pa.string()), pa.array(ns, pa.int64()), pa.array(hs, pa.binary())], names=["host", "n", "h"])
+
+    counted = wide.join(maybe, "host").mapInArrow(present, "host string, n long, h binary").groupBy("host", "n", "h").agg(F.count("*").alias("seen"))
+    free, closed = (F.col("seen") >= F.greatest(F.lit(least), F.ceil(F.col("n") * F.lit(share))) for share, least in ((SHARE, LEAST), (SHARE_MARKED, LEAST_MARKED)))
+    sure = counted.filter(free | closed).groupBy("host").agg(F.collect_list(F.struct("h", free.alias("free"), closed.alias("closed"))).alias("sure"))
 
     def strip(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out = []
-            for blocks, hits in zip(batch.column("blocks").to_pylist(), batch.column("starts").to_pylist()):
-                words = [b.split(" ") for b in blocks]
-                cover = np.zeros(sum(map(len, words)) + 1, np.int64)
-                for h in hits or []:
-                    cover[h] += 1
-                    cover[h + min_tokens] -= 1
-                gone, at, kept = np.cumsum(cover) > 0, 0, []
-                for w in words:
-                    t = " ".join(x for x, g in zip(w, gone[at : at + len(w)]) if not g)
-                    at += len(w)
-                    if t:
-                        kept.append(t)
-                out.append("\n".join(kept))
-            yield pa.RecordBatch.from_arrays([batch.column("key"), batch.column("url"), pa.array(out, pa.string())], names=["key", "url", "text"])
-
-    rest = open_.join(starts, "uid", "left").select("key", "url", "blocks", "starts").mapInArrow(strip, f"key {kind}, url string, text string")
-    return done.unionByName(rest).select(F.col("key").alias(key), F.col("url").alias(url), "text", F.length("text").cast("long").alias("n_chars"))
+            texts, gone = [], []
+            for mark, bs, known in zip(*(batch.column(c).to_pylist() for c in ("marked", "blocks", "sure"))):
+                want = {k["h"] for k in known or [] if k["closed" if mark else "free"]}
+                words = [w for b in bs for w in b.split(" ")] if want else []
+                hits = [i for i, h in enumerate(_digests(words, np.arange(max(0, len(words) - min_tokens + 1)), min_tokens)) if h in want]
+                text, lost = _strip(bs, np.array(hits, np.int64), min_tokens)
+                texts.append(text)
+                gone.append(lost)
+            yield pa.RecordBatch.from_arrays([batch.column("host"), batch.column("uid"), pa.array(texts, pa.string()), batch.column("n_repeated"), pa.array(gone, pa.int32())], names=["host", "uid", "text", "n_repeated", "n_boilerplate"])
+
+    rest = wide.join(stage(sure, "boilerplate"), "host", "left").mapInArrow(strip, "host string, uid binary, text string, n_repeated int, n_boilerplate int")
+    texts = first.filter("text is not null").select("host", "uid", "text", "n_repeated", "n_boilerplate").union(rest)
+    out = parsed.select("key", "url", "host", "uid").join(texts, ["host", "uid"])
+    return out.select(F.col("key").alias(key), F.col("url").alias(url), "text", F.length("text").cast("long").alias("n_chars"), "n_repeated", "n_boilerplate")
 
 
 def op8_host_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Main text of all ``pages``."""
+    """Main text of all ``pages``, and what their hosts' suffix arrays found."""
     return extract_text(table(spark, sf_dir, "pages").select("page_id", "url", "html"))

@@ -6,6 +6,7 @@ import random
 import re
 import zlib
 from collections import Counter
+from html.parser import HTMLParser
 
 import numpy as np
 import pytest
@@ -345,31 +346,104 @@ def test_blocks_of_pages():
     assert html.blocks_of("<script>never closed <p>x") == ([], False)
 
 
+def test_names_beside_the_article_need_all_parts():
+    for name in ("banner-story", "share-price", "search-results-study", "notice-period", "headerless", "menuhin"):
+        assert html.blocks_of(f"<article><p>a</p><div class='{name}'><p>kept</p></div></article>")[0] == ["a", "kept"], name
+        assert html.blocks_of(f"<div id={name}>kept</div>")[0] == ["kept"], name
+    assert html.blocks_of("<section id='social-history'><p>kept</section>")[0] == ["kept"]
+    assert html.blocks_of("<article class='related-story'><header class='entry-header'><h1>T</h1></header><p>x</article>") == (["T", "x"], True)
+    assert html.blocks_of("<article class='comments related'><p>x</article>") == (["x"], True)
+    for name in ("comment-list", "ad-box", "site-footer", "sidebar-left", "cookie-banner", "newsletter_signup", "nav menu2"):
+        assert html.blocks_of(f"<article><p>a</p><div class='x {name}'><p>gone</p></div></article>")[0] == ["a"], name
+
+
 def test_suffix_array_finds_every_repeat():
     r = random.Random(1)
     for _ in range(150):
         s = [[r.randrange(3) for _ in range(r.randrange(14))] for _ in range(r.randrange(1, 5))]
-        for i, got in enumerate(html.repeated_starts(s, 3)):
-            assert got.tolist() == [a for a in range(len(s[i]) - 2) if any(s[i][a : a + 3] == q[b : b + 3] for j, q in enumerate(s) if j != i for b in range(len(q) - 2))]
+        want = {}
+        for i, x in enumerate(s):
+            for a in range(len(x) - 2):
+                want.setdefault(tuple(x[a : a + 3]), []).append((i, a))
+        want = {(*p, len({i for i, _ in at})) for at in want.values() for p in at if len({i for i, _ in at}) > 1}
+        page, start, group, pages = html.repeated_windows([np.array(x, np.int64) for x in s], 3)
+        assert set(zip(page.tolist(), start.tolist(), pages.tolist())) == want
+        assert all((g == h) == (s[p][a : a + 3] == s[q][b : b + 3]) for p, a, g in zip(page, start, group) for q, b, h in zip(page, start, group))
+        x = np.array([r.randrange(3) for _ in range(20)])
+        order, lcp = html.suffix_array(x)
+        assert order.tolist() == sorted(range(20), key=lambda i: x[i:].tolist())
+        assert all(n == next((k for k in range(20 - max(a, b)) if x[a + k] != x[b + k]), 20 - max(a, b)) for n, a, b in zip(lcp[1:].tolist(), order, order[1:]))
 
 
 def test_host_boilerplate(spark):
     r = random.Random(2)
     word = lambda n: " ".join(f"u{r.random():.12f}" for _ in range(n))
     top, end = "welcome to the great site of many words and links", "all rights reserved by the owner of the great site"
-    own = {i: word(12) for i in range(40)}
+    quote, call = "a passage of ten words that some of the articles quote", "please support our work by sending us a small gift"
+    own = {i: word(32) for i in range(40)}
     pages = [(i, f"http://h.example/{i}", f"<body><div>{top}</div><p>{own[i]}</p><div>{end}</div>") for i in range(40)]
-    pages += [(90, None, None), (91, "x", ""), (92, "http://other.example/", f"<div>{top}</div>"), (3, "http://h.example/3", pages[3][2]), (93, "http://m.example/", "<article><p>kept</article>"), (94, "http://m.example/2", "<article><p>kept</article>")]
-    df = spark.createDataFrame(pages, "page_id long, url string, html string").selectExpr("*", "1 AS text", "2 AS host")
-    for shard in (400, 5):
+    want = dict(own)
+    for i in range(100, 140):  # marked articles: a quote on some, a call on all
+        want[i] = word(32) + (f"\n{quote}" if i % 3 == 0 else "")
+        pages.append((i, f"https://M.example:80/{i}", f"<main><p>{want[i].replace(chr(10), '<p>')}<p>{call}</main><div>{top}</div>"))
+    copied = word(40)
+    for i in range(200, 203):  # near-copies of one article, unmarked
+        pages.append((i, f"http://c.example/{i}", f"<p>{copied}<p>{i} only"))
+        want[i] = f"{copied}\n{i} only"
+    pages += [(90, None, None), (91, "x", ""), (92, "http://other.example/", f"<div>{top}</div>"), (3, "http://h.example/3", pages[3][2]), (93, "http://k.example/", "<article><p>kept</article>"), (94, "http://k.example/2", "<article><p>kept</article>"), (95, "http://h.example/95", "<p>" + "long " * 30_000)]
+    want |= {90: "", 91: "", 92: top, 93: "kept", 94: "kept", 95: ("long " * 30_000).strip()}
+    df = spark.createDataFrame(pages, "page_id long, url string, html string").selectExpr("*", "1 AS text", "2 AS host", "3 AS n")
+    for shard in (400, 7):
         got = html.extract_text(df, shard_pages=shard).collect()
         assert len(got) == len(pages)
         for x in got:
-            want = own.get(x.page_id, {92: top, 93: "kept", 94: "kept"}.get(x.page_id, ""))
-            assert x.text == want and x.n_chars == len(want)
+            assert x.text == want[x.page_id] and x.n_chars == len(x.text), (shard, x.page_id)
+            assert x.n_boilerplate == (20 if x.page_id < 40 else 10 if 100 <= x.page_id < 140 else 0)
     assert html.extract_text(df.limit(0)).count() == 0
 
 
+class Article(HTMLParser):
+    """Blocks inside article elements, read by the standard library's parser."""
+
+    def __init__(self):
+        super().__init__()
+        self.depth, self.blocks, self.buf = 0, [], []
+
+    def flush(self):
+        t = " ".join("".join(self.buf).split())
+        self.buf = []
+        if t and self.depth:
+            self.blocks.append(t)
+
+    def handle_starttag(self, tag, attrs):
+        if tag == "br":
+            self.buf.append(" ")
+        elif tag not in ("b", "i", "a", "em", "span"):
+            self.flush()
+        self.depth += tag == "article"
+
+    def handle_endtag(self, tag):
+        if tag not in ("b", "i", "a", "em", "span"):
+            self.flush()
+        self.depth -= tag == "article"
+
+    def handle_data(self, data):
+        if self.depth:
+            self.buf.append(data)
+
+
+def test_page_texts_equal_another_reading(spark, sf):
+    pages = spark.read.parquet(f"{sf}/pages.parquet").collect()
+    want = {}
+    for p in pages:
+        a = Article()
+        a.feed(p.html or "")
+        a.close()
+        a.flush()
+        want[p.page_id] = "\n".join(a.blocks)
+    assert {x.page_id: x.text for x in html.op8_host_suffix_array(spark, sf).collect()} == want
+
+
 def test_digests_are_of_kept_text(spark, sf):
     docs = {r.doc_id: r.text for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
     got = substrings.op5_suffix_automata(spark, sf).collect()
