@@ -151,6 +151,8 @@ def brute_leaks(docs, items):
         for i, x in items:
             v = words(x)
             if len(v) < 5 or len(w) < 5:
+                if v and v == w:
+                    out.setdefault(d, {})[i] = 1.0
                 continue
             want = [tuple(v[j : j + 5]) for j in range(len(v) - 4)]
             best = 0.0
@@ -179,7 +181,7 @@ def test_decontamination(spark):
                 p.insert(r.randrange(len(p)), "extra")
             w[len(w) // 2 : len(w) // 2] = [x.upper() + r.choice(["", ",", "!"]) for x in p]
         docs.append((i, "  ".join(w)))
-    docs += [(60, None), (61, ""), (None, items[0][1]), (62, items[0][1]), (62, items[0][1]), (63, "rep " * 20), (64, " ".join(v) * 40 + " " + items[1][1])]
+    docs += [(60, None), (61, ""), (None, items[0][1]), (62, items[0][1]), (62, items[0][1]), (63, "rep " * 20), (65, "Too short; ITEM!"), (66, "too short items"), (67, "a too short item"), (64, " ".join(v) * 40 + " " + items[1][1])]
     want = brute_leaks(docs, items)
     df = spark.createDataFrame(docs, "doc_id long, text string").selectExpr("*", "'q' AS best_item", "5 AS item", "6 AS start")
     it = spark.createDataFrame(items, "item_id long, text string")
