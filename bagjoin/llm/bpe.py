@@ -32,10 +32,9 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import WordTable, process_table, table, text_column
+from .common import WordTable, process_table, sheltered, table, text_column
 
-#: Fixed values of the vocabulary file: its split pattern and end-of-word mark.
-SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+#: Fixed value of the vocabulary file: its end-of-word mark.
 WORD_END = "</w>"
 #: Control characters that str.split() takes for white space and the pattern does not.
 _NOT_SPACE = ("\x1c", "\x1d", "\x1e", "\x1f")
@@ -55,6 +54,40 @@ def byte_symbols() -> list[str]:
     return out
 
 
+def split_pattern(config: dict) -> str:
+    """The pattern by which a tokenizer file splits words."""
+    found = [x["pattern"]["Regex"] for x in config["pre_tokenizer"]["pretokenizers"] if x["type"] == "Split"]
+    if len(found) != 1:
+        raise ValueError("the file must have one split pattern")
+    return found[0]
+
+
+def odd_characters(pattern: str) -> tuple[str, str]:
+    """Characters that the library and ``regex`` class differently, and for each one that both class alike.
+
+    Only code points that this Python does not know can differ: the two follow other versions of the
+    standard. Planes 4 to 13 are empty in all versions.
+    """
+    from tokenizers import Regex, normalizers, pre_tokenizers
+
+    asked = [chr(c) for c in range(0x40000) if unicodedata.category(chr(c)) == "Cn"]
+    split, lower = pre_tokenizers.Split(Regex(pattern), "removed", invert=True), normalizers.Lowercase()
+    mine = regex.compile(pattern)
+    odd, like = [], []
+    for lo in range(0, len(asked), 20_000):
+        some = asked[lo : lo + 20_000]
+        text = "".join(f"a{c}{c} " for c in some)
+        theirs: list[list[str]] = [[] for _ in some]
+        for piece, (at, _) in split.pre_tokenize_str(text):
+            theirs[at // 4].append(piece)
+        for c, pieces in zip(some, theirs):
+            small = lower.normalize_str(c)
+            if pieces != mine.findall(f"a{c}{c}") or small != c.lower():
+                odd.append(c)
+                like.append("\u02b0" if len(pieces) == 1 and len(pieces[0]) == 3 else "\u00bd" if len(pieces) == 3 else "\u00a7")  # a letter, a number, a sign
+    return "".join(odd), "".join(like)
+
+
 def chunks_of(text: str) -> list[str]:
     """The parts of a text between the pattern's white space."""
     if any(c in text for c in _NOT_SPACE):
@@ -62,6 +95,12 @@ def chunks_of(text: str) -> list[str]:
     return text.split()
 
 
+def _library_lower(c: str) -> str:
+    from tokenizers import normalizers
+
+    return normalizers.Lowercase().normalize_str(c)
+
+
 class TokenAutomaton:
     """Deterministic automaton over tokens; see the module's text."""
 
@@ -215,7 +254,12 @@ class WordBpe:
         for s, i in self.special.items():
             self.labels[i] = s
         self._special = regex.compile("(" + "|".join(regex.escape(s) for s in sorted(self.special, key=len, reverse=True)) + ")") if self.special else None
-        self._split = regex.compile(SPLIT)
+        pattern = split_pattern(d)
+        self._split = regex.compile(pattern)
+        odd, like = odd_characters(pattern)
+        self._odd = regex.compile(f"[{regex.escape(odd)}]") if odd else None
+        self._like = str.maketrans(odd, like)
+        self._lower = {ord(c): s for c in odd for s in [_library_lower(c)]}
 
     @classmethod
     def from_file(cls, path: str) -> WordBpe:
@@ -234,6 +278,10 @@ class WordBpe:
     def pieces_plain(self, chunk: str) -> list[str]:
         if not chunk:
             return []
+        if self._odd and not chunk.isascii() and self._odd.search(chunk):
+            text = unicodedata.normalize("NFC", chunk).replace("Σ", "σ")
+            text = "".join(self._lower.get(ord(c)) or c.lower() for c in text)
+            return [text[m.start() : m.end()] for m in self._split.finditer(text.translate(self._like))]
         return self._split.findall(unicodedata.normalize("NFC", chunk).replace("Σ", "σ").lower())
 
     def chunks(self, text: str) -> list[str]:
@@ -286,7 +334,9 @@ def encode_documents(docs: DataFrame, path: str, text: str = "text", keep_ids: b
     model = docs.sparkSession.sparkContext.broadcast(compiled(path))
     extra = "n_tokens long, ids_sha256 string, decoded_sha256 string" + (", ids array<int>" if keep_ids else "")
     kept = [c for c in docs.columns if c not in ("n_tokens", "ids_sha256", "decoded_sha256", *(("ids",) if keep_ids else ()))]
-    src = docs.select(*[f"`{c}`" for c in kept], docs[text].alias("__text"))
+    src, restored = sheltered(docs.withColumn("the text", docs[text]).select(*[f"`{c}`" for c in kept], "the text"))
+    kept = src.columns[:-1]
+    src = src.withColumnRenamed("the text", "__text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = model.value
@@ -312,7 +362,7 @@ def encode_documents(docs: DataFrame, path: str, text: str = "text", keep_ids: b
                 yield pa.RecordBatch.from_arrays(cols, names=names)
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in src.schema if f.name != "__text")
-    return src.mapInArrow(run, f"{fields}, {extra}")
+    return restored(src.mapInArrow(run, f"{fields}, {extra}"))
 
 
 def op2_bpe_automaton(spark: SparkSession, sf_dir: str) -> DataFrame:

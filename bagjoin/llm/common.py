@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -57,6 +57,15 @@ def stage(df: DataFrame, kind: str = "stage") -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def sheltered(docs: DataFrame, *own: str) -> tuple[DataFrame, Callable[[DataFrame], DataFrame]]:
+    """``docs`` with its columns that begin with two underscores under other names, and the way back.
+
+    Such names are the operators' working names; the columns ``own`` keep theirs.
+    """
+    moved = {c: f"column {i} of the input" for i, c in enumerate(docs.columns) if c.startswith("__") and c not in own}
+    return docs.withColumnsRenamed(moved), lambda out: out.withColumnsRenamed({v: k for k, v in moved.items()})
+
+
 def n_parts(spark: SparkSession, at_least: int = 1) -> int:
     return max(at_least, int(spark.conf.get("spark.sql.shuffle.partitions")))
 

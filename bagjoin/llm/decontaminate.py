@@ -20,7 +20,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import stage, table
+from .common import sheltered, stage, table
 
 SHINGLE, SIMILARITY, RADIUS = 5, 0.8, 22
 #: Benchmark shingles up to which their table is broadcast (about 100 MB of hash table).
@@ -130,12 +130,13 @@ def decontaminate(docs: DataFrame, items: DataFrame, key: str = "doc_id", text:
     tables on either side leave every row clean.
     """
     docs = docs.drop(*[c for c in ("contaminated", "n_items", "best_item", "best_similarity") if c in docs.columns and c not in (key, text)])
+    docs, restored = sheltered(docs, key, text)
     found = leaks(docs, items, key, text, **opts).groupBy("key", "uid", "item").agg(F.max("similarity").alias("similarity"))
     best = F.min_by("item", F.struct(-F.col("similarity"), "item"))
     found = found.groupBy("key", "uid").agg(F.count("*").alias("n_items"), best.alias("best_item"), F.max("similarity").alias("best_similarity"))
     found = found.withColumnsRenamed({"key": "__k", "uid": "__u"})
     out = docs.withColumn("__uid", F.xxhash64(key, text)).join(found, (F.col("__uid") == F.col("__u")) & F.col(key).eqNullSafe(F.col("__k")), "left").drop("__uid", "__k", "__u")
-    return out.withColumns({"contaminated": F.col("n_items").isNotNull(), "n_items": F.coalesce("n_items", F.lit(0).cast("long")), "best_similarity": F.coalesce("best_similarity", F.lit(0.0))})
+    return restored(out).withColumns({"contaminated": F.col("n_items").isNotNull(), "n_items": F.coalesce("n_items", F.lit(0).cast("long")), "best_similarity": F.coalesce("best_similarity", F.lit(0.0))})
 
 
 def op7_simhash_windows(spark: SparkSession, sf_dir: str) -> DataFrame:

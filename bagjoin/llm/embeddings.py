@@ -185,13 +185,21 @@ def near_vectors(vectors: DataFrame, key: str = "vec_id", vector: str = "embeddi
     keys = [*keys, "cell_a", "cell_b"]
     cells = cells.repartition(n_parts(spark), *keys).sortWithinPartitions(*keys)
 
+    def one_label(cols: dict[str, np.ndarray], lo: int, hi: int) -> Iterator[tuple[dict[str, np.ndarray], int, int]]:
+        """The run itself, or a part per label and length where two of them have one hash."""
+        names = list(zip(cols["name"][lo:hi].tolist(), cols["d"][lo:hi].tolist()))
+        if len(set(names)) == 1:
+            yield cols, lo, hi
+            return
+        for x in sorted(set(names)):
+            at = [lo + i for i, y in enumerate(names) if y == x]
+            yield {k: v[at] for k, v in cols.items()}, 0, len(at)
+
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for cols, found in runs(batches, keys):
             a, b, w = [], [], []
-            for lo, hi in found:
+            for cols, lo, hi in (x for lo, hi in found for x in one_label(cols, lo, hi)):
                 f, side, rep, n = cols["f"][lo], cols["side"][lo:hi], cols["rep"][lo:hi], cols["copies"][lo:hi]
-                if len(set(zip(cols["name"][lo:hi].tolist(), cols["d"][lo:hi].tolist()))) > 1:  # two labels with one hash
-                    continue
                 x = np.frombuffer(b"".join(cols["x"][lo:hi]), "<f8").reshape(hi - lo, -1)
                 i, j = (np.flatnonzero(side == 1), np.flatnonzero(side == 2)) if side.any() else (np.arange(hi - lo),) * 2
                 near = x[i] @ x[j].T >= cosine

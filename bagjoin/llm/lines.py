@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import forget_tables, n_parts, runs, stage, table
+from .common import forget_tables, n_parts, runs, sheltered, stage, table
 from .components import components
 from .simhash import Forest
 
@@ -188,20 +188,21 @@ def dedup_lines(docs: DataFrame, key: str = "doc_id", text: str = "text", thresh
     """All columns of ``docs``, ``text`` without repeated lines, and n_lines, n_removed, removed (line numbers).
 
     Lines end at a line feed; white space at their ends does not count. Lines of fewer than
-    ``min_chars`` characters always stay and link with nothing. Line ids are 64-bit hashes of the
-    line. Null text stays null with 0 lines; the empty text is one short line. Rows that repeat a
+    ``min_chars`` characters always stay and link with nothing. Lines are equal if 128 bits of hash
+    are. Null text stays null with 0 lines; the empty text is one short line. Rows that repeat a
     key are told apart by their text; rows equal in both are one document. A null key ranks last.
     An empty table gives an empty result. Clashing extra columns are replaced.
     """
     docs = docs.drop(*[c for c in ("n_lines", "n_removed", "removed") if c in docs.columns and c != text])
+    docs, restored = sheltered(docs, key, text)
     keyed = docs.withColumns({"__d": F.coalesce(F.col(key).cast("long"), F.lit(LAST)), "__uid": F.xxhash64(key, text)})
     every = keyed.select("__d", "__uid", F.posexplode(F.split(text, "\n"))).select("__d", "__uid", F.col("pos").alias("no"), F.btrim("col", F.lit(" \t\r\f\x0b")).alias("line"))
     every = every.withColumn("n", F.length("line")).filter(F.col("n") >= min_chars)
     every = every.withColumns({"h1": F.xxhash64("line"), "h2": F.xxhash64(F.lit(1), "line")})
     distinct = every.groupBy("h1", "h2").agg(F.min(F.struct("__d", "__uid", "no")).alias("rep"), F.count("*").alias("copies"), F.first("line").alias("line"), F.first("n").alias("n"))
-    distinct = stage(distinct, "lines")
-    comp = components(line_links(distinct.select(F.col("h1").alias("lid"), "line", "n"), threshold))
-    classed = distinct.select("h1", "h2", "rep", "copies").join(comp, F.col("h1") == comp.node, "left").withColumn("g", F.coalesce("component", "h1"))
+    distinct = stage(distinct.withColumn("lid", F.monotonically_increasing_id()), "lines")
+    comp = components(line_links(distinct.select("lid", "line", "n"), threshold))
+    classed = distinct.select("lid", "h1", "h2", "rep", "copies").join(comp, F.col("lid") == comp.node, "left").withColumn("g", F.coalesce("component", "lid"))
     first = classed.groupBy("g").agg(F.min("rep").alias("keep"), F.sum("copies").alias("of")).filter("of > 1")
     again = classed.join(first, "g").select("h1", "h2", "keep")
     gone = every.select("__d", "__uid", "no", "h1", "h2").join(again, ["h1", "h2"]).filter(F.struct("__d", "__uid", "no") != F.col("keep"))
@@ -209,7 +210,7 @@ def dedup_lines(docs: DataFrame, key: str = "doc_id", text: str = "text", thresh
     out = keyed.join(gone, (F.col("__d") == F.col("__rd")) & (F.col("__uid") == F.col("__ru")), "left").drop("__d", "__uid", "__rd", "__ru")
     parts = F.split(text, "\n")
     kept = F.when(F.col("removed").isNull(), F.col(text)).otherwise(F.concat_ws("\n", F.filter(parts, lambda x, i: ~F.array_contains("removed", i))))
-    return out.withColumns({"n_lines": F.when(F.col(text).isNull(), 0).otherwise(F.size(parts)).cast("long"), "n_removed": F.when(F.col("removed").isNull(), 0).otherwise(F.size("removed")).cast("long"), text: kept})
+    return restored(out).withColumns({"n_lines": F.when(F.col(text).isNull(), 0).otherwise(F.size(parts)).cast("long"), "n_removed": F.when(F.col("removed").isNull(), 0).otherwise(F.size("removed")).cast("long"), text: kept})
 
 
 def op9_edit_join(spark: SparkSession, sf_dir: str) -> DataFrame:

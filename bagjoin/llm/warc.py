@@ -15,12 +15,13 @@ import gzip
 import hashlib
 import uuid
 import zlib
+from collections import deque
 from collections.abc import Iterator
 
 import pyarrow as pa
 from pyarrow import fs as pafs
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import new_folder, stage, table, text_column
@@ -90,24 +91,38 @@ def write_warc(pages: DataFrame, folder: str, key: str = "page_id", url: str = "
     return stage(index, "warc-index").withColumnRenamed("key", key)
 
 
-def copy_replica(index: DataFrame, source: str, target: str) -> None:
-    """Copy the files that an index names from one folder to another, a file a task."""
-    names = index.select("name").distinct()
+def copy_replica(index: DataFrame, source: str, target: str, damage: Column | None = None) -> None:
+    """Copy the files that an index names from one folder to another, a file a task.
+
+    Where ``damage``, a condition on the index's columns, holds, the middle byte of the record's
+    range comes out with its lowest bit turned: a replica to try an audit on.
+    """
+    broken = F.sort_array(F.collect_list(F.col("offset") + F.floor(F.col("length") / 2)))
+    names = index.groupBy("name").agg((F.lit(None).cast("array<bigint>") if damage is None else broken).alias("at"))
+    if damage is not None:
+        hurt = index.filter(damage).groupBy("name").agg(broken.alias("at"))
+        names = names.select("name").join(hurt, "name", "left")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         a, here = pafs.FileSystem.from_uri(source)
         b, there = pafs.FileSystem.from_uri(target)
         b.create_dir(there, recursive=True)
         for batch in batches:
-            for name in batch.column("name").to_pylist():
+            for name, wrong in zip(batch.column("name").to_pylist(), batch.column("at").to_pylist()):
                 tmp = f"{there}/.{uuid.uuid4().hex}"
                 with a.open_input_stream(f"{here}/{name}", compression=None) as f, b.open_output_stream(tmp, compression=None) as g:
+                    done, todo = 0, deque(wrong or [])
                     while chunk := f.read(1 << 20):
-                        g.write(chunk)
+                        if todo and todo[0] < done + len(chunk):
+                            chunk = bytearray(chunk)
+                            while todo and todo[0] < done + len(chunk):
+                                chunk[todo.popleft() - done] ^= 1
+                        g.write(bytes(chunk))
+                        done += len(chunk)
                 b.move(tmp, f"{there}/{name}")
-            yield batch
+            yield batch.select(["name"])
 
-    names.mapInArrow(run, "name string").write.format("noop").mode("overwrite").save()
+    names.select("name", "at").mapInArrow(run, "name string").write.format("noop").mode("overwrite").save()
 
 
 def leaf_hashes(index: DataFrame, folder: str, key: str = "page_id", payloads: bool = False) -> DataFrame:
@@ -218,18 +233,27 @@ def compare_replicas(a: MerkleTree, b: MerkleTree) -> DataFrame:
     return diff.withColumnRenamed("node", "i")
 
 
+#: Pages whose records the query damages in the second replica: this remainder of their id.
+DAMAGED, OF = 7, 50
+
+
 def op6_merkle_fixity(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Archive all ``pages``, copy the archive, audit both replicas; one row per page."""
+    """Archive all ``pages``, copy the archive with known damage, audit both replicas; one row per page.
+
+    ``intact`` and the damaged range come from the descent; the damage is known to the copy alone.
+    """
     one, two = new_folder(spark, "warc"), new_folder(spark, "warc-copy")
     index = write_warc(table(spark, sf_dir, "pages").select("page_id", "url", "html"), one)
-    copy_replica(index, one, two)
+    copy_replica(index, one, two, F.pmod("page_id", F.lit(OF)) == DAMAGED)
     kept = stage(leaf_hashes(index, one, payloads=True), "audit")
-    wrong = compare_replicas(MerkleTree(kept), MerkleTree(leaf_hashes(index, two))).select("file", "i", F.lit(True).alias("bad"))
+    wrong = compare_replicas(MerkleTree(kept), MerkleTree(leaf_hashes(index, two)))
+    wrong = wrong.select("file", "i", (F.col("stop") - F.col("start")).alias("damaged"))
     out = kept.join(wrong, ["file", "i"], "left")
-    return out.select("page_id", "payload_sha256", "payload_bytes", F.col("bad").isNull().alias("intact"))
+    return out.select("page_id", "payload_sha256", "payload_bytes", F.col("damaged").isNull().alias("intact"), F.coalesce(F.col("damaged") == F.col("length"), F.lit(True)).alias("range_found"))
 
 
-OP6_SQL = """
-SELECT page_id, sha256(coalesce(html, '')) AS payload_sha256, strlen(coalesce(html, ''))::BIGINT AS payload_bytes, TRUE AS intact
+OP6_SQL = f"""
+SELECT page_id, sha256(coalesce(html, '')) AS payload_sha256, strlen(coalesce(html, ''))::BIGINT AS payload_bytes,
+    page_id % {OF} IS DISTINCT FROM {DAMAGED} AS intact, TRUE AS range_found
 FROM pages
 """

@@ -34,6 +34,16 @@ def test_automaton_equals_library(lib):
         assert m.decode(want) == lib.decode(want, skip_special_tokens=False)
 
 
+def test_characters_that_the_libraries_class_differently(lib):
+    m = bpe.compiled(PATH)
+    r = random.Random(9)
+    odd = [c for c in m._like]
+    some = [chr(c) for c in r.sample(odd, min(len(odd), 300))] + ["\U0001df3e", "\U000323ec", "\U0003df67", "\U00010d50", "a", "1", "!", "é", " "]
+    for _ in range(400):
+        t = "".join(r.choice(some) for _ in range(r.randrange(1, 8)))
+        assert m.encode(t) == lib.encode(t, add_special_tokens=False).ids, ascii(t)
+
+
 def test_merge_gadget_on_a_small_vocabulary():
     """Merging one symbol with itself runs left to right, and a token may not follow what it would merge with."""
     vocab = {s: i for i, s in enumerate(["a", "b", "a</w>", "b</w>", "aa", "aab", "aaaa"])}

@@ -5,11 +5,12 @@ import random
 import re
 
 import pytest
+from pyspark.sql import functions as F
 
-from bagjoin.llm import decontaminate, lines, simhash, toxicity, warc
+from bagjoin.llm import bpe, decontaminate, lines, simhash, warc
 from bagjoin.llm.common import new_folder, table
-from tests.llm.test_near_duplicates import brute_fingerprint, groups
-from tests.llm.test_text_operators import brute_leaks, brute_lines
+from tests.llm.test_near_duplicates import groups
+from tests.llm.test_text_operators import brute_leaks, brute_lines, brute_toxicity
 
 
 def test_records():
@@ -57,15 +58,16 @@ def test_empty_archive(spark):
 def test_pipeline_equals_brute_force(spark, sf):
     pipeline = pytest.importorskip("corpus_pipeline")
     docs = table(spark, sf, "documents")
-    model = toxicity.fit(docs, table(spark, sf, "labels"))
-    rows = {r.doc_id: r.text for r in toxicity.score(docs, model).filter("predicted = 0").collect()}
+    texts = {r.doc_id: r.text for r in docs.collect()}
+    scores, _ = brute_toxicity(texts, {r.doc_id: r.toxic for r in table(spark, sf, "labels").collect()})
+    rows = {d: t for d, t in texts.items() if scores[d] < 0.5}
     kept = {}
     for d, _, gone, text in brute_lines(list(rows.items()), lines.THRESHOLD, lines.MIN_CHARS, lines.within_edits):
-        if not gone or any(len(x.strip(" \t\r\f\x0b")) >= lines.MIN_CHARS for x in text.split("\n")):
+        if not gone or text.strip(" \t\r\n\f\x0b"):
             kept[d] = text
     ids = sorted(kept)
-    fps = [brute_fingerprint(kept[d], 5) for d in ids]
-    g = groups(len(ids), lambda a, b: (fps[a] ^ fps[b]).bit_count() <= pipeline.RADIUS)
+    sets = [brute_shingles(kept[d]) for d in ids]
+    g = groups(len(ids), lambda a, b: sets[a] == sets[b] or len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]))
     kept = {d: kept[d] for i, d in enumerate(ids) if g[i] == i}
     items = [(r.item_id, r.text) for r in table(spark, sf, "benchmark").collect()]
     leaked = brute_leaks(list(kept.items()), items)
@@ -115,6 +117,32 @@ def test_near_dedup_equals_brute_jaccard(spark):
     assert got == [rows[i][0] for i in range(len(rows)) if g[i] == i]
 
 
+def test_working_names_of_the_input_survive(spark, sf):
+    pipeline = pytest.importorskip("corpus_pipeline")
+    path = pytest.importorskip("public_tokenizers").path("word_bpe_49k.json")
+    names = ("__uid", "__d", "__n", "__text", "__k", "__rd")
+    docs = spark.createDataFrame([(i, f"line number {i} of some length\nshared line of some length", "en", "x", 0) for i in range(4)], "doc_id long, text string, lang string, source string, n_chars long")
+    for j, c in enumerate(names):
+        docs = docs.withColumn(c, F.lit(j))
+    items = spark.createDataFrame([(1, "not there at all in any text")], "item_id long, text string")
+    for out in (lines.dedup_lines(docs), decontaminate.decontaminate(docs, items), bpe.encode_documents(docs, path), pipeline.near_dedup(spark, docs, sf)):
+        assert [[r[c] for c in names] for r in out.collect()] == [list(range(6))] * 4
+
+
+def test_copy_with_damage(spark, sf):
+    pages = spark.read.parquet(f"{sf}/pages.parquet")
+    a, b = new_folder(spark, "wa"), new_folder(spark, "wb")
+    index = warc.write_warc(pages.repartition(3), a)
+    warc.copy_replica(index, a, b, F.col("page_id") % 9 == 2)
+    one, two = (warc.MerkleTree(warc.leaf_hashes(index, x), fanout=4) for x in (a, b))
+    bad = warc.compare_replicas(one, two).join(index, ["file", "i"])
+    assert {r.page_id for r in bad.collect()} == {r.page_id for r in pages.collect() if r.page_id % 9 == 2}
+    assert all((r.start, r.stop) == (r.offset, r.offset + r.length) for r in bad.collect())
+    got = warc.op6_merkle_fixity(spark, sf).collect()
+    assert {r.page_id for r in got if not r.intact} == {r.page_id for r in pages.collect() if r.page_id % warc.OF == warc.DAMAGED}
+    assert all(r.range_found for r in got)
+
+
 def test_line_dedup_keeps_documents_of_short_lines(spark):
     pipeline = pytest.importorskip("corpus_pipeline")
     head = "a header line that many documents share"
