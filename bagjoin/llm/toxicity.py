@@ -1,8 +1,8 @@
 """Toxicity scores from the nearest labelled examples.
 
 Labelled examples are TF-IDF vectors in a block-max inverted index: postings are in example order,
-cut into blocks, and each block keeps the largest weight of each term. The blocks with the highest
-score bounds are opened first; then all whose bound can still reach the k-th best similarity found,
+those of frequent terms cut into blocks that keep the largest weight of each term. The blocks with the
+highest score bounds are opened first; then all whose bound can still reach the k-th best similarity found,
 and no others, so the k nearest are exact. Their labels vote with weights that fall with
 distance, and isotonic regression over leave-one-out votes turns a vote into a probability.
 
@@ -52,7 +52,9 @@ def _spans(ptr: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 class BlockMaxIndex:
     """Exact top-k cosine over sparse unit vectors, many queries at a time.
 
-    ``vectors`` is (row, term, weight) arrays with rows ascending.
+    ``vectors`` is (row, term, weight) arrays with rows ascending. The postings of rare terms are
+    short and read whole; those of the ``wide`` most frequent terms are cut into blocks with maxima. A
+    block is opened if its best rare part and its maxima together can reach the score to beat.
     """
 
     def __init__(self, n: int, vectors: tuple[np.ndarray, np.ndarray, np.ndarray], n_terms: int, block: int = BLOCK, probe: int = 2, wide: int = WIDE):
@@ -60,22 +62,16 @@ class BlockMaxIndex:
         self.blocks = -(-n // block)
         rows, terms, weights = vectors
         order = np.argsort(terms, kind="stable")
-        self.ids, self.weights, of = rows[order].astype(np.int32), weights[order], terms[order]
-        self.ptr = np.concatenate([[0], np.cumsum(np.bincount(of, minlength=n_terms))]).astype(np.int64)
-        key = of.astype(np.int64) * max(1, self.blocks) + self.ids // block
-        first = np.flatnonzero(np.diff(key, prepend=-1))
-        self.peak = np.maximum.reduceat(self.weights, first) if len(first) else np.zeros(0)
-        self.peak_block = (key[first] % max(1, self.blocks)).astype(np.int32)
-        self.peak_ptr = np.searchsorted(key[first] // max(1, self.blocks), np.arange(n_terms + 1))
-        size = np.diff(self.ptr)
-        self.wide = np.sort(np.argsort(-size, kind="stable")[:wide])
+        self.ids, self.weights = rows[order].astype(np.int32), weights[order]
+        self.ptr = np.concatenate([[0], np.cumsum(np.bincount(terms, minlength=n_terms))]).astype(np.int64)
+        self.wide = np.sort(np.argsort(-np.diff(self.ptr), kind="stable")[:wide])
         self.opened = self.asked = 0
         self._rows = None
 
     def __getstate__(self) -> dict:
         return self.__dict__ | {"_rows": None}
 
-    def _dense(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    def _blocks(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Slot of each term among the wide ones or -1, their weights by block and example, their block maxima."""
         if self._rows is None:
             slot = np.full(self.n_terms, -1, np.int64)
@@ -92,44 +88,41 @@ class BlockMaxIndex:
         if not self.blocks or not len(queries[0]):
             return [[] for _ in range(size)]
         rows, terms, weights = queries
-        slot, full, caps = self._dense()
+        slot, full, caps = self._blocks()
         wide = slot[terms] >= 0
         q = np.zeros((size, len(self.wide)))
         q[rows[wide], slot[terms[wide]]] = weights[wide]
-        r, t, w = rows[~wide], terms[~wide], weights[~wide]
-        at, own = _spans(self.peak_ptr, t)
-        bound = q @ caps
-        bound += np.bincount(r[own] * self.blocks + self.peak_block[at], self.peak[at] * w[own], size * self.blocks).reshape(size, -1)
-        at, own = _spans(self.ptr, t)
-        width = self.blocks * self.block
-        post, post_w = r[own] * width + self.ids[at], self.weights[at] * w[own]
-        post_cell = post // self.block
-        score = np.zeros((size, width))
-        view, flat = score.reshape(size, self.blocks, self.block), score.reshape(-1)
+        block, width = self.block, self.blocks * self.block
+        at, own = _spans(self.ptr, terms[~wide])
+        score = np.asarray(np.bincount(rows[~wide][own] * width + self.ids[at], self.weights[at] * weights[~wide][own], size * width), float).reshape(size, self.blocks, block)
+        bound = q @ caps + score.max(axis=2)
+        each = np.arange(size)
 
         def read(mask: np.ndarray) -> None:
-            """Add the exact scores of the (query, block) that ``mask`` names."""
+            """Add the wide terms' part to the (query, block) that ``mask`` names, which makes them exact."""
             for b in np.flatnonzero(mask.any(axis=0)).tolist():
                 ask = np.flatnonzero(mask[:, b])
-                view[ask, b] += q[ask] @ full[b]
-            on = mask.ravel()[post_cell]
-            flat[:] += np.bincount(post[on], post_w[on], size * width)
+                score[ask, b] += q[ask] @ full[b] if 2 * len(ask) < size else (q @ full[b])[ask]
             if leave_out is not None:
-                score[np.arange(size), leave_out] = 0.0
+                score[each, leave_out // block, leave_out % block] = 0.0
             self.opened += int(mask.sum())
 
         probe = min(self.probe, self.blocks)
-        begun = np.zeros((size, self.blocks), bool)  # the most promising blocks give the score to beat
-        begun[np.arange(size)[:, None], np.argpartition(-bound, probe - 1, axis=1)[:, :probe]] = True
+        best = np.argpartition(-bound, probe - 1, axis=1)[:, :probe]  # the most promising blocks give the score to beat
+        begun = np.zeros((size, self.blocks), bool)
+        begun[each[:, None], best] = True
         read(begun)
-        least = np.partition(score, width - min(k, width), axis=1)[:, width - min(k, width)]
+        some, j = score[each[:, None], best].reshape(size, -1), min(k, probe * block)
+        least = np.partition(some, -j, axis=1)[:, -j]
         rest = ~begun & (bound > 0) & (bound >= least[:, None] - 1e-9)
         read(rest)
+        score[~(begun | rest)] = 0.0
         self.asked += size * self.blocks
-        np.round(score, 12, out=score)
-        least = np.maximum(np.partition(score, width - min(k, width), axis=1)[:, width - min(k, width)], 1e-12)
-        row, hit = np.nonzero(score >= least[:, None])
-        s = score[row, hit]
+        flat, j = score.reshape(size, width), min(k, width)
+        least = np.maximum(np.partition(flat, -j, axis=1)[:, -j], 1e-12)
+        row, hit = np.nonzero(flat >= least[:, None] - 1e-12)
+        s = np.round(flat[row, hit], 12)
+        row, hit, s = row[s > 0], hit[s > 0], s[s > 0]
         order = np.lexsort((hit, -s, row))
         cut = np.searchsorted(row, np.arange(size + 1))
         hit, s = hit[order].tolist(), s[order].tolist()
