@@ -101,7 +101,8 @@ def leaks(docs: DataFrame, items: DataFrame, key: str = "doc_id", text: str = "t
 
     # every window once: its words, shingles and fingerprint
     wanted = pairs.groupBy("key", "uid").agg(F.collect_set(F.struct("start", "size")).alias("of")).select(F.col("key").alias("k2"), F.col("uid").alias("u2"), "of")
-    cut = d.dropDuplicates(["key", "uid"]).join(wanted, (F.col("uid") == F.col("u2")) & F.col("key").eqNullSafe(F.col("k2"))).select("key", "uid", "w", F.inline("of"))
+    cut = d.join(stage(wanted, "wanted"), (F.col("uid") == F.col("u2")) & F.col("key").eqNullSafe(F.col("k2")))
+    cut = cut.dropDuplicates(["key", "uid"]).select("key", "uid", "w", F.inline("of"))
     wins = cut.select("key", "uid", "size", "start", _shingles(F.slice("w", F.col("start") + 1, F.col("size")), shingle).alias("have"))
     wins = stage(wins.withColumn("fp", simhash(F.col("have"))), "windows")
 
