@@ -268,13 +268,21 @@ def _strip(blocks: list[str], starts: np.ndarray, width: int) -> tuple[str, int]
     return "\n".join(t for t in kept if t), int(gone.sum())
 
 
+def _new_pages(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The rows that differ from the one before in host, shard or page; input is sorted by these."""
+    last = None
+    for batch in batches:
+        seen = list(zip(*(batch.column(c).to_pylist() for c in ("host", "shard", "uid"))))
+        yield batch.filter(pa.array([x != y for x, y in zip(seen, [last, *seen])], pa.bool_()))
+        last = seen[-1] if seen else last
+
+
 def extract_text(pages: DataFrame, key: str = "page_id", url: str = "url", html: str = "html", min_tokens: int = 8, shard_pages: int = 400) -> DataFrame:
-    """(key, url, text, n_chars, n_repeated, n_boilerplate) of every page; text is empty where nothing is left.
+    """(key, url, text, n_chars, n_boilerplate) of every page; text is empty where nothing is left.
 
-    n_repeated counts the tokens of the page's blocks in runs that other pages of its host share (of
-    its shard, for a host of more than ``shard_pages`` distinct pages), n_boilerplate those removed.
-    Null html counts as empty; a null or odd url is a host of its own name. Rows with the same url
-    host and blocks are one page and get the same text. An empty table gives an empty result.
+    n_boilerplate counts the tokens that the host's array took out of the page's blocks. Null html
+    counts as empty; a null or odd url is of the host without a name. Rows with the same host and
+    blocks are one page and get the same text. An empty table gives an empty result.
     """
     spark = pages.sparkSession
     src = pages.select(pages[key].alias("key"), pages[url].alias("url"), pages[html].alias("html"))
@@ -283,90 +291,93 @@ def extract_text(pages: DataFrame, key: str = "page_id", url: str = "url", html:
     kind = dict(src.dtypes)["key"]
 
     def parse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        met: set[bytes] = set()  # a page that a task has parsed before takes no part again
         for batch in batches:
             for lo in range(0, batch.num_rows, 500):
                 part = batch.slice(lo, 500)
-                blocks, marked, uid = [], [], []
-                for s in text_column(part, "html"):
+                blocks, marked, uid, new = [], [], [], []
+                for s, name in zip(text_column(part, "html"), part.column("host").to_pylist()):
                     b, m = blocks_of(s)
                     blocks.append(b)
                     marked.append(m)
                     uid.append(xxhash.xxh128_digest("\n".join([str(m), *b])))
-                yield pa.RecordBatch.from_arrays([part.column("key"), part.column("url"), part.column("host"), pa.array(uid, pa.binary()), pa.array(marked, pa.bool_()), pa.array(blocks, pa.list_(pa.string()))], names=["key", "url", "host", "uid", "marked", "blocks"])
-
-    parsed = stage(src.mapInArrow(parse, f"key {kind}, url string, host string, uid binary, marked boolean, blocks array<string>"), "parsed")
-    once = parsed.select("host", "uid", "marked", "blocks").dropDuplicates(["host", "uid"])
-    large = once.groupBy("host").agg(F.count("*").alias("n")).filter(F.col("n") > shard_pages)
+                    page = xxhash.xxh128_digest(uid[-1] + name.encode())
+                    new.append(page not in met)
+                    met.add(page)
+                yield pa.RecordBatch.from_arrays([part.column("key"), part.column("url"), part.column("host"), pa.array(uid, pa.binary()), pa.array(new, pa.bool_()), pa.array(marked, pa.bool_()), pa.array(blocks, pa.list_(pa.string()))], names=["key", "url", "host", "uid", "new", "marked", "blocks"])
+
+    parsed = stage(src.mapInArrow(parse, f"key {kind}, url string, host string, uid binary, new boolean, marked boolean, blocks array<string>"), "parsed")
+    once = parsed.filter("new")
+    large = once.select("host", "uid").distinct().groupBy("host").agg(F.count("*").alias("n")).filter(F.col("n") > shard_pages)
+    large = stage(large, "large-hosts")
     salt = F.coalesce(F.pmod(F.xxhash64("uid"), F.ceil(F.col("n") / shard_pages)).cast("int"), F.lit(-1))
-    dealt = once.join(large, "host", "left").withColumn("shard", salt).repartition(n_parts(spark), "host", "shard").sortWithinPartitions("host", "shard")
+    dealt = once.select("host", "uid", "marked", "blocks").join(large, "host", "left").withColumn("shard", salt)
+    dealt = dealt.repartition(n_parts(spark), "host", "shard").sortWithinPartitions("host", "shard", "uid")
 
     def arrays(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """Texts of hosts of one shard; the candidates of the others."""
-        for t in grouped(batches, ["host", "shard"]):
-            pages_, n = t.num_rows, t.column("n")[0].as_py()
-            blocks, marked = t.column("blocks").to_pylist(), np.array(t.column("marked").to_pylist(), bool)
+        """(host, uid, starts) of the pages of hosts of one shard that lose windows; (host, found) of the others."""
+        for t in grouped(_new_pages(batches), ["host", "shard"]):
+            pages_, name, n = t.num_rows, t.column("host")[0].as_py(), t.column("n")[0].as_py()
+            marked = np.array(t.column("marked").to_pylist(), bool)
             ids: dict[str, int] = {}
-            words = [[w for b in bs for w in b.split(" ")] for bs in blocks]
+            words = [[w for b in bs for w in b.split(" ")] for bs in t.column("blocks").to_pylist()]
             page, start, group, seen = repeated_windows([np.array([ids.setdefault(w, len(ids)) for w in ws], np.int64) for ws in words], min_tokens)
             # a shard of a large host asks for the share alone; the least number of pages is that of the host
             need = np.array([_enough(pages_, m) if n is None else max(1, int(np.ceil(s * pages_))) for m, s in ((False, SHARE), (True, SHARE_MARKED))])
             hit = seen >= need[marked[page].astype(int)]
-            cut = np.argsort(page, kind="stable")
-            spans = np.searchsorted(page[cut], np.arange(pages_ + 1))
-            first = set(np.unique(group[hit], return_index=True)[1].tolist()) if n is not None else set()
-            first = set(np.flatnonzero(hit)[sorted(first)].tolist()) if first else first
-            repeated, texts, gone, found = [], [], [], []
-            for i in range(pages_):
-                own = cut[spans[i] : spans[i + 1]]
-                repeated.append(int(_cover(len(words[i]), start[own], min_tokens).sum()))
-                text, lost = (None, None) if n is not None else _strip(blocks[i], start[own[hit[own]]], min_tokens)
-                texts.append(text)
-                gone.append(lost)
-                found.append(_digests(words[i], start[[j for j in own.tolist() if j in first]], min_tokens) if first else [])
-            kept = [None] * pages_ if n is None else blocks
-            cols = [pa.array(found, pa.list_(pa.binary())), pa.array(kept, pa.list_(pa.string())), pa.array(texts, pa.string()), pa.array(repeated, pa.int32()), pa.array(gone, pa.int32())]
-            out = pa.table([*(t.column(c) for c in ("host", "uid", "marked", "n")), *cols], names=["host", "uid", "marked", "n", "found", "blocks", "text", "n_repeated", "n_boilerplate"])
-            yield from out.combine_chunks().to_batches()
-
-    first = dealt.select("host", "uid", "marked", "n", "shard", "blocks").mapInArrow(arrays, "host string, uid binary, marked boolean, n long, found array<binary>, blocks array<string>, text string, n_repeated int, n_boilerplate int")
-    first = stage(first, "repeats")
+            page, start, group = page[hit], start[hit], group[hit]
+            rows = []
+            if n is None:
+                uids = t.column("uid").to_pylist()
+                rows = [(name, uids[i], np.sort(start[page == i]).tolist(), None) for i in np.unique(page).tolist()]
+            else:
+                first = np.unique(group, return_index=True)[1]
+                rows = [(name, None, None, _digests(words[i], np.array([a]), min_tokens)[0]) for i, a in zip(page[first].tolist(), start[first].tolist())]
+            kinds = (pa.string(), pa.binary(), pa.list_(pa.int32()), pa.binary())
+            yield pa.RecordBatch.from_arrays([pa.array([r[j] for r in rows], k) for j, k in enumerate(kinds)], names=["host", "uid", "starts", "h"])
+
+    found = stage(dealt.select("host", "uid", "marked", "n", "shard", "blocks").mapInArrow(arrays, "host string, uid binary, starts array<int>, h binary"), "repeats")
     # a candidate stands on a share of its shard's pages, so a shard has at most a page's length / SHARE of them
-    maybe = first.select("host", F.explode("found").alias("h")).distinct().groupBy("host").agg(F.collect_list("h").alias("maybe"))
-    wide = first.filter("text is null").select("host", "uid", "marked", "n", "blocks", "n_repeated")
+    maybe = found.filter("h is not null").select("host", "h").distinct().groupBy("host").agg(F.collect_list("h").alias("maybe")).join(large, "host")
+    maybe = stage(maybe, "candidates")
 
     def present(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            names, ns, hs = [], [], []
-            for name, n, bs, ask in zip(*(batch.column(c).to_pylist() for c in ("host", "n", "blocks", "maybe"))):
+            names, ns, us, hs = [], [], [], []
+            for name, n, uid, bs, ask in zip(*(batch.column(c).to_pylist() for c in ("host", "n", "uid", "blocks", "maybe"))):
                 words = [w for b in bs for w in b.split(" ")]
                 got = set(ask).intersection(_digests(words, np.arange(max(0, len(words) - min_tokens + 1)), min_tokens))
                 names += [name] * len(got)
                 ns += [n] * len(got)
+                us += [uid] * len(got)
                 hs += got
-            yield pa.RecordBatch.from_arrays([pa.array(names, pa.string()), pa.array(ns, pa.int64()), pa.array(hs, pa.binary())], names=["host", "n", "h"])
+            yield pa.RecordBatch.from_arrays([pa.array(names, pa.string()), pa.array(ns, pa.int64()), pa.array(us, pa.binary()), pa.array(hs, pa.binary())], names=["host", "n", "uid", "h"])
 
-    counted = wide.join(maybe, "host").mapInArrow(present, "host string, n long, h binary").groupBy("host", "n", "h").agg(F.count("*").alias("seen"))
+    counted = once.select("host", "uid", "blocks").join(maybe, "host").select("host", "n", "uid", "blocks", "maybe").mapInArrow(present, "host string, n long, uid binary, h binary")
+    counted = counted.distinct().groupBy("host", "n", "h").agg(F.count("*").alias("seen"))
     free, closed = (F.col("seen") >= F.greatest(F.lit(least), F.ceil(F.col("n") * F.lit(share))) for share, least in ((SHARE, LEAST), (SHARE_MARKED, LEAST_MARKED)))
     sure = counted.filter(free | closed).groupBy("host").agg(F.collect_list(F.struct("h", free.alias("free"), closed.alias("closed"))).alias("sure"))
+    sure = stage(sure, "boilerplate")
+    own = stage(found.filter("uid is not null").select("host", "uid", "starts"), "windows")
 
     def strip(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             texts, gone = [], []
-            for mark, bs, known in zip(*(batch.column(c).to_pylist() for c in ("marked", "blocks", "sure"))):
+            for mark, bs, hits, known in zip(*(batch.column(c).to_pylist() for c in ("marked", "blocks", "starts", "sure"))):
                 want = {k["h"] for k in known or [] if k["closed" if mark else "free"]}
-                words = [w for b in bs for w in b.split(" ")] if want else []
-                hits = [i for i, h in enumerate(_digests(words, np.arange(max(0, len(words) - min_tokens + 1)), min_tokens)) if h in want]
-                text, lost = _strip(bs, np.array(hits, np.int64), min_tokens)
+                if want:
+                    words = [w for b in bs for w in b.split(" ")]
+                    hits = [i for i, h in enumerate(_digests(words, np.arange(max(0, len(words) - min_tokens + 1)), min_tokens)) if h in want]
+                text, lost = _strip(bs, np.array(hits or [], np.int64), min_tokens)
                 texts.append(text)
                 gone.append(lost)
-            yield pa.RecordBatch.from_arrays([batch.column("host"), batch.column("uid"), pa.array(texts, pa.string()), batch.column("n_repeated"), pa.array(gone, pa.int32())], names=["host", "uid", "text", "n_repeated", "n_boilerplate"])
+            yield pa.RecordBatch.from_arrays([batch.column("key"), batch.column("url"), pa.array(texts, pa.string()), pa.array(gone, pa.int32())], names=["key", "url", "text", "n_boilerplate"])
 
-    rest = wide.join(stage(sure, "boilerplate"), "host", "left").mapInArrow(strip, "host string, uid binary, text string, n_repeated int, n_boilerplate int")
-    texts = first.filter("text is not null").select("host", "uid", "text", "n_repeated", "n_boilerplate").union(rest)
-    out = parsed.select("key", "url", "host", "uid").join(texts, ["host", "uid"])
-    return out.select(F.col("key").alias(key), F.col("url").alias(url), "text", F.length("text").cast("long").alias("n_chars"), "n_repeated", "n_boilerplate")
+    out = parsed.select("key", "url", "host", "uid", "marked", "blocks").join(own, ["host", "uid"], "left").join(sure, "host", "left")
+    out = out.select("key", "url", "marked", "blocks", "starts", "sure").mapInArrow(strip, f"key {kind}, url string, text string, n_boilerplate int")
+    return out.select(F.col("key").alias(key), F.col("url").alias(url), "text", F.length("text").cast("long").alias("n_chars"), "n_boilerplate")
 
 
 def op8_host_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Main text of all ``pages``, and what their hosts' suffix arrays found."""
+    """Main text of all ``pages``, and how much their hosts' suffix arrays took out."""
     return extract_text(table(spark, sf_dir, "pages").select("page_id", "url", "html"))
