@@ -257,7 +257,7 @@ class WordBpe:
         pattern = split_pattern(d)
         self._split = regex.compile(pattern)
         odd, like = odd_characters(pattern)
-        self._odd = regex.compile(f"[{regex.escape(odd)}]") if odd else None
+        self._odd = frozenset(odd)
         self._like = str.maketrans(odd, like)
         self._lower = {ord(c): s for c in odd for s in [_library_lower(c)]}
 
@@ -278,7 +278,7 @@ class WordBpe:
     def pieces_plain(self, chunk: str) -> list[str]:
         if not chunk:
             return []
-        if self._odd and not chunk.isascii() and self._odd.search(chunk):
+        if not chunk.isascii() and not self._odd.isdisjoint(chunk):
             text = unicodedata.normalize("NFC", chunk).replace("Σ", "σ")
             text = "".join(self._lower.get(ord(c)) or c.lower() for c in text)
             return [text[m.start() : m.end()] for m in self._split.finditer(text.translate(self._like))]
