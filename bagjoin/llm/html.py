@@ -231,6 +231,8 @@ def repeated_windows(streams: list[np.ndarray], width: int) -> tuple[np.ndarray,
 SHARE, LEAST = 0.5, 2
 #: The same for runs inside a marked article.
 SHARE_MARKED, LEAST_MARKED = 0.8, 10
+#: Shards are dealt in so many passes, so that only part of the blocks is in shuffle files at a time.
+PASSES = 2
 #: A page that would lose this share of its tokens repeats a copy of its article and keeps all.
 COPY = 0.8
 
@@ -311,8 +313,6 @@ def extract_text(pages: DataFrame, key: str = "page_id", url: str = "url", html:
     large = once.select("host", "uid").distinct().groupBy("host").agg(F.count("*").alias("n")).filter(F.col("n") > shard_pages)
     large = stage(large, "large-hosts")
     salt = F.coalesce(F.pmod(F.xxhash64("uid"), F.ceil(F.col("n") / shard_pages)).cast("int"), F.lit(-1))
-    dealt = once.select("host", "uid", "marked", "blocks").join(large, "host", "left").withColumn("shard", salt)
-    dealt = dealt.repartition(n_parts(spark), "host", "shard").sortWithinPartitions("host", "shard", "uid")
 
     def arrays(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """(host, uid, starts) of the pages of hosts of one shard that lose windows; (host, found) of the others."""
@@ -336,7 +336,12 @@ def extract_text(pages: DataFrame, key: str = "page_id", url: str = "url", html:
             kinds = (pa.string(), pa.binary(), pa.list_(pa.int32()), pa.binary())
             yield pa.RecordBatch.from_arrays([pa.array([r[j] for r in rows], k) for j, k in enumerate(kinds)], names=["host", "uid", "starts", "h"])
 
-    found = stage(dealt.select("host", "uid", "marked", "n", "shard", "blocks").mapInArrow(arrays, "host string, uid binary, starts array<int>, h binary"), "repeats")
+    found = None
+    for i in range(PASSES):
+        some = once.select("host", "uid", "marked", "blocks").join(large, "host", "left").withColumn("shard", salt).filter(F.pmod(F.xxhash64("host", "shard"), F.lit(PASSES)) == i)
+        some = some.repartition(n_parts(spark), "host", "shard").sortWithinPartitions("host", "shard", "uid").select("host", "uid", "marked", "n", "shard", "blocks")
+        some = stage(some.mapInArrow(arrays, "host string, uid binary, starts array<int>, h binary"), "repeats")
+        found = some if found is None else found.union(some)
     # a candidate stands on a share of its shard's pages, so a shard has at most a page's length / SHARE of them
     maybe = found.filter("h is not null").select("host", "h").distinct().groupBy("host").agg(F.collect_list("h").alias("maybe")).join(large, "host")
     maybe = stage(maybe, "candidates")
