@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 
 from .common import forget_tables, stage, table, text_column
 
-SAMPLE, TERMS, NEIGHBOURS, BLOCK = 3000, 200_000, 15, 128
+SAMPLE, TERMS, NEIGHBOURS, BLOCK = 2000, 200_000, 15, 128
 #: The statistic that doubles a term's weight (about one in 50,000 terms exceeds it by chance).
 UNIT = 18.0
 #: Terms with the longest postings are kept as rows over all examples.
@@ -76,11 +76,10 @@ class BlockMaxIndex:
         if self._rows is None:
             slot = np.full(self.n_terms, -1, np.int64)
             slot[self.wide] = np.arange(len(self.wide))
-            full = np.zeros((len(self.wide), self.blocks * self.block))
+            full = np.zeros((self.blocks, len(self.wide), self.block))
             at, own = _spans(self.ptr, self.wide)
-            full[own, self.ids[at]] = self.weights[at]
-            full = full.reshape(len(self.wide), self.blocks, self.block)
-            self._rows = slot, np.ascontiguousarray(full.transpose(1, 0, 2)), full.max(axis=2)
+            full[self.ids[at] // self.block, own, self.ids[at] % self.block] = self.weights[at]
+            self._rows = slot, full, np.ascontiguousarray(full.max(axis=2).T)
         return self._rows
 
     def top(self, queries: tuple[np.ndarray, np.ndarray, np.ndarray], size: int, k: int, leave_out: np.ndarray | None = None) -> list[list[tuple[int, float]]]:
@@ -179,6 +178,7 @@ class NeighbourModel:
             hi = min(lo + ROWS, len(order))
             a, b = cut[lo], cut[hi]
             votes += [self.vote(x) for x in self.index.top((rows[a:b] - lo, at[a:b], w[a:b]), hi - lo, k, np.arange(lo, hi))]
+        self.index._rows = None  # workers make their own
         self.knots, self.values = isotonic(np.array([*votes, 0.0, 1.0]), np.array([*self.labels, 0.0, 1.0]), np.array([*self.weight, 1.0, 1.0]))
 
     def vectors(self, rows: np.ndarray, at: np.ndarray, n: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -266,6 +266,7 @@ def _examples(rows: DataFrame, at: dict[str, int]) -> tuple[list[int], list[int]
 
     t = rows.select("k", "y", "t").mapInArrow(read, "k long, y int, ids array<int>, n array<int>").toArrow().sort_by("k")
     ids, n = (t.column(c).combine_chunks() for c in ("ids", "n"))
+    known.destroy()
     row = np.repeat(np.arange(t.num_rows), ids.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64))
     return t.column("k").to_pylist(), t.column("y").to_pylist(), (row, ids.flatten().to_numpy().astype(np.int64), n.flatten().to_numpy().astype(np.int64))
 
@@ -315,6 +316,7 @@ def document_frequencies(docs: DataFrame, text: str, at: dict[str, int]) -> tupl
         yield pa.RecordBatch.from_arrays([pa.array(some), pa.array(df[some])], names=["t", "n"])
 
     found = docs.select(F.col(text).alias("t")).mapInArrow(count, "t long, n long").groupBy("t").agg(F.sum("n").alias("n")).toArrow()
+    known.destroy()
     df = np.zeros(len(at) + 1)
     df[found.column("t").to_numpy()] = found.column("n").to_numpy()
     return int(df[-1]), df[:-1]
