@@ -6,7 +6,7 @@ import re
 import numpy as np
 import xxhash
 
-from bagjoin.llm import embeddings, simhash
+from bagjoin.llm import embeddings, jaccard, simhash
 from bagjoin.llm.components import components
 
 
@@ -177,3 +177,20 @@ def test_vectors_of_large_labels_are_linked(spark):
     z = 0.9301 * x + np.sqrt(1 - 0.9301**2) * y
     df = spark.createDataFrame([(i, v, 0) for i, v in enumerate(np.vstack([x, z]).tolist())], "vec_id long, embedding array<double>, label int")
     assert embeddings.near_vectors(df).filter("n_links = 0").count() <= 8
+
+
+def test_similar_pairs_of_sets():
+    r = random.Random(4)
+    for _ in range(60):
+        sets = [np.array(sorted(r.sample(range(30), r.randrange(0, 20))), np.uint64) for _ in range(12)]
+        p, q = jaccard.similar_pairs(sets, 0.6, chunk=7)
+        assert set(zip(p.tolist(), q.tolist())) == {(i, j) for i in range(12) for j in range(i) if jaccard.jaccard(sets[i], sets[j]) >= 0.6}
+
+
+def test_group_around_a_text_that_is_not_the_least(spark):
+    """Copies that are similar to one text but not to each other: linked through it, whatever its id."""
+    r = random.Random(1)
+    base = [f"w{i}" for i in range(100)]
+    rows = [(i, " ".join(x if j // 3 != i else f"n{i}x{j}" for j, x in enumerate(base))) for i in range(30)] + [(30, " ".join(base)), (31, " ".join(r.sample(base, 100)))]
+    got = jaccard.similar_groups(spark.createDataFrame(rows, "doc_id long, text string"), "doc_id")
+    assert {x.doc_id: x.component_id for x in got.collect()} == {**{i: 0 for i in range(31)}, 31: 31}
