@@ -16,10 +16,10 @@ from pyspark.sql import functions as F
 
 from ..model import W, Factor, Network
 from ..plans.decomposition import Decomposition, decompose
-from ..plans.measures import agm
+from ..plans.cover import log2_agm
 from .local import Listing, calibrate, onto, product
 
-#: log2 of the rows that the bags of a tree may have in one task.
+#: log2 of the rows that all bags of a tree may have in one task.
 BUDGET = 24.0
 
 
@@ -27,6 +27,25 @@ class BatchLimitError(ValueError):
     """A tree's bags are too large for one task; use the bag-wise engine."""
 
 
+def predicted_rows(dec: Decomposition, comp: list[int]) -> float:
+    """Bound of the rows of all bags of a tree together; bags of equal shape are bounded once."""
+    holds: dict[str, list[Factor]] = {}
+    for f in dec.network.factors:
+        for v in f.vars:
+            holds.setdefault(v, []).append(f)
+    seen: dict[tuple, float] = {}
+    total = 0.0
+    for b in comp:
+        place = {v: i for i, v in enumerate(dec.chi[b])}
+        met = {f.name: f for v in dec.chi[b] for f in holds[v]}
+        known = sorted((tuple(place[v] for v in f.vars if v in place), dec.network.sizes[n]) for n, f in met.items())
+        shape = (len(place), tuple(known))
+        if shape not in seen:
+            seen[shape] = 2.0 ** min(log2_agm(range(len(place)), {i: x for i, x in enumerate(known)}), 1000.0)
+        total += seen[shape]
+    return total
+
+
 def _long(items: list[tuple[int, str, Factor]]) -> DataFrame:
     """(unit, src, vals, w) rows of factors."""
     parts = [f.df.select(F.lit(u).alias("unit"), F.lit(n).alias("src"), F.array(*[F.col(v).cast("string") for v in f.vars]).alias("vals"), F.col(W).cast("double").alias(W)) for u, n, f in items]
@@ -62,8 +81,9 @@ def solve_trees(network: Network, templates: dict[str, str] | None = None, dec:
     by = {f.name: f for f in network.factors}
     items, plans = [], {}
     for u, comp in enumerate(dec.components()):
-        if len(comp) < 5000 and max(agm(dec, b) for b in comp) > budget:
-            raise BatchLimitError(f"a bag of tree {u} may exceed 2^{budget:g} rows")
+        rows = predicted_rows(dec, comp)
+        if rows > 2**budget:
+            raise BatchLimitError(f"the bags of tree {u} may have {rows:.3g} rows, over 2^{budget:g}")
         names = [n for b in comp for n in dec.alpha[b]]
         for src in dict.fromkeys(templates.get(n, n) for n in names):
             items.append((u, src, by[src]))

@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import itertools
+
 from pyspark.sql import functions as F
 
 from ..model import W, Factor, InconsistentEvidence, Network
-from .relational import reduce_by
+from .relational import materialise, reduce_by
 
 
 def apply_evidence(network: Network, evidence: dict) -> Network:
@@ -27,7 +29,7 @@ def apply_evidence(network: Network, evidence: dict) -> Network:
     return Network.of(out, domains, kept | {f.name: f.df.count() for f in out if f.name not in kept}, scale=network.scale)
 
 
-def singleton_consistency(network: Network, mode: str = "arc", max_rounds: int = 10) -> tuple[Network, dict]:
+def singleton_consistency(network: Network, mode: str = "arc", max_rounds: int | None = None, keep: str = "parquet") -> tuple[Network, dict]:
     """Variables with one supported value become evidence.
 
     ``arc``: factors are reduced by the supports of their neighbours until no count falls.
@@ -45,8 +47,10 @@ def singleton_consistency(network: Network, mode: str = "arc", max_rounds: int =
         found = {r.variable: r.value for r in values.groupBy("variable").agg(F.count(F.lit(1)).alias("n"), F.first("value").alias("value")).filter("n = 1").collect()}
     else:
         before = None
-        for _ in range(max_rounds):
-            factors = [_reduced(f, factors) for f in factors]
+        for done in itertools.count():  # rows only go, so this settles
+            if done == max_rounds:
+                raise RuntimeError(f"not settled after {max_rounds} rounds")
+            factors = [Factor(f.name, f.vars, materialise(_reduced(f, factors).df, keep)) for f in factors]
             now = tuple(f.df.count() for f in factors)
             if 0 in now:
                 raise InconsistentEvidence("a factor has no supported row")

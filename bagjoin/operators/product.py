@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..functions.semiring import SUM_PRODUCT, Semiring
 from ..model import W, Factor
-from .relational import multiply
+from .relational import CROSS_LIMIT, CrossProductError, multiply
 
 PLAIN, PROJECTED, PAIRWISE = 0, 1, 2
 
@@ -48,13 +48,23 @@ def pairwise_product(vars: tuple[str, ...], factors: list[Factor], order: str =
     return Factor("bag", tuple(vars), out.df.select(*vars, W))
 
 
-def extend_product(vars: tuple[str, ...], factors: list[Factor], order: list[str] | None = None, semiring: Semiring = SUM_PRODUCT, observe: Callable[[str, DataFrame], DataFrame] | None = None) -> Factor:
+def _cross(a: DataFrame, b: DataFrame, limit: int) -> DataFrame:
+    """Cross join behind a check of the sizes."""
+    n = a.limit(limit + 1).count()
+    if n * b.limit(max(1, limit // max(1, n)) + 1).count() > limit:
+        raise CrossProductError(f"a product of unconnected variables would exceed {limit} rows")
+    return a.crossJoin(b)
+
+
+def extend_product(vars: tuple[str, ...], factors: list[Factor], order: list[str] | None = None, semiring: Semiring = SUM_PRODUCT, observe: Callable[[str, DataFrame], DataFrame] | None = None, cross_limit: int = CROSS_LIMIT) -> Factor:
     """Multiway product by prefix extension (M7a): one variable at a time, all factors agreeing.
 
-    For every prefix each factor that holds the next variable counts its possible values; the one
-    with the fewest proposes them, the others filter. A prefix without a value in some factor is
-    gone before anything is enumerated, so no step exceeds the size bound of its variables. The
-    weights of a factor join in when its last variable is bound.
+    Factors that hold the next variable and share none with the prefix only name its possible values,
+    and those are applied to the others before anything is enumerated. Of the factors that are
+    connected to the prefix, the one with the fewest values for a row of it proposes them and the
+    others filter; with one such factor there is nothing to count. So no step exceeds the size bound
+    of its variables. The weights of a factor join in when its last variable is bound, which is the
+    filter as well.
     """
     order = order or list(vars)
     see = observe or (lambda _, df: df)
@@ -69,36 +79,38 @@ def extend_product(vars: tuple[str, ...], factors: list[Factor], order: list[str
         full = {f.name: len(known[f.name]) + 1 == len(f.vars) for f in here}
         level = {f.name: (f.df.select(*known[f.name], v) if full[f.name] else f.df.select(*known[f.name], v).distinct()) for f in here}
         kind = dict(here[0].df.dtypes)[W]
-        if prefix is None:
-            proposer = min(here, key=lambda f: (len(f.vars), f.name))
-            prefix = level[proposer.name].withColumn(W, one.cast(kind))
-            others = [f for f in here if f is not proposer]
-            for f in others:
-                if not full[f.name]:
-                    prefix = prefix.join(level[f.name], v, "left_semi")
-        elif len(here) == 1:
-            f = here[0]
-            prefix = prefix.join(level[f.name], known[f.name]) if known[f.name] else prefix.crossJoin(level[f.name])
+        met = [f for f in here if known[f.name]]
+        loose = [f for f in here if not known[f.name]]
+        if not met:
+            first = min(loose, key=lambda f: (len(f.vars), f.name))
+            values = level[first.name]
+            for f in loose:
+                if f is not first:
+                    values = values.join(level[f.name], v, "left_semi")
+            prefix = values.withColumn(W, one.cast(kind)) if prefix is None else _cross(prefix, values, cross_limit)
         else:
-            counted = prefix
-            for i, f in enumerate(here):
-                if known[f.name]:
+            for f in met:
+                for g in loose:
+                    level[f.name] = level[f.name].join(level[g.name], v, "left_semi")
+            if len(met) == 1:
+                f = met[0]
+                prefix = prefix.join(level[f.name], known[f.name])
+            else:
+                counted = prefix
+                for i, f in enumerate(met):
                     counted = counted.join(level[f.name].groupBy(*known[f.name]).agg(F.count(F.lit(1)).alias(f"__c{i}")), known[f.name])
-                else:
-                    counted = counted.crossJoin(level[f.name].agg(F.count(F.lit(1)).alias(f"__c{i}")))
-            names = [f"__c{i}" for i in range(len(here))]
-            least = F.least(*names)
-            pick = functools.reduce(lambda acc, i: F.when(F.col(f"__c{i}") == least, i).otherwise(acc), reversed(range(len(here) - 1)), F.lit(len(here) - 1))
-            counted = counted.withColumn("__pick", pick).drop(*names)
-            parts = []
-            for i, f in enumerate(here):
-                own = counted.filter(F.col("__pick") == i).drop("__pick")
-                part = own.join(level[f.name], known[f.name]) if known[f.name] else own.crossJoin(level[f.name])
-                for g in here:
-                    if g is not f and not full[g.name]:
-                        part = part.join(level[g.name], [*known[g.name], v], "left_semi")
-                parts.append(part.select(*bound, v, W))
-            prefix = functools.reduce(DataFrame.unionByName, parts)
+                names = [f"__c{i}" for i in range(len(met))]
+                least = F.least(*names)
+                pick = functools.reduce(lambda acc, i: F.when(F.col(f"__c{i}") == least, i).otherwise(acc), reversed(range(len(met) - 1)), F.lit(len(met) - 1))
+                counted = counted.withColumn("__pick", pick).drop(*names)
+                parts = []
+                for i, f in enumerate(met):
+                    part = counted.filter(F.col("__pick") == i).drop("__pick").join(level[f.name], known[f.name])
+                    for g in met:
+                        if g is not f and not full[g.name]:
+                            part = part.join(level[g.name], [*known[g.name], v], "left_semi")
+                    parts.append(part.select(*bound, v, W))
+                prefix = functools.reduce(DataFrame.unionByName, parts)
         bound.append(v)
         prefix = see(v, prefix.select(*bound, W))
         for f in here:

@@ -14,11 +14,18 @@ from .relational import materialise, reduce_by
 
 @dataclass(frozen=True)
 class ProjectionPolicy:
-    """Which projections are worth their cost (M9b). ``max_density=1.0`` with ``min_arity=1`` takes all of them."""
+    """Which projections are worth their cost (M9b). ``ALL_PROJECTIONS`` takes all of them.
+
+    ``skip_below``: leave out factors of the subtree, whose messages already tell as much.
+    """
 
     max_density: float = 0.5
     min_arity: int = 2
-    max_per_bag: int = 8
+    max_per_bag: int | None = 8
+    skip_below: bool = True
+
+
+ALL_PROJECTIONS = ProjectionPolicy(1.0, 1, None, False)
 
 
 def indicator(factor: Factor, vars: tuple[str, ...], kind: str = "bigint") -> Factor:
@@ -71,7 +78,7 @@ def indicators_for(dec: Decomposition, bag: int, cache: ProjectionCache, policy:
     """The projections a bag should use, sparsest first; ``below``: factors whose messages already tell as much."""
     found = []
     for name, shared in candidates(dec, bag):
-        if name in below or len(shared) < policy.min_arity:
+        if policy.skip_below and name in below or len(shared) < policy.min_arity:
             continue
         d = cache.density(name, shared)
         if len(shared) == 1 and d >= 1.0 or d > policy.max_density:

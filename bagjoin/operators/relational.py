@@ -44,6 +44,10 @@ def materialise(df: DataFrame, mode: str = "parquet") -> DataFrame:
 CROSS_LIMIT = 10_000_000
 
 
+#: Rows of a side up to which a broadcast hint is obeyed; a larger one is shuffled.
+BROADCAST_LIMIT = 1_000_000
+
+
 class CrossProductError(ValueError):
     """A product of factors without a shared variable would be too large."""
 
@@ -86,6 +90,8 @@ def dead_rows(a: Factor, b: Factor | DataFrame) -> DataFrame:
 def hash_product(big: Factor, small: Factor, op: str = "mul", hint: str = "shuffle_hash", semiring: Semiring = SUM_PRODUCT) -> Factor:
     """Probe the rows of ``big`` in a hash table of ``small``: multiply or divide, and drop what finds nothing."""
     on = [v for v in big.vars if v in set(small.vars)]
+    if hint == "broadcast" and small.df.limit(BROADCAST_LIMIT + 1).count() > BROADCAST_LIMIT:
+        hint = "shuffle_hash"
     right = small.df.select(*on, F.col(W).alias("__w"))
     out = big.df.join(right.hint(hint), on) if on else big.df.crossJoin(right)
     times = semiring.times if op == "mul" else semiring.divide

@@ -21,7 +21,7 @@ from .operators.batch import run_level, solve_trees
 from .operators.infer import InferConfig, infer, marginal
 from .operators.preprocess import apply_evidence, singleton_consistency
 from .operators.product import extend_product, multiway_product, pairwise_product
-from .operators.projections import ProjectionCache, ProjectionPolicy, indicator, projection_report
+from .operators.projections import ALL_PROJECTIONS, ProjectionCache, indicator, projection_report
 from .operators.trie import level_order_trie
 from .plans import measures
 from .plans import strategy as st
@@ -31,7 +31,7 @@ from .streaming import factors as stream
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
-ALL = ProjectionPolicy(max_density=1.0, min_arity=1)
+ALL = ALL_PROJECTIONS
 INT = InferConfig(policy=ALL)
 
 
@@ -653,7 +653,7 @@ def grid_small_marginals(spark, sf_dir):
 @query()
 def grid_thinned_marginals(spark, sf_dir):
     n, templates = grid.network(spark, sf_dir, 28, 28)
-    return _probs(solve_trees(n, templates, budget=1000.0).filter("variable is not null"))
+    return _probs(solve_trees(n, templates, budget=26.0).filter("variable is not null"))
 
 
 # text tables

@@ -28,7 +28,14 @@ def _network(spark: SparkSession, sizes: list[int], tables: list[tuple[list[int]
     return Network.of(factors, {f"x{v}": n for v, n in enumerate(sizes)})
 
 
+#: These formats are read and written by the driver: largest file, and most entries of a factor.
+MAX_BYTES, MAX_ENTRIES = 64 << 20, 1_000_000
+
+
 def _text(spark: SparkSession, path: str) -> str:
+    size = spark.read.format("binaryFile").load(path).agg(F.sum("length")).first()[0] or 0
+    if size > MAX_BYTES:
+        raise ValueError(f"{path} has {size} bytes; keep large factors as tables (Factor.read)")
     return "\n".join(r.value for r in spark.read.text(path, wholetext=True).collect())
 
 
@@ -52,7 +59,11 @@ def read_uai(spark: SparkSession, path: str) -> Network:
     return _network(spark, sizes, tables)
 
 
-def _coded(network: Network) -> tuple[list[str], dict[str, dict]]:
+def _coded(network: Network, most: int = MAX_ENTRIES) -> tuple[list[str], dict[str, dict]]:
+    """Variables and the numbers of their values; refuses factors of more than ``most`` rows."""
+    for f in network.factors:
+        if f.df.limit(most + 1).count() > most:
+            raise ValueError(f"{f.name} has over {most} rows; keep large factors as tables")
     vars = list(network.vars)
     codes = {}
     for v in vars:
@@ -64,7 +75,7 @@ def _coded(network: Network) -> tuple[list[str], dict[str, dict]]:
     return vars, codes
 
 
-def write_uai(network: Network, path: str, max_cells: int = 1_000_000) -> None:
+def write_uai(network: Network, path: str, max_cells: int = MAX_ENTRIES) -> None:
     """Truth tables; refuses factors over ``max_cells``. Values are numbered in their order."""
     vars, codes = _coded(network)
     at = {v: i for i, v in enumerate(vars)}
@@ -101,9 +112,9 @@ def read_fg(spark: SparkSession, path: str) -> Network:
     return _network(spark, [sizes.get(v, 1) for v in range(max(sizes, default=-1) + 1)], tables)
 
 
-def write_fg(network: Network, path: str) -> None:
-    """Non-zero entries only, numbered by the reverse index."""
-    vars, codes = _coded(network)
+def write_fg(network: Network, path: str, max_entries: int = MAX_ENTRIES) -> None:
+    """Non-zero entries only, numbered by the reverse index; refuses factors of over ``max_entries`` rows."""
+    vars, codes = _coded(network, max_entries)
     at = {v: i for i, v in enumerate(vars)}
     out = [str(len(network.factors)), ""]
     for f in network.factors:
