@@ -38,7 +38,7 @@ def _multiway(strategy: str):
 
 ENGINES: dict[str, Callable[[Network, dict], DataFrame]] = {
     "multiway": _multiway("multiway"), "multiway_proj": _multiway("multiway_proj"), "pairwise": _multiway("pairwise"), "hybrid": _multiway("hybrid"),
-    "batched": lambda n, t: solve_trees(n, t, budget=26.0).filter("variable IS NOT NULL"), "dense": lambda n, t: dense_junction_tree(n),
+    "batched": lambda n, t: solve_trees(n, t, measured=True).filter("variable IS NOT NULL"), "dense": lambda n, t: dense_junction_tree(n),
     "join_graph": lambda n, t: join_graph_propagation(n, len(n.vars))[0], "circuit": lambda n, t: compile_circuit(n).evaluate()[0],
 }
 

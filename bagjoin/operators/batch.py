@@ -70,18 +70,20 @@ def _listings(table: pa.Table, scopes: dict[str, list[tuple[str, ...]]]) -> tupl
     return out, {v: list(b) for v, b in names.items()}
 
 
-def solve_trees(network: Network, templates: dict[str, str] | None = None, dec: Decomposition | None = None, budget: float = BUDGET) -> DataFrame:
+def solve_trees(network: Network, templates: dict[str, str] | None = None, dec: Decomposition | None = None, budget: float = BUDGET, measured: bool = False) -> DataFrame:
     """(variable, value, prob) of all variables, and rows (NULL, NULL, log Z) per tree, in one job.
 
     ``templates`` maps factors to the factor whose rows they repeat under other variable names, so
-    that a time-sliced network is stored once. A tree over ``budget`` raises BatchLimitError.
+    that a time-sliced network is stored once. A tree whose bags may have over 2^``budget`` rows raises
+    BatchLimitError. The bound ignores messages; ``measured`` lets such a tree run, and its task counts the
+    rows of each product before it makes them and fails over the budget.
     """
     templates = templates or {}
     dec = dec or decompose(network, root="centre")
     by = {f.name: f for f in network.factors}
     items, plans = [], {}
     for u, comp in enumerate(dec.components()):
-        rows = predicted_rows(dec, comp)
+        rows = 0.0 if measured else predicted_rows(dec, comp)
         if rows > 2**budget:
             raise BatchLimitError(f"the bags of tree {u} may have {rows:.3g} rows, over 2^{budget:g}")
         names = [n for b in comp for n in dec.alpha[b]]
@@ -100,7 +102,7 @@ def solve_trees(network: Network, templates: dict[str, str] | None = None, dec:
         missing = [[v for v in c if not any(v in vars for _, vars in own)] for c, own in zip(chi, alpha)]
         ones = {v: Listing((v,), np.arange(len(names[v]))[:, None], np.ones(len(names[v]))) for m in missing for v in m}
         inputs = [[found[s, vars] for s, vars in own] or [ones[v] for v in m] for own, m in zip(alpha, missing)]
-        beliefs, log_z = calibrate(chi, parent, inputs, parent.index(-1))
+        beliefs, log_z = calibrate(chi, parent, inputs, parent.index(-1), 2.0**budget)
         out = [(None, None, log_z)]
         home: dict[str, int] = {}
         for b, f in beliefs.items():

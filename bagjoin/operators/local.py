@@ -36,12 +36,19 @@ def _ids(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return key[: len(a)], key[len(a) :]
 
 
-def times(a: Listing, b: Listing) -> Listing:
+class RowLimitError(ValueError):
+    """A product would have more rows than a task may hold."""
+
+
+def times(a: Listing, b: Listing, limit: float = math.inf) -> Listing:
+    """Weighted natural join; its rows are counted before any is made."""
     on = tuple(v for v in a.vars if v in b.vars)
     x, y = _ids(a.key(on), b.key(on))
     order = np.argsort(y, kind="stable")
     lo, hi = np.searchsorted(y[order], x, "left"), np.searchsorted(y[order], x, "right")
     n = hi - lo
+    if n.sum() > limit:
+        raise RowLimitError(f"a product has {int(n.sum())} rows, over {limit:g}")
     left = np.repeat(np.arange(len(x)), n)
     right = order[np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n) + np.repeat(lo, n)]
     more = [j for j, v in enumerate(b.vars) if v not in a.vars]
@@ -60,18 +67,21 @@ def onto(a: Listing, vars: tuple[str, ...]) -> Listing:
     return Listing(vars, sub[first], np.bincount(group.reshape(-1), weights=a.w, minlength=len(first)))
 
 
-def product(listings: list[Listing]) -> Listing:
+def product(listings: list[Listing], limit: float = math.inf) -> Listing:
     """Fold, always next with a listing that shares variables, the smallest first."""
     left = sorted(listings, key=lambda f: len(f.w))
     out = left.pop(0)
     while left:
         i = min(range(len(left)), key=lambda j: (not set(left[j].vars) & set(out.vars), len(left[j].w)))
-        out = times(out, left.pop(i))
+        out = times(out, left.pop(i), limit)
     return out
 
 
-def calibrate(chi: list[tuple[str, ...]], parent: list[int], inputs: list[list[Listing]], root: int) -> tuple[dict[int, Listing], float]:
-    """Bag beliefs of one tree, each summing to one, and log Z; messages are scaled to sum to one."""
+def calibrate(chi: list[tuple[str, ...]], parent: list[int], inputs: list[list[Listing]], root: int, limit: float = math.inf) -> tuple[dict[int, Listing], float]:
+    """Bag beliefs of one tree, each summing to one, and log Z; messages are scaled to sum to one.
+
+    More than ``limit`` rows in all bags together raise RowLimitError before they are made.
+    """
     kids: list[list[int]] = [[] for _ in chi]
     for b, p in enumerate(parent):
         if p >= 0:
@@ -83,7 +93,7 @@ def calibrate(chi: list[tuple[str, ...]], parent: list[int], inputs: list[list[L
         todo += kids[b]
     beliefs: dict[int, Listing] = {}
     up: dict[int, Listing] = {}
-    log_z = 0.0
+    log_z, held = 0.0, 0
 
     def normal(f: Listing) -> tuple[Listing, float]:
         s = f.w.sum()
@@ -92,7 +102,8 @@ def calibrate(chi: list[tuple[str, ...]], parent: list[int], inputs: list[list[L
         return Listing(f.vars, f.codes, f.w / s), math.log(s)
 
     for b in reversed(order):
-        beliefs[b], s = normal(product([*inputs[b], *[up[k] for k in kids[b]]]))
+        beliefs[b], s = normal(product([*inputs[b], *[up[k] for k in kids[b]]], limit - held))
+        held += len(beliefs[b].w)
         log_z += s
         if parent[b] >= 0:
             own = set(beliefs[b].vars)

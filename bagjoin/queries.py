@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -163,7 +164,7 @@ def lookahead_factor_marginal_psf(spark, sf_dir):
 
 
 # toy network: strategies, layouts, baselines (M12, M13, B0-B3; W3, W11)
-for _name, _strategy, _config in (("plain", "multiway", INT), ("projected", "multiway_proj", INT), ("pairwise", "pairwise", INT), ("hybrid", "hybrid", INT), ("quotient", "pairwise", InferConfig(calibration="quotient")), ("merge_down", "pairwise", InferConfig(calibration="quotient", down="merge")), ("forward_list", "pairwise", InferConfig(layout="forward_list")), ("free_first", "multiway", InferConfig(order="free_first")), ("min_domain", "multiway", InferConfig(order="min_domain"))):
+for _name, _strategy, _config in (("plain", "multiway", INT), ("projected", "multiway_proj", INT), ("pairwise", "pairwise", INT), ("hybrid", "hybrid", INT), ("hybrid_timed", "hybrid", replace(INT, strategy_mode="timed")), ("quotient", "pairwise", InferConfig(calibration="quotient")), ("merge_down", "pairwise", InferConfig(calibration="quotient", down="merge")), ("forward_list", "pairwise", InferConfig(layout="forward_list")), ("free_first", "multiway", InferConfig(order="free_first")), ("min_domain", "multiway", InferConfig(order="min_domain"))):
 
     def _run(spark, sf_dir, strategy=_strategy, config=_config):
         m = infer(toy.network(spark, sf_dir), strategy, config=config).variable_marginals(probs=False)
@@ -573,6 +574,29 @@ def strategy_report(spark, sf_dir):
     return st.strategy_report(spark, st.fixed(dec, st.PLAIN))
 
 
+def _lawful(dec, choices, allowed) -> bool:
+    """Every bag decided by an allowed strategy, and inherited choices equal to their source."""
+    return all(c.strategy in allowed and (c.inherited_from is None or c.strategy == choices[c.inherited_from].strategy) for c in choices.values())
+
+
+@query("SELECT * FROM (VALUES ('cost', 2, 2, 100.0, TRUE), ('timed', 2, 2, 100.0, TRUE), ('random', 2, 2, 100.0, TRUE)) t(mode, bags, decided, percent, lawful)")
+def strategy_modes(spark, sf_dir):
+    """The choice by metadata, by timed trial products, and beyond the cell limit at random."""
+    dec = decompose(toy.network(spark, sf_dir))
+    rows = []
+    for mode, options, allowed in (("cost", {}, (0, 1, 2)), ("timed", {"mode": "timed"}, (0, 1, 2)), ("random", {"mode": "timed", "rho_limit": 0.0}, (0, 1))):
+        choices = st.choose_strategies(dec, **options)
+        shares = [r.percent for r in st.strategy_report(spark, choices).collect()]
+        rows.append((mode, len(dec.chi), len(choices), float(sum(shares)), _lawful(dec, choices, allowed)))
+    return spark.createDataFrame(rows, "mode string, bags int, decided int, percent double, lawful boolean")
+
+
+@query()
+def strategy_shares(spark, sf_dir):
+    """Shares of the strategies chosen by timed trials on the network with a factor to look ahead at (M13e)."""
+    return st.strategy_report(spark, st.choose_strategies(decompose(supply.lookahead(spark, sf_dir)), mode="timed"))
+
+
 @query()
 def explain_bags(spark, sf_dir):
     return infer(toy.network(spark, sf_dir), "hybrid").explain_bags()
@@ -593,9 +617,9 @@ def event_emission_factor(spark, sf_dir):
     return events.emission_counts(spark, sf_dir).df
 
 
-@query(f"WITH RECURSIVE t AS (SELECT prev, next, w / sum(w) OVER (PARTITION BY prev) AS p FROM ({_TRANS})), e AS (SELECT event_type, k, w / sum(w) OVER (PARTITION BY event_type) AS p FROM ({_EMIT})), f AS (SELECT 0 AS slice, prev AS s, 1.0::DOUBLE AS f FROM (SELECT DISTINCT prev FROM t) UNION ALL SELECT slice, s, sum(x) FROM (SELECT f.slice + 1 AS slice, t.next AS s, f.f * t.p AS x FROM f JOIN t ON f.s = t.prev WHERE f.slice < 23) GROUP BY slice, s) SELECT 's' || slice AS variable, s AS value, round(f / sum(f) OVER (PARTITION BY slice), 9) AS prob FROM f UNION ALL SELECT 'k' || slice, k::VARCHAR, round(x / sum(x) OVER (PARTITION BY slice), 9) FROM (SELECT slice, k, sum(f * p) AS x FROM f JOIN e ON s = event_type GROUP BY slice, k)")
+@query(f"WITH RECURSIVE t AS (SELECT prev, next, w / sum(w) OVER (PARTITION BY prev) AS p FROM ({_TRANS})), e AS (SELECT event_type, k, w / sum(w) OVER (PARTITION BY event_type) AS p FROM ({_EMIT})), f AS (SELECT 0 AS slice, prev AS s, 1.0::DOUBLE AS f FROM (SELECT DISTINCT prev FROM t) UNION ALL SELECT slice, s, sum(x) FROM (SELECT f.slice + 1 AS slice, t.next AS s, f.f * t.p AS x FROM f JOIN t ON f.s = t.prev WHERE f.slice < 719) GROUP BY slice, s) SELECT 's' || slice AS variable, s AS value, round(f / sum(f) OVER (PARTITION BY slice), 9) AS prob FROM f UNION ALL SELECT 'k' || slice, k::VARCHAR, round(x / sum(x) OVER (PARTITION BY slice), 9) FROM (SELECT slice, k, sum(f * p) AS x FROM f JOIN e ON s = event_type GROUP BY slice, k)")
 def event_chain_marginals(spark, sf_dir):
-    n, templates = events.chain(spark, sf_dir, slices=24)
+    n, templates = events.chain(spark, sf_dir)
     return _probs(solve_trees(n, templates).filter("variable is not null"))
 
 
@@ -615,12 +639,12 @@ def _clique_sql(dims: int, keep: int) -> str:
     return f"WITH {', '.join(ctes)} {_union([f'd{i}' for i in range(dims)], prob=False)}"
 
 
-@query(_clique_sql(5, 20))
-def clique_marginals(spark, sf_dir):
-    n = clique.network(spark, sf_dir, dims=5, keep=20)
+def _clique(spark, sf_dir, dims: int, keep: int, multiway: bool = True):
+    n = clique.network(spark, sf_dir, dims=dims, keep=keep)
     fs = [Factor(f.name, f.vars, rel.materialise(f.df)) for f in n.factors]
-    vars = tuple(f"d{i}" for i in range(5))
-    f = Factor("bag", vars, rel.materialise(multiway_product(vars, fs, impl="grid").df))
+    vars = tuple(f"d{i}" for i in range(dims))
+    bag = multiway_product(vars, fs, impl="grid") if multiway else pairwise_product(vars, fs, "greedy")
+    f = Factor("bag", vars, rel.materialise(bag.df))
     out = None
     for v in vars:
         m = f.onto((v,)).df.select(F.lit(v).alias("variable"), F.col(v).cast("string").alias("value"), F.col(W).alias("mass"))
@@ -628,6 +652,22 @@ def clique_marginals(spark, sf_dir):
     return out
 
 
+@query(_clique_sql(5, 20))
+def clique_marginals(spark, sf_dir):
+    return _clique(spark, sf_dir, 5, 20)
+
+
+@query(_clique_sql(8, 20))
+def clique8_marginals(spark, sf_dir):
+    return _clique(spark, sf_dir, 8, 20)
+
+
+@query(_clique_sql(8, 40))
+def clique8_marginals_40(spark, sf_dir):
+    """At 40 % by pairwise joins; the grid's local join binds in Python and takes minutes here."""
+    return _clique(spark, sf_dir, 8, 40, multiway=False)
+
+
 def _grid_sql(rows: int, cols: int) -> str:
     ctes, joins, seen = [], "", set()
     name = lambda p: f"v{p[0]:02d}_{p[1]:02d}"
@@ -653,7 +693,7 @@ def grid_small_marginals(spark, sf_dir):
 @query()
 def grid_thinned_marginals(spark, sf_dir):
     n, templates = grid.network(spark, sf_dir, 28, 28)
-    return _probs(solve_trees(n, templates, budget=26.0).filter("variable is not null"))
+    return _probs(solve_trees(n, templates, measured=True).filter("variable is not null"))
 
 
 # text tables

@@ -407,3 +407,25 @@ def test_variables_in_very_many_bags_still_give_a_junction_tree():
         assert not any(a < b or a == b and i != j for i, a in enumerate(bags) for j, b in enumerate(bags))
         for v in {v for s in some for v in s}:
             assert sum(v in bags[b] and (p < 0 or v not in bags[p]) for b, p in enumerate(parent)) == 1
+
+
+def test_small_tree_guard_counts_rows_whatever_the_number_of_bags(spark):
+    from bagjoin.operators.local import Listing, RowLimitError, calibrate, times
+
+    wide = Listing(("a", "b"), np.array([[0, i] for i in range(100)]), np.ones(100))
+    other = Listing(("a", "c"), np.array([[0, i] for i in range(100)]), np.ones(100))
+    assert len(times(wide, other, 10_000).w) == 10_000
+    with pytest.raises(RowLimitError):
+        times(wide, other, 9_999)
+    with pytest.raises(RowLimitError):
+        calibrate([("a", "b"), ("a", "c")], [-1, 0], [[wide], [other]], 0, 150)
+    from bagjoin.operators.batch import predicted_rows
+
+    df = spark.createDataFrame([(0, 0, 1.0), (0, 1, 1.0), (1, 0, 1.0)], "a long, b long, w double")
+    chain = [Factor(f"f{i}", (f"x{i}", f"x{i + 1}"), df.toDF(f"x{i}", f"x{i + 1}", "w")) for i in range(2)]
+    net = Network.of(chain, {f"x{i}": 2 for i in range(3)}, {f"f{i}": 3 for i in range(2)})
+    dec = decompose(net)
+    assert predicted_rows(dec, list(range(len(dec.chi)))) == 6
+    with pytest.raises(BatchLimitError):
+        solve_trees(net, dec=dec, budget=2.0)
+    assert solve_trees(net, dec=dec, budget=3.0).count() == 7
