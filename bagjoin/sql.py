@@ -10,7 +10,7 @@ from pyspark.sql.functions import udtf
 
 from .model import Network
 from .operators.infer import marginal
-from .plans.decomposition import bags_of, min_fill_order, spanning_tree
+from .plans.decomposition import bag_tree, min_fill_order
 
 _NETWORKS: dict[str, Network] = {}
 _QUERY = re.compile(r"\s*MARGINAL\s+(?P<vars>[\w\s,]+?)\s+FROM\s+(?P<net>\w+)(?:\s+WHERE\s+(?P<where>.+?))?\s*;?\s*$", re.I | re.S)
@@ -41,8 +41,8 @@ class DecomposeNetwork:
 
     def eval(self, scopes: str):
         edges = [tuple(e) for e in json.loads(scopes)]
-        bags = bags_of(edges, min_fill_order(edges))
-        for i, (b, p) in enumerate(zip(bags, spanning_tree(bags))):
+        bags, parent = bag_tree(edges, min_fill_order(edges))
+        for i, (b, p) in enumerate(zip(bags, parent)):
             yield i, p, ",".join(sorted(b))
 
 
