@@ -216,13 +216,24 @@ def message_down(dec: Decomposition, products: dict[int, Factor], up: dict[int,
             if b in down:
                 f = product_of(products[b], down[b], semiring=config.semiring)
                 out[b] = Factor(f.name, f.vars, materialise(f.df, config.materialise))
-            for k in dec.children[b]:
-                rest = [by[n] for n in dec.alpha[b]] + [up[c] for c in dec.children[b] if c != k] + ([down[b]] if b in down else [])
-                seen = products[b].support()  # the bag's own rows keep the search small and cover every variable
-                acc = Factor("down", products[b].vars, seen.withColumn(W, F.lit(config.semiring.one).cast(dict(products[b].df.dtypes)[W])))
-                for f in rest:
-                    acc = multiply(acc, f, semiring=config.semiring)
-                m = acc.onto(dec.separator(k), config.semiring)
+            kids = dec.children[b]
+            if not kids:
+                continue
+            seen = products[b].support()  # the bag's own rows keep the search small and cover every variable
+            acc = Factor("down", products[b].vars, seen.withColumn(W, F.lit(config.semiring.one).cast(dict(products[b].df.dtypes)[W])))
+            for f in [by[n] for n in dec.alpha[b]] + ([down[b]] if b in down else []):
+                acc = multiply(acc, f, semiring=config.semiring)
+            rows = acc.df
+            if len(kids) > 1:  # every child's message meets the rows once, as a column that this child's sum leaves out
+                for i, k in enumerate(kids):
+                    got = up[k].df.withColumnRenamed(W, f"__m{i}")
+                    rows = rows.join(got, list(up[k].vars)) if up[k].vars else rows.crossJoin(got)
+                rows = materialise(rows, config.materialise)
+            for i, k in enumerate(kids):
+                weight = F.col(W)
+                for j in range(len(kids)):
+                    weight = weight if j == i else config.semiring.times(weight, F.col(f"__m{j}"))
+                m = Factor("down", products[b].vars, rows.select(*products[b].vars, weight.alias(W))).onto(dec.separator(k), config.semiring)
                 down[k] = Factor(f"down{k}", m.vars, materialise(m.df, config.materialise))
     return out, 0.0
 
