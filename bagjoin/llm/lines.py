@@ -202,7 +202,9 @@ def dedup_lines(docs: DataFrame, key: str = "doc_id", text: str = "text", thresh
     distinct = every.groupBy("h1", "h2").agg(F.min(F.struct("__d", "__uid", "no")).alias("rep"), F.count("*").alias("copies"), F.first("line").alias("line"), F.first("n").alias("n"))
     distinct = stage(distinct.withColumn("lid", F.monotonically_increasing_id()), "lines")
     comp = components(line_links(distinct.select("lid", "line", "n"), threshold))
-    classed = distinct.select("lid", "h1", "h2", "rep", "copies").join(comp, F.col("lid") == comp.node, "left").withColumn("g", F.coalesce("component", "lid"))
+    classed = distinct.select("lid", "h1", "h2", "rep", "copies").join(comp, F.col("lid") == comp.node, "left")
+    classed = classed.filter("component IS NOT NULL OR copies > 1")  # a single line without links is a class of one, of which nothing goes
+    classed = classed.withColumn("g", F.coalesce("component", "lid"))
     first = classed.groupBy("g").agg(F.min("rep").alias("keep"), F.sum("copies").alias("of")).filter("of > 1")
     again = classed.join(first, "g").select("h1", "h2", "keep")
     gone = every.select("__d", "__uid", "no", "h1", "h2").join(again, ["h1", "h2"]).filter(F.struct("__d", "__uid", "no") != F.col("keep"))
