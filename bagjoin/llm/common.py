@@ -44,17 +44,41 @@ _CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 def stage(df: DataFrame, kind: str = "stage") -> DataFrame:
     """Write ``df`` once to the shared folder and read it back: cuts lineage and survives lost executors."""
-    spark = df.sparkSession
-    path = new_folder(spark, kind)
+    path = new_folder(df.sparkSession, kind)
+    _written(df.sparkSession, lambda: df.write.option("compression", "zstd").parquet(path))
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+class Bucketed:
+    """``df`` written once to the shared folder in buckets of ``by``; a join on all of ``by`` does not move it again.
+
+    Best where ``df`` already lies in partitions by ``by``, as after an aggregation: then a bucket is a
+    file. ``drop`` forgets the table and deletes its files; call it when nothing will read them again.
+    """
+
+    def __init__(self, df: DataFrame, by: list[str], kind: str):
+        self.spark, self.path = df.sparkSession, new_folder(df.sparkSession, kind)
+        self.name = f"{kind}_{self.path[-32:]}"
+        out = df.write.bucketBy(n_parts(self.spark), *by).option("path", self.path).option("compression", "zstd")
+        _written(self.spark, lambda: out.format("parquet").saveAsTable(self.name))
+        self.rows = self.spark.table(self.name)
+
+    def drop(self) -> None:
+        self.spark.sql(f"DROP TABLE IF EXISTS {self.name}")
+        path = self.spark._jvm.org.apache.hadoop.fs.Path(self.path)
+        path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
+def _written(spark: SparkSession, write: Callable[[], None]) -> None:
+    """Run ``write``; the shuffle files of its query go as soon as it ends."""
     before = spark.conf.get(_CLEANUP, None)
     if spark.conf.isModifiable(_CLEANUP):
         spark.conf.set(_CLEANUP, "true")
     try:
-        df.write.option("compression", "zstd").parquet(path)
+        write()
     finally:
         if spark.conf.isModifiable(_CLEANUP):
             spark.conf.unset(_CLEANUP) if before is None else spark.conf.set(_CLEANUP, before)
-    return spark.read.schema(df.schema).parquet(path)
 
 
 def sheltered(docs: DataFrame, *own: str) -> tuple[DataFrame, Callable[[DataFrame], DataFrame]]:

@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import forget_tables, n_parts, runs, sheltered, stage, table
+from .common import Bucketed, forget_tables, n_parts, runs, sheltered, stage, table
 from .components import components
 from .simhash import Forest
 
@@ -110,8 +110,11 @@ def _chars(lines: list[str]) -> np.ndarray:
     return out
 
 
-def line_links(lines: DataFrame, threshold: int = THRESHOLD, cell: int = CELL) -> DataFrame:
-    """(a, b): links between the distinct ``lines`` (lid, line, n) that keep every class connected."""
+def line_links(lines: DataFrame, threshold: int = THRESHOLD, cell: int = CELL, place: tuple[str, ...] = ("lid",)) -> DataFrame:
+    """(a, b): links between the distinct ``lines`` (lid, line) that keep every class connected.
+
+    ``place`` names the key by which ``lines`` is stored; texts are fetched by it.
+    """
     spark = lines.sparkSession
     parts = n_parts(spark)
 
@@ -152,7 +155,9 @@ def line_links(lines: DataFrame, threshold: int = THRESHOLD, cell: int = CELL) -
 
     met = stage(sigs.mapInArrow(shared, "sig long, u int, v int, probe boolean, lid long"), "signatures")
     keys = ["sig", "u", "v"]
-    cells = met.join(lines.select("lid", "line"), "lid").select(*keys, "probe", "lid", "line")
+    if "lid" not in place:
+        met = met.join(lines.select("lid", *place), "lid")
+    cells = met.join(lines.select(*place, "line"), list(place)).select(*keys, "probe", "lid", "line")
     cells = cells.repartition(parts, *keys).sortWithinPartitions(*keys)
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -197,11 +202,12 @@ def dedup_lines(docs: DataFrame, key: str = "doc_id", text: str = "text", thresh
     docs, restored = sheltered(docs, key, text)
     keyed = docs.withColumns({"__d": F.coalesce(F.col(key).cast("long"), F.lit(LAST)), "__uid": F.xxhash64(key, text)})
     every = keyed.select("__d", "__uid", F.posexplode(F.split(text, "\n"))).select("__d", "__uid", F.col("pos").alias("no"), F.btrim("col", F.lit(" \t\r\f\x0b")).alias("line"))
-    every = every.withColumn("n", F.length("line")).filter(F.col("n") >= min_chars)
+    every = every.filter(F.length("line") >= min_chars)
     every = every.withColumns({"h1": F.xxhash64("line"), "h2": F.xxhash64(F.lit(1), "line")})
-    distinct = every.groupBy("h1", "h2").agg(F.min(F.struct("__d", "__uid", "no")).alias("rep"), F.count("*").alias("copies"), F.first("line").alias("line"), F.first("n").alias("n"))
-    distinct = stage(distinct.withColumn("lid", F.monotonically_increasing_id()), "lines")
-    comp = components(line_links(distinct.select("lid", "line", "n"), threshold))
+    distinct = every.groupBy("h1", "h2").agg(F.min(F.struct("__d", "__uid", "no")).alias("rep"), F.count("*").alias("copies"), F.first("line").alias("line"))
+    stored = Bucketed(distinct.withColumn("lid", F.monotonically_increasing_id()), ["h1", "h2"], "lines")
+    distinct = stored.rows
+    comp = components(line_links(distinct, threshold, place=("h1", "h2")))
     classed = distinct.select("lid", "h1", "h2", "rep", "copies").join(comp, F.col("lid") == comp.node, "left")
     classed = classed.filter("component IS NOT NULL OR copies > 1")  # a single line without links is a class of one, of which nothing goes
     classed = classed.withColumn("g", F.coalesce("component", "lid"))
@@ -209,6 +215,7 @@ def dedup_lines(docs: DataFrame, key: str = "doc_id", text: str = "text", thresh
     again = classed.join(first, "g").select("h1", "h2", "keep")
     gone = every.select("__d", "__uid", "no", "h1", "h2").join(again, ["h1", "h2"]).filter(F.struct("__d", "__uid", "no") != F.col("keep"))
     gone = stage(gone.groupBy("__d", "__uid").agg(F.sort_array(F.collect_set("no")).alias("removed")).withColumnsRenamed({"__d": "__rd", "__uid": "__ru"}), "removed")
+    stored.drop()
     out = keyed.join(gone, (F.col("__d") == F.col("__rd")) & (F.col("__uid") == F.col("__ru")), "left").drop("__d", "__uid", "__rd", "__ru")
     parts = F.split(text, "\n")
     kept = F.when(F.col("removed").isNull(), F.col(text)).otherwise(F.concat_ws("\n", F.filter(parts, lambda x, i: ~F.array_contains("removed", i))))
