@@ -59,7 +59,8 @@ class Bucketed:
     def __init__(self, df: DataFrame, by: list[str], kind: str):
         self.spark, self.path = df.sparkSession, new_folder(df.sparkSession, kind)
         self.name = f"{kind}_{self.path[-32:]}"
-        out = df.write.bucketBy(n_parts(self.spark), *by).option("path", self.path).option("compression", "zstd")
+        most = int(self.spark.conf.get("spark.sql.sources.bucketing.maxBuckets"))
+        out = df.write.bucketBy(min(n_parts(self.spark), most), *by).option("path", self.path).option("compression", "zstd")
         _written(self.spark, lambda: out.format("parquet").saveAsTable(self.name))
         self.rows = self.spark.table(self.name)
 

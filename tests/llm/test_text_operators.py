@@ -12,6 +12,7 @@ import numpy as np
 import pytest
 
 from bagjoin.llm import decontaminate, html, lines, substrings, toxicity
+from bagjoin.llm.common import Bucketed
 
 
 # op5
@@ -451,3 +452,19 @@ def test_digests_are_of_kept_text(spark, sf):
     got = substrings.op5_suffix_automata(spark, sf).collect()
     want = {d: (n, g, hashlib.sha256(k.encode()).hexdigest()) for d, n, g, k in brute_windows(list(docs.items()), 50)}
     assert {x.doc_id: (x.n_words, x.n_removed, x.kept_sha256) for x in got} == want
+
+
+def test_bucketed_rows_are_joined_without_moving_them(spark):
+    import glob
+    import os
+
+    df = spark.range(200).selectExpr("id % 50 AS k", "repeat('x', 30) AS t").groupBy("k").agg({"t": "first"}).withColumnRenamed("first(t)", "t")
+    stored = Bucketed(df, ["k"], "few")
+    folder = stored.path.removeprefix("file://")
+    assert len(glob.glob(folder + "/*.parquet")) <= 4
+    probe = spark.range(3).withColumnRenamed("id", "k")
+    plan = probe.join(stored.rows.hint("merge"), "k")._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning") == 1 and "Bucketed: true" in plan
+    assert probe.join(stored.rows, "k").count() == 3
+    stored.drop()
+    assert not os.path.exists(folder) and not spark.catalog.tableExists(stored.name)
