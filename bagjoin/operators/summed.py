@@ -44,23 +44,32 @@ def fits(factors: list[Factor], free: tuple[str, ...], semiring: Semiring = SUM_
     )
 
 
+def _narrow(low: int, high: int) -> np.dtype:
+    return next(np.dtype(k) for k in (np.int8, np.int16, np.int32, np.int64) if np.iinfo(k).min <= low and high <= np.iinfo(k).max)
+
+
 def pack(v: np.ndarray) -> bytes:
-    """Integers in the fewest bytes that hold them all, by byte position, compressed."""
-    kind = np.result_type(np.min_scalar_type(v.min()), np.min_scalar_type(v.max())) if len(v) else np.dtype(np.int8)
-    kind = kind if kind.kind in "iu" else np.dtype(np.int64)
+    """Integers in the fewest bytes that hold them all, by byte position, compressed; equal ones as one."""
+    low, high = (int(v.min()), int(v.max())) if len(v) else (0, 0)
+    if low == high:
+        return struct.pack("<bqq", 0, len(v), low)
+    kind = _narrow(low, high)
     raw = np.ascontiguousarray(v.astype(kind).view(np.uint8).reshape(-1, kind.itemsize).T).tobytes()
     out = pa.compress(raw, codec="zstd", asbytes=True)
-    return struct.pack("<2sqq", kind.str[1:].encode(), len(v), len(out)) + out
+    return struct.pack("<bqq", kind.itemsize, len(v), len(out)) + out
 
 
 def unpack(data: bytes, n: int) -> list[np.ndarray]:
-    """The ``n`` arrays that were packed one after the other."""
-    out, at, head = [], 0, struct.calcsize("<2sqq")
+    """The ``n`` arrays that were packed one after the other, as narrow as they came."""
+    out, at, head = [], 0, struct.calcsize("<bqq")
     for _ in range(n):
-        name, size, length = struct.unpack_from("<2sqq", data, at)
-        kind, at = np.dtype("<" + name.decode()), at + head
-        raw = pa.decompress(pa.py_buffer(data)[at : at + length], size * kind.itemsize, codec="zstd", asbytes=True)
-        out.append(np.ascontiguousarray(np.frombuffer(raw, np.uint8).reshape(kind.itemsize, -1).T).view(kind).ravel().astype(np.int64))
+        width, size, length = struct.unpack_from("<bqq", data, at)
+        at += head
+        if not width:
+            out.append(np.full(size, length, _narrow(length, length)))
+            continue
+        raw = pa.decompress(pa.py_buffer(data)[at : at + length], size * width, codec="zstd", asbytes=True)
+        out.append(np.ascontiguousarray(np.frombuffer(raw, np.uint8).reshape(width, -1).T).view(f"<i{width}").ravel())
         at += length
     return out
 
@@ -142,18 +151,21 @@ def _total(key: np.ndarray, w: np.ndarray | None, most: int, low: int) -> tuple[
 def sums_of_cell(lists: list[bytes], rows: int = ROWS) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
     """(x, is x null, y, is y null, sum) of one cell, x by x, about ``rows`` tuples of the bag at a time."""
     na, va, zero_a, wa, nb, step, zero_b, wb = (np.concatenate(p) for p in zip(*(unpack(x, 8) for x in lists)))
+    na, va, wa, nb = (v.astype(np.int64) for v in (na, va, wa, nb))  # the others are long and stay narrow
     at = starts(nb)
-    run = np.cumsum(step)
-    vb = run - np.repeat(run[at] - step[at], nb)
-    del run, step
+    vb = np.cumsum(step, dtype=np.int64)
+    vb -= np.repeat(vb[at] - step[at], nb)
     low = int(vb.min())
     span = int(vb.max()) - low + 1  # the code of null, if there is one
+    names = None
     if span.bit_length() + len(va).bit_length() < 62:
-        names, code = None, np.where(zero_b == 1, span, vb - low)
+        vb -= low
     else:
-        names, code = np.unique(vb, return_inverse=True)
+        names, vb = np.unique(vb, return_inverse=True)
         span = len(names)
-        code = np.where(zero_b == 1, span, code)
+    code = vb.astype(np.int32 if span < 1 << 31 else np.int64)
+    code[zero_b == 1] = span
+    del vb, step, zero_b
     ybits = span.bit_length()
     ones = bool((wa == 1).all() and (wb == 1).all())
     ends = [int(p) * int(q) for p in (wa.min(), wa.max()) for q in (wb.min(), wb.max())]
